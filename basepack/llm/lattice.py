@@ -18,9 +18,9 @@ kappa maximises the leave-one-out likelihood of the learning tokens over a grid;
 forms sum to one over all spellings, and a document's probability does not depend on the order of its
 words, so it is scored from word counts.
 
-Counts are taken over all words of all documents (map-side combined). Words with at least one in
-`head` tokens are at most `head` many whatever the corpus, and they alone are broadcast; all others are
-joined by shuffle, one row for each word of a document. So frequent words are never a shuffle key.
+Counts are taken over all words of all documents (map-side combined). The most frequent words, `head` at
+most whatever the corpus, are broadcast; all others are joined by shuffle, one row for each word of a
+document. So frequent words are never a shuffle key.
 
 Defined results: null, empty and blank texts are the end token alone; null ids belong to fold 0; repeated
 rows are scored and learned from as they come; an empty table gives an empty result.
@@ -39,7 +39,7 @@ from pyspark.sql import functions as F
 from .common import byte_column, fold, map_rows, materialise, words_of
 
 VOCABULARY = "/opt/tokenizers/piece_bpe_32k.model"
-HEAD = 20_000
+HEAD = 250_000
 RHO = 1000.0
 KAPPAS = tuple(4.0**k for k in range(2, 16))
 END = b""
@@ -66,6 +66,9 @@ def load_pieces(path: str = VOCABULARY) -> dict[bytes, float]:
     return {p: -math.log((r + 2.7) * total) for p, r in ranks.items()}
 
 
+_SHORT = (1, 2, 3)
+
+
 class Spelling:
     """All segmentations of words into pieces, weighted in log space."""
 
@@ -91,7 +94,7 @@ class Spelling:
             here = mass[i]
             if here == -math.inf:
                 continue
-            for size in (1, 2, 3, *longer.get(text[i : i + 3], ())):
+            for size in _SHORT + longer.get(text[i : i + 3], ()):
                 j = i + size
                 if j > n:
                     break
@@ -101,25 +104,42 @@ class Spelling:
                     continue
                 edges.append((i, j, piece, w))
                 new, old = here + w, mass[j]
-                if old == -math.inf:
-                    mass[j] = new
-                elif new > old:
-                    mass[j] = new + math.log1p(math.exp(old - new))
-                else:
-                    mass[j] = old + math.log1p(math.exp(new - old))
+                if new > old:
+                    new, old = old, new
+                mass[j] = old + math.log1p(math.exp(new - old)) if new - old > -40.0 else old
         return mass, edges
 
     def log_prob(self, word: bytes) -> float:
         """Marginal log probability of the spelling. The end token is the mark alone."""
-        return self.forward(word)[0][-1]
+        text = self.mark + word
+        n = len(text)
+        none, log1p, exp = -math.inf, math.log1p, math.exp
+        mass = [none] * (n + 1)
+        mass[0] = 0.0
+        get, longer = self.pieces.get, self.longer.get
+        for i in range(n):
+            here = mass[i]
+            if here == none:
+                continue
+            for size in _SHORT + longer(text[i : i + 3], ()):
+                j = i + size
+                if j > n:
+                    break
+                w = get(text[i:j])
+                if w is not None:
+                    new, old = here + w, mass[j]
+                    if new > old:
+                        new, old = old, new
+                    # old is the larger one now
+                    mass[j] = old + log1p(exp(new - old)) if new - old > -40.0 else old
+        return mass[n]
 
     def expect(self, word: bytes, total: dict[bytes, float]) -> None:
         """Add how often each piece is expected in the word, over its segmentations."""
         mass, edges = self.forward(word)
         back = [0.0] * len(mass)  # backward mass over the total, in plain numbers
         back[-1] = 1.0
-        scale = [math.exp(min(0.0, x - mass[-1])) if x > -math.inf else 0.0 for x in mass]
-        if len(mass) > 60 or min(x for x in scale) < 1e-250:
+        if mass[-1] < -500.0:
             return self._expect_log(mass, edges, total)
         for i, j, piece, w in reversed(edges):
             if back[j]:
@@ -237,8 +257,11 @@ def score(docs: DataFrame, mod: int = 5, keep_out: int = 1, vocabulary: str = VO
     facts = vocab.agg(F.sum("c"), F.count(F.when(F.col("c") > 0, 1))).first()
     n, v = facts[0] or 0, facts[1]
     kappa = choose_kappa(vocab, n)
-    # At most `head` words have a count of n / head or more.
-    top = vocab.where((F.col("c") * head >= n) & (F.col("c") > 0)).toArrow()
+    # The lowest count of the words to broadcast: as many as `head` allows, in steps of two.
+    steps = [max(1, n >> k) for k in range(6, 40)]
+    sizes = vocab.agg(*[F.count(F.when(F.col("c") >= c, 1)).alias(f"s{i}") for i, c in enumerate(steps)]).first()
+    least = min([c for i, c in enumerate(steps) if sizes[f"s{i}"] <= head], default=n + 1)
+    top = vocab.where(F.col("c") >= least).toArrow()
     shared = spark.sparkContext.broadcast(
         dict(zip(top["word"].to_pylist(), zip(top["c"].to_pylist(), top["s"].to_pylist(), strict=True), strict=True))
     )
@@ -278,10 +301,10 @@ def score(docs: DataFrame, mod: int = 5, keep_out: int = 1, vocabulary: str = VO
         cols.append(pa.ListArray.from_arrays(pa.array(cuts, pa.int32()), tail))
         yield pa.RecordBatch.from_arrays(cols, ["doc_id", *out, "tail"])
 
-    # Rows get a number each from what they hold and where they stand in the written table.
+    # Numbers of rows are fixed by being written.
     scored = materialise(
         map_rows(docs, "doc_id long, n_tokens long, n_known long, base double, lp double, tail array<struct<w:binary,t:long>>", first)
-        .withColumn("row", F.expr("uuid()")),
+        .withColumn("row", F.monotonically_increasing_id()),
         "lattice-rows",
     )
     lookup = scored.select("row", F.explode("tail").alias("x")).select("row", F.col("x.w").alias("word"), F.col("x.t").alias("t"))
@@ -295,7 +318,7 @@ def score(docs: DataFrame, mod: int = 5, keep_out: int = 1, vocabulary: str = VO
             cols = [b.column(0), pa.array(known), pa.array(t * np.log10(c + 0.5)), pa.array(log_terms(c, s, t))]
             yield pa.RecordBatch.from_arrays(cols, ["row", "k", "b", "l"])
 
-    more = found.mapInArrow(rest, "row string, k long, b double, l double").groupBy("row").agg(
+    more = found.mapInArrow(rest, "row long, k long, b double, l double").groupBy("row").agg(
         F.sum("k").alias("k"), F.sum("b").alias("b"), F.sum("l").alias("l")
     )
     zero = F.lit(0)
