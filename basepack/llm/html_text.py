@@ -150,10 +150,13 @@ def extract(html: str | None) -> str:
     if parser.saw_main and any(x[3] for x in lines):
         kept = [x[0] for x in lines if x[3]]
     elif lines:
-        ratios = smooth([math.log1p(len(text) / max(1, tags)) for text, tags, _, _ in lines])
-        cut = threshold(ratios)
-        # Two clusters are told apart only if they differ; else the page is all content.
-        kept = [x[0] for x, r in zip(lines, ratios, strict=True) if r >= cut or max(ratios) - min(ratios) < 1.0]
+        own = [math.log1p(len(text) / max(1, tags)) for text, tags, _, _ in lines]
+        near = smooth(own)
+        cut = threshold(near)
+        # Two clusters are told apart only if lines differ; else the page is all content. A line of markup
+        # beside content is lifted by smoothing, so its own ratio has to reach half of the cut too.
+        flat = max(own) - min(own) < 1.0
+        kept = [x[0] for x, r, o in zip(lines, near, own, strict=True) if flat or r >= cut and 2 * o >= cut]
     else:
         kept = []
     return " ".join(kept)

@@ -309,8 +309,9 @@ def dedup_report(docs: DataFrame) -> DataFrame:
 def without_repeats(docs: DataFrame) -> DataFrame:
     """docs with repeated strings cut from text (a character cut in two goes) and n_chars set anew; rows cut to nothing go."""
     others = [c for c in docs.columns if c not in ("doc_id", "text")]
-    joined = _with_spans(docs).select(F.col("given_id").alias("doc_id"), "text", "spans", *others)
-    joined = joined.select("doc_id", "text", *others, "spans")
+    # Other columns travel in one struct, so that none clashes with the names used here.
+    rest = F.struct(F.lit(0).alias("_"), *[F.col(c) for c in others]).alias("rest")
+    joined = _with_spans(docs.select("doc_id", "text", rest)).select(F.col("given_id").alias("doc_id"), "text", "rest", "spans")
 
     def one(batch):
         keep, texts = [], []
@@ -323,5 +324,5 @@ def without_repeats(docs: DataFrame) -> DataFrame:
         yield pa.RecordBatch.from_arrays(cols, names).filter(pa.array(keep, pa.bool_()))
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in joined.drop("spans").schema)
-    out = map_rows(joined, schema, one).select(*docs.columns)
+    out = map_rows(joined, schema, one).select("doc_id", "text", *[F.col("rest").getField(c).alias(c) for c in others]).select(*docs.columns)
     return out.withColumn("n_chars", F.length("text").cast("long")) if "n_chars" in docs.columns else out

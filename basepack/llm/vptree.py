@@ -199,17 +199,3 @@ def search_report(embeddings: DataFrame) -> DataFrame:
     v = materialise(usable(embeddings), "vp-vectors")
     return nearest(v, v.where(F.col("vec_id") % 100 == 0))
 
-
-#: DuckDB form: all distances of the queries, exact.
-NEAREST_SQL = """
-WITH v AS (
-  SELECT vec_id::BIGINT AS vec_id, embedding::DOUBLE[] AS e FROM embeddings
-  WHERE vec_id IS NOT NULL AND embedding IS NOT NULL
-    AND len(list_filter(embedding, x -> x IS NULL OR NOT isfinite(x))) = 0
-    AND len(list_filter(embedding, x -> x <> 0)) > 0),
-d AS (
-  SELECT q.vec_id AS query_id, c.vec_id, list_distance(q.e, c.e) AS score
-  FROM v q JOIN v c ON q.vec_id <> c.vec_id WHERE q.vec_id % 100 = 0),
-r AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score, vec_id)::INT AS rank FROM d)
-SELECT query_id, rank, vec_id, round(score, 9) AS score FROM r WHERE rank <= 10
-"""
