@@ -138,7 +138,7 @@ def _byte_group(s, d):
 
 
 Q["byte_group_reshape"] = _byte_group
-SQL["byte_group_reshape"] = f"WITH {EM}, g AS (SELECT * FROM (VALUES (2), (4)) t(g)), f AS (SELECT g, seg, i // g AS r, flatten(list(vec ORDER BY i)) AS v FROM em, g GROUP BY ALL) SELECT g, seg, r, len(v)::INT AS width, round(list_sum(v), 6) AS total, round(v[-1], 6) AS last FROM f"
+SQL["byte_group_reshape"] = f"WITH {EM}, g AS (SELECT * FROM (VALUES (2), (4)) t(g)), f AS (SELECT g, seg, i // g AS r, flatten(list(vec ORDER BY i)) AS v FROM em, g GROUP BY ALL) SELECT g, seg, r, len(v)::INT AS width, round(list_sum(v), 6) + 0.0::DOUBLE AS total, round(v[-1], 6) + 0.0::DOUBLE AS last FROM f"
 
 
 def _shapes(s, d):
@@ -193,25 +193,25 @@ SQL["conv1d_windows"] = f"WITH {EV}, {CONV} SELECT seq_id, pos::BIGINT AS pos, y
 Q["maxpool_3"] = lambda s, d: _conv(s, d).groupBy("seq_id", F.expr("pos div 3").alias("i")).agg(F.max(F.greatest("y", F.lit(0.0))).alias("y"))
 SQL["maxpool_3"] = f"WITH {EV}, {CONV} SELECT seq_id, (pos // 3)::BIGINT AS i, max(greatest(y, 0.0::DOUBLE)) AS y FROM cy GROUP BY 1, 2"
 Q["layer_norm"] = lambda s, d: T.layer_norm_df(S.segments(s, d)).select("seg", "i", "d", F.round("y", 6).alias("y"))
-SQL["layer_norm"] = f"WITH {EM}, r AS (SELECT seg, i, unnest(range(0, 64)) AS d, unnest(vec) AS x FROM em) SELECT seg, i, d::INT AS d, round((x - avg(x) OVER w) / sqrt(var_pop(x) OVER w + 1e-5), 6) AS y FROM r WINDOW w AS (PARTITION BY seg, i)"
+SQL["layer_norm"] = f"WITH {EM}, r AS (SELECT seg, i, unnest(range(0, 64)) AS d, unnest(vec) AS x FROM em) SELECT seg, i, d::INT AS d, round((x - avg(x) OVER w) / sqrt(var_pop(x) OVER w + 1e-5), 6) + 0.0::DOUBLE AS y FROM r WINDOW w AS (PARTITION BY seg, i)"
 GELU = "0.5 * x * (1 + tanh(sqrt(2 / pi()) * (x + 0.044715 * x * x * x)))"
 Q["gelu_table"] = lambda s, d: s.range(-32, 33).select((F.col("id") / 8.0).alias("x")).select("x", F.expr(f"round({GELU}, 9)").alias("y"))
-SQL["gelu_table"] = f"SELECT x, round({GELU}, 9) AS y FROM (SELECT i / 8.0::DOUBLE AS x FROM range(-32, 33) t(i))"
+SQL["gelu_table"] = f"SELECT x, round({GELU}, 9) + 0.0::DOUBLE AS y FROM (SELECT i / 8.0::DOUBLE AS x FROM range(-32, 33) t(i))"
 Q["sinusoid_table"] = lambda s, d: T.sinusoid_df(s).select("i", "d", F.round("g", 9).alias("g"))
 SIN = "CASE WHEN d % 2 = 0 THEN sin(i / pow(10000.0::DOUBLE, (d // 2) * 2 / 64.0::DOUBLE)) ELSE cos(i / pow(10000.0::DOUBLE, (d // 2) * 2 / 64.0::DOUBLE)) END"
-SQL["sinusoid_table"] = f"SELECT i, d::INT AS d, round({SIN}, 9) AS g FROM range(0, 13) a(i), range(0, 64) b(d)"
+SQL["sinusoid_table"] = f"SELECT i, d::INT AS d, round({SIN}, 9) + 0.0::DOUBLE AS g FROM range(0, 13) a(i), range(0, 64) b(d)"
 Q["relative_offsets"] = lambda s, d: s.range(13).select(F.col("id").alias("i"), F.explode(F.sequence(F.lit(-13).cast("long"), F.lit(12).cast("long"))).alias("j")).withColumn("delta", F.col("i") - F.col("j"))
 SQL["relative_offsets"] = "SELECT i, j, i - j AS delta FROM range(0, 13) a(i), range(-13, 13) b(j)"
 Q["scores_absolute"] = lambda s, d: T.scores_absolute(S.segments(s, d)).select("seg", "i", "j", F.round("a", 6).alias("a"))
-SQL["scores_absolute"] = f"WITH {EM}, g AS (SELECT i, list({SIN} ORDER BY d) AS g FROM range(0, 13) a(i), range(0, 64) b(d) GROUP BY i), c AS (SELECT seg, em.i, list_transform(list_zip(vec, g), lambda z: z[1] + z[2]) AS x FROM em JOIN g USING (i)) SELECT a.seg, a.i, b.i AS j, round(list_dot_product(a.x, b.x), 6) AS a FROM c a JOIN c b USING (seg)"
+SQL["scores_absolute"] = f"WITH {EM}, g AS (SELECT i, list({SIN} ORDER BY d) AS g FROM range(0, 13) a(i), range(0, 64) b(d) GROUP BY i), c AS (SELECT seg, em.i, list_transform(list_zip(vec, g), lambda z: z[1] + z[2]) AS x FROM em JOIN g USING (i)) SELECT a.seg, a.i, b.i AS j, round(list_dot_product(a.x, b.x), 6) + 0.0::DOUBLE AS a FROM c a JOIN c b USING (seg)"
 Q["scores_relative"] = lambda s, d: T.scores_relative(S.segments(s, d)).select("seg", "i", "j", F.round("a", 6).alias("a"))
-SQL["scores_relative"] = f"WITH {EM}, g AS (SELECT i AS delta, list({SIN} ORDER BY d) AS g FROM range(-12, 13) a(i), range(0, 64) b(d) GROUP BY i) SELECT a.seg, a.i, b.i AS j, round(list_dot_product(list_transform(a.vec, lambda x: x + 0.125::DOUBLE), b.vec) + list_dot_product(list_transform(a.vec, lambda x: x - 0.25::DOUBLE), g.g), 6) AS a FROM em a JOIN em b USING (seg) JOIN g ON g.delta = a.i - b.i"
+SQL["scores_relative"] = f"WITH {EM}, g AS (SELECT i AS delta, list({SIN} ORDER BY d) AS g FROM range(-12, 13) a(i), range(0, 64) b(d) GROUP BY i) SELECT a.seg, a.i, b.i AS j, round(list_dot_product(list_transform(a.vec, lambda x: x + 0.125::DOUBLE), b.vec) + list_dot_product(list_transform(a.vec, lambda x: x - 0.25::DOUBLE), g.g), 6) + 0.0::DOUBLE AS a FROM em a JOIN em b USING (seg) JOIN g ON g.delta = a.i - b.i"
 
 
 def attend_sql(keys: str, queries: str = "SELECT seg, i, vec AS q FROM em") -> str:
     return f"""q AS ({queries}), k AS ({keys}), s AS (SELECT q.seg, q.i, k.k, list_dot_product(q.q, k.k) / 8 AS s FROM q JOIN k USING (seg)),
   e AS (SELECT seg, i, k, exp(s - max(s) OVER w) AS e FROM s WINDOW w AS (PARTITION BY seg, i)), a AS (SELECT seg, i, k, e / sum(e) OVER (PARTITION BY seg, i) AS a FROM e)
-  SELECT seg, i, d::INT AS d, round(sum(a * x), 6) AS o FROM (SELECT seg, i, a, unnest(range(0, 64)) AS d, unnest(k) AS x FROM a) GROUP BY seg, i, d"""
+  SELECT seg, i, d::INT AS d, round(sum(a * x), 6) + 0.0::DOUBLE AS o FROM (SELECT seg, i, a, unnest(range(0, 64)) AS d, unnest(k) AS x FROM a) GROUP BY seg, i, d"""
 
 
 def _attend(m):
@@ -229,7 +229,7 @@ def _latent_sql():
     for t in range(3):
         keys = f"SELECT vec AS k FROM em WHERE seg = {t}" + (f" UNION ALL SELECT vec FROM h{t - 1}" if t else "")
         ctes.append(f"k{t} AS ({keys}), s{t} AS (SELECT i, k, list_dot_product(vec, k) / 8 AS s FROM em, k{t} WHERE seg = {t}), e{t} AS (SELECT i, k, exp(s - max(s) OVER (PARTITION BY i)) AS e FROM s{t}), a{t} AS (SELECT i, k, e / sum(e) OVER (PARTITION BY i) AS a FROM e{t}), o{t} AS (SELECT i, d, sum(a * x) AS o FROM (SELECT i, a, unnest(range(0, 64)) AS d, unnest(k) AS x FROM a{t}) GROUP BY i, d), h{t} AS (SELECT i, list(o ORDER BY d) AS vec FROM o{t} GROUP BY i)")
-        union.append(f"SELECT {t}::BIGINT AS seg, i, d::INT AS d, round(o, 6) AS o FROM o{t}")
+        union.append(f"SELECT {t}::BIGINT AS seg, i, d::INT AS d, round(o, 6) + 0.0::DOUBLE AS o FROM o{t}")
     return "WITH " + ", ".join(ctes) + " " + " UNION ALL ".join(union)
 
 
