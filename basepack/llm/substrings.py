@@ -9,7 +9,9 @@ without overlap. Segments are grouped by their minimiser:
 * equal segments (64-bit minimiser hash and 64-bit content hash) seen twice repeat in all their starts;
 * different segments of one minimiser are laid side by side and their suffixes are sorted in two
   stages: only suffixes smaller than their successors are sorted directly, all others are induced by
-  one scan over the buckets of first bytes. Adjacent common prefixes of 200 bytes or more are repeats.
+  one scan over the buckets of first bytes. Adjacent common prefixes of 200 bytes or more are repeats;
+* a minimiser with over 50 000 different segments (one passage in very many contexts) would be too much
+  for one task: its strings are counted by 128-bit content hash instead, over all tasks.
 
 Texts are read from the tables by each pass; what is shuffled is 28 bytes per segment, the bytes of
 distinct segments that share a minimiser with others, and each text once for every join that needs it.
@@ -38,6 +40,8 @@ STRETCH = 1 << 18
 POS_BITS = 20
 #: Segments are gathered up to this many bytes before they are sorted; a larger group is sorted whole.
 SORT_BYTES = 1 << 19
+#: Minimisers with more different segments than this are counted by hash.
+CROWD = 50_000
 
 
 def _mix(x: np.ndarray, k: int) -> np.ndarray:
@@ -226,11 +230,35 @@ def sort_groups(batches):
         yield flush(kept)
 
 
-def cut_segments(docs: DataFrame, wanted: DataFrame) -> DataFrame:
-    """(h, c, seg) for wanted (doc_id, tk, h, c, lo, n), one text looked up for all it holds."""
+def _wanted_texts(docs: DataFrame, wanted: DataFrame) -> DataFrame:
+    """(text, segs): one text looked up for all that is wanted of it; wanted: doc_id, tk, h, c, lo, n."""
     lists = wanted.groupBy("doc_id", "tk").agg(F.collect_list(F.struct("h", "c", "lo", "n")).alias("segs"))
-    joined = docs.join(lists.hint("shuffle_hash"), ["tk", "doc_id"]).select("text", "segs")
+    return docs.join(lists.hint("shuffle_hash"), ["tk", "doc_id"]).select("text", "segs")
+
 
+def crowded_runs(docs: DataFrame, wanted: DataFrame) -> DataFrame:
+    """(h, c, a, len) for minimisers with very many segments: strings counted by hash, map-side combined."""
+    def one(batch):
+        h, c, a, x, y = [], [], [], [], []
+        for text, segs in zip(byte_column(batch, "text"), batch.column(1).to_pylist(), strict=True):
+            for s in segs:
+                for i in range(s["n"]):
+                    w = text[s["lo"] + i : s["lo"] + i + LENGTH]
+                    h.append(s["h"])
+                    c.append(s["c"])
+                    a.append(i)
+                    x.append(xxhash.xxh64_intdigest(w, 1) - (1 << 63))
+                    y.append(xxhash.xxh64_intdigest(w, 2) - (1 << 63))
+        cols = [pa.array(v, pa.int64()) for v in (h, c)] + [pa.array(a, pa.int32())] + [pa.array(v, pa.int64()) for v in (x, y)]
+        yield pa.RecordBatch.from_arrays(cols, ["h", "c", "a", "x", "y"])
+
+    strings = map_rows(_wanted_texts(docs, wanted), "h long, c long, a int, x long, y long", one).distinct()
+    often = strings.groupBy("h", "x", "y").agg(F.count("*").alias("k")).where("k > 1").select("h", "x", "y")
+    return strings.join(often, ["h", "x", "y"]).select("h", "c", "a", F.lit(1).alias("len"))
+
+
+def cut_segments(docs: DataFrame, wanted: DataFrame) -> DataFrame:
+    """(h, c, seg): the bytes of wanted segments."""
     def one(batch):
         h, c, seg = [], [], []
         for text, segs in zip(byte_column(batch, "text"), batch.column(1).to_pylist(), strict=True):
@@ -240,7 +268,7 @@ def cut_segments(docs: DataFrame, wanted: DataFrame) -> DataFrame:
                 seg.append(text[s["lo"] : s["lo"] + s["n"] + LENGTH - 1])
         yield pa.RecordBatch.from_arrays([pa.array(h, pa.int64()), pa.array(c, pa.int64()), pa.array(seg, pa.binary())], ["h", "c", "seg"])
 
-    return map_rows(joined, "h long, c long, seg binary", one)
+    return map_rows(_wanted_texts(docs, wanted), "h long, c long, seg binary", one)
 
 
 def keyed(docs: DataFrame) -> DataFrame:
@@ -255,11 +283,15 @@ def repeated_runs(docs: DataFrame) -> DataFrame:
     kinds = materialise(
         some.groupBy("h", "c").agg(F.count("*").alias("k"), F.min(F.struct("doc_id", "tk", "lo", "n")).alias("at")), "substr-kinds"
     )
-    mixed = kinds.groupBy("h").agg(F.count("*").alias("m")).where("m > 1").select("h")
-    reps = kinds.join(mixed, "h", "left_semi").select("h", "c", "at.doc_id", "at.tk", "at.lo", "at.n")
-    found = cut_segments(docs.select("doc_id", "tk", "text"), reps).repartition("h").sortWithinPartitions("h", "c")
+    mixed = kinds.groupBy("h").agg(F.count("*").alias("m")).where("m > 1")
+    mixed = materialise(mixed, "substr-mixed")
+    texts, fields = docs.select("doc_id", "tk", "text"), ("h", "c", "at.doc_id", "at.tk", "at.lo", "at.n")
+    found = cut_segments(texts, kinds.join(mixed.where(F.col("m") <= CROWD), "h", "left_semi").select(*fields)).repartition("h").sortWithinPartitions("h", "c")
     sorted_runs = found.mapInArrow(sort_groups, "h long, c long, a int, len int")
     full = kinds.where("k > 1").select("h", "c", F.lit(0).alias("a"), F.col("at.n").alias("len"))
+    crowds = mixed.where(F.col("m") > CROWD)
+    if not crowds.isEmpty():
+        sorted_runs = sorted_runs.unionByName(crowded_runs(texts, kinds.join(crowds, "h", "left_semi").select(*fields)))
     parts = sorted_runs.join(full.select("h", "c"), ["h", "c"], "left_anti")
     runs = materialise(parts.unionByName(full), "substr-runs")
     lo = F.col("lo") + F.col("a")

@@ -124,7 +124,9 @@ def brute_repeats(texts):
         yield len(x), int(gone.sum()), runs, hashlib.sha256(bytes(b for b, g in zip(x, gone, strict=True) if not g)).hexdigest()
 
 
-def test_substrings_equal_brute_force(docs, rows):
+@pytest.mark.parametrize("crowd", [50_000, 1])
+def test_substrings_equal_brute_force(docs, rows, crowd, monkeypatch):
+    monkeypatch.setattr(substrings, "CROWD", crowd)
     got = sorted(((-1 if r[0] is None else r[0]), *r[1:]) for r in map(tuple, substrings.dedup_report(docs).collect()))
     want = sorted((-1 if r[0] is None else r[0], *x) for r, x in zip(rows, brute_repeats([(r[1] or "").encode() for r in rows]), strict=True))
     assert got == want
