@@ -7,16 +7,19 @@ The file's scores are merge ranks r, so piece weights follow the rank law 1 / (r
 pieces, bytes covering whatever no piece spells; word starts are part of the pieces, so a text's marginal
 is the product of its words' marginals.
 
-The existing weights decide how the corpus is segmented; the expected piece counts of all its learnt words
-then adapt the weights (one expectation step, the pieces stay). The spelling model is the base measure of
-what the corpus teaches:
+Texts fall into classes, one for each of the most frequent `lang` values of the learning rows (one class without
+them); a text's class is found from its own byte trigrams alone. The existing weights decide how a class is
+segmented; the expected piece counts of all its learnt words then adapt the weights (one expectation step, the
+pieces stay). The spelling model is part of the base measure of what the corpus teaches:
 
-    P(w)       = (count(w) + kappa * spell(w)) / (tokens + kappa)
-    P(w | doc) = (seen so far in the document(w) + rho * P(w)) / (tokens so far + rho)
+    q(w)         = (1 - share) * spell_k(w) + share * count(w) / tokens
+    P(w)         = (max(count_k(w) - D_k, 0) + D_k * types_k * q(w)) / tokens_k
+    P(w | doc)   = (seen so far in the document(w) + rho * P(w)) / (tokens so far + rho)
+    P(text)      = prior(k) * product of P(w | doc)
 
-kappa maximises the leave-one-out likelihood of the learning tokens over a grid; rho is a parameter. Both
-forms sum to one over all spellings, and a document's probability does not depend on the order of its
-words, so it is scored from word counts.
+The discount D_k is n1 / (n1 + 2 n2), by how many types occur once and twice. All word forms sum to one over
+all spellings, so summed over texts the probabilities are at most one (a text takes its one class, not the sum over
+classes). A document's probability does not depend on the order of its words, so it is scored from word counts.
 
 Counts are taken over all words of all documents (map-side combined). The most frequent words, `head` at
 most whatever the corpus, are broadcast; all others are joined by shuffle, one row for each word of a
@@ -36,12 +39,16 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import byte_column, fold, map_rows, materialise, words_of
+from .common import ASCII_LOWER, byte_column, fold, map_rows, materialise, words_of
 
 VOCABULARY = "/opt/tokenizers/piece_bpe_32k.model"
 HEAD = 250_000
-RHO = 1000.0
-KAPPAS = tuple(4.0**k for k in range(2, 16))
+RHO = 3000.0
+#: Share of the pooled word frequencies in the base measure.
+SHARE = 0.05
+CLASSES = 8
+#: Hashed byte trigrams that tell classes apart.
+BINS = 4096
 END = b""
 LN10 = math.log(10)
 
@@ -164,169 +171,251 @@ class Spelling:
                 total[piece] = total.get(piece, 0.0) + math.exp(mass[i] + w + back[j] - mass[-1])
 
 
-def adapt(counts: DataFrame, pieces: dict[bytes, float], strength: float = 0.02) -> dict[bytes, float]:
-    """Piece weights for this corpus: what the existing weights make expected in its learnt words, each word
-    once, mixed with those weights. At most one row a piece and task is sent on; no piece is added or dropped."""
-    shared = counts.sparkSession.sparkContext.broadcast(pieces)
+class Classes:
+    """Which class a text belongs to: the most likely one by hashed byte trigrams. Log shares are whole multiples of
+    1 / 1024, so that the choice is the same on every machine."""
 
-    def one(batches):
-        model, total = Spelling(shared.value), {}
+    def __init__(self, log_shares: np.ndarray) -> None:
+        self.log_shares = np.rint(1024 * log_shares).astype(np.int64)  # BINS x classes
+
+    @property
+    def n(self) -> int:
+        return self.log_shares.shape[1]
+
+    def of(self, data: bytes | None) -> int:
+        if self.n == 1 or not data:
+            return 0
+        return int(np.argmax(trigrams(data) @ self.log_shares))
+
+
+def trigrams(data: bytes) -> np.ndarray:
+    """How often each bin occurs; A-Z in lower case, in stretches of bounded size."""
+    found = np.zeros(BINS, np.int64)
+    text = np.frombuffer(data.translate(ASCII_LOWER), np.uint8)
+    for i in range(0, max(0, len(text) - 2), 1 << 20):
+        x = text[i : i + (1 << 20) + 2].astype(np.uint32)
+        h = ((x[:-2] << 16) | (x[1:-1] << 8) | x[2:]) * np.uint32(2654435761)
+        found += np.bincount(h >> np.uint32(20), minlength=BINS)
+    return found
+
+
+def fit_classes(docs: DataFrame, mod: int, keep_out: int, most: int = CLASSES) -> Classes:
+    """docs: doc_id, text, lang. Trigram counts of all learning rows with one of the `most` most frequent languages."""
+    one_class = Classes(np.zeros((BINS, 1)))
+    learn = docs.where((fold("doc_id", mod) != keep_out) & F.col("lang").isNotNull() & F.col("text").isNotNull())
+    names = [r["lang"] for r in learn.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(most).collect()]
+    if len(names) < 2:
+        return one_class
+    number = {x: k for k, x in enumerate(names)}
+
+    def count(batches):
+        total = np.zeros((len(number), BINS), np.int64)
         for b in batches:
-            for w in b.column(0).to_pylist():
-                model.expect(w, total)
-        yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.binary()), pa.array(list(total.values()), pa.float64())], ["piece", "e"])
+            for text, lang in zip(byte_column(b, "text"), b.column(1).to_pylist(), strict=True):
+                total[number[lang]] += trigrams(text)
+        k, at = np.nonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(k, pa.int32()), pa.array(at, pa.int32()), pa.array(total[k, at])], ["k", "bin", "c"])
+
+    rows = learn.where(F.col("lang").isin(names)).select("text", "lang").mapInArrow(count, "k int, bin int, c long")
+    total = np.full((BINS, len(names)), 0.5)
+    for r in rows.groupBy("k", "bin").agg(F.sum("c").alias("c")).collect():  # at most classes x bins
+        total[r["bin"], r["k"]] += r["c"]
+    return Classes(np.log(total / total.sum(axis=0)))
 
-    seen = counts.where("c > 0").select("word").mapInArrow(one, "piece binary, e double")
-    rows = seen.groupBy("piece").agg(F.sum("e").alias("e")).collect()
-    found = {bytes(r["piece"]): r["e"] for r in rows}
-    total = sum(found.values())
-    if not total:
-        return pieces
-    return {p: math.log(strength * math.exp(w) + (1 - strength) * found.get(p, 0.0) / total) for p, w in pieces.items()}
 
+def adapt(vocab: DataFrame, pieces: dict[bytes, float], classes: int, strength: float = 0.02) -> list[dict[bytes, float]]:
+    """Piece weights of each class, from the existing weights and what they make expected in its learnt words, each
+    word once. At most one row a class, piece and task is sent on; no piece is added or dropped."""
+    shared = vocab.sparkSession.sparkContext.broadcast(pieces)
 
-def word_counts(docs: DataFrame, mod: int, keep_out: int) -> DataFrame:
-    """(word, c): count in the learning documents of every word of any document, the end included."""
+    def one(batches):
+        model, totals = Spelling(shared.value), [{} for _ in range(classes)]
+        for b in batches:
+            for w, k in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                model.expect(w, totals[k])
+        for k, total in enumerate(totals):
+            cols = [pa.array([k] * len(total), pa.int32()), pa.array(list(total), pa.binary()), pa.array(list(total.values()), pa.float64())]
+            yield pa.RecordBatch.from_arrays(cols, ["k", "piece", "e"])
+
+    seen = vocab.where("n > 0").select("word", "k").mapInArrow(one, "k int, piece binary, e double")
+    found: list[dict[bytes, float]] = [{} for _ in range(classes)]
+    for r in seen.groupBy("k", "piece").agg(F.sum("e").alias("e")).collect():  # at most classes x pieces
+        found[r["k"]][bytes(r["piece"])] = r["e"]
+    out = []
+    for f in found:
+        total = sum(f[p] for p in sorted(f))
+        out.append({p: math.log(strength * math.exp(w) + (1 - strength) * f.get(p, 0.0) / total) for p, w in pieces.items()} if total else pieces)
+    return out
+
+
+def word_counts(docs: DataFrame, classes: Classes, mod: int, keep_out: int) -> DataFrame:
+    """(word, c, by): count in the learning documents of every word of any document, the end included, and the same
+    for each class in which it occurs, as (k, n)."""
     slim = docs.select(F.when(fold("doc_id", mod) != keep_out, 1).otherwise(0).alias("learn"), "text")
+    shared = docs.sparkSession.sparkContext.broadcast(classes)
+    every = range(classes.n)
 
     def count(batches):
-        total: Counter = Counter()
-        other: set = set()
+        model = shared.value
+        total, other = [Counter() for _ in every], [set() for _ in every]
         for b in batches:
             for learn, text in zip(b.column(0).to_pylist(), byte_column(b, "text"), strict=True):
-                words = words_of(text)
+                words, k = words_of(text), model.of(text)
                 if learn:
-                    total.update(words)
-                    total[END] += 1
+                    total[k].update(words)
+                    total[k][END] += 1
                 else:
-                    other.update(words)
-                    other.add(END)
-            if len(total) + len(other) > 200_000:  # bounded memory: send on what there is
-                yield rows(total, other)
-                total, other = Counter(), set()
-        yield rows(total, other)
+                    other[k].update(words)
+                    other[k].add(END)
+            if sum(map(len, total)) + sum(map(len, other)) > 200_000:  # bounded memory: send on what there is
+                yield from rows(total, other)
+                total, other = [Counter() for _ in every], [set() for _ in every]
+        yield from rows(total, other)
 
     def rows(total, other):
-        other = other.difference(total)
-        cols = [pa.array([*total, *other], pa.binary()), pa.array([*total.values(), *([0] * len(other))], pa.int64())]
-        return pa.RecordBatch.from_arrays(cols, ["word", "c"])
+        for k in every:
+            new = other[k].difference(total[k])
+            words, n = [*total[k], *new], [*total[k].values(), *([0] * len(new))]
+            yield pa.RecordBatch.from_arrays([pa.array(words, pa.binary()), pa.array([k] * len(n), pa.int32()), pa.array(n, pa.int64())], ["word", "k", "n"])
 
-    return slim.mapInArrow(count, "word binary, c long").groupBy("word").agg(F.sum("c").alias("c"))
+    found = slim.mapInArrow(count, "word binary, k int, n long").groupBy("word").agg(
+        F.sum("n").alias("c"), *[F.sum(F.when(F.col("k") == k, F.col("n"))).alias(f"n{k}") for k in every]
+    )
+    by = F.filter(F.array(*[F.struct(F.lit(k).alias("k"), F.col(f"n{k}").alias("n")) for k in every]), lambda x: x["n"].isNotNull())
+    return found.select("word", "c", by.alias("by"))
 
 
-def spelt(counts: DataFrame, pieces: dict[bytes, float]) -> DataFrame:
-    """(word, c, s): s is the log probability of the spelling."""
-    shared = counts.sparkSession.sparkContext.broadcast(pieces)
+def spelt(vocab: DataFrame, weights: list[dict[bytes, float]]) -> DataFrame:
+    """(word, k, c, n, s): s is the log probability of the spelling in class k."""
+    shared = vocab.sparkSession.sparkContext.broadcast(weights)
 
     def one(batches):
-        model = Spelling(shared.value)
+        models = [Spelling(p) for p in shared.value]
         for b in batches:
-            s = [model.log_prob(w) for w in b.column(0).to_pylist()]
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(s, pa.float64())], ["word", "c", "s"])
+            s = [models[k].log_prob(w) for w, k in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True)]
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(s, pa.float64())], ["word", "k", "c", "n", "s"])
+
+    return vocab.mapInArrow(one, "word binary, k int, c long, n long, s double")
+
 
-    return counts.mapInArrow(one, "word binary, c long, s double")
+class Words:
+    """log P(w) of words of one or more classes, from class facts of fixed size."""
 
+    def __init__(self, tokens: int, classes: int, facts: list, share: float) -> None:
+        size, types = np.zeros(classes), np.zeros(classes)
+        discount = np.full(classes, 0.5)
+        for k, n, v, n1, n2 in facts:
+            size[k], types[k] = n, v
+            if n1 and n2:
+                discount[k] = n1 / (n1 + 2 * n2)
+        self.discount = np.where(size > 0, discount, 0.0)
+        self.size = np.maximum(size, 1)
+        #: Mass that goes to the base measure; all of it where a class has learnt nothing.
+        self.spread = np.where(size > 0, discount * types / self.size, 1.0)
+        self.tokens, self.share = max(tokens, 1), share if tokens else 0.0
 
-def choose_kappa(vocab: DataFrame, tokens: int, grid=KAPPAS) -> float:
-    """Best leave-one-out likelihood of the learning tokens."""
-    if tokens < 2:
-        return grid[0]
-    terms = [
-        F.sum(F.col("c") * F.log((F.col("c") - 1 + F.lit(k) * F.exp("s") + F.lit(1e-300)) / F.lit(tokens - 1 + k))).alias(f"k{i}")
-        for i, k in enumerate(grid)
-    ]
-    row = vocab.where("c > 0").agg(*terms).first()
-    return grid[max(range(len(grid)), key=lambda i: row[f"k{i}"])]
+    def log_p(self, k, c, n, s) -> np.ndarray:
+        seen = np.maximum(n - self.discount[k], 0) / self.size[k] + self.spread[k] * self.share * c / self.tokens
+        with np.errstate(divide="ignore"):
+            return np.logaddexp(np.log(seen), np.log(self.spread[k] * (1 - self.share)) + s)
 
 
-def rising(p: np.ndarray, times: np.ndarray) -> np.ndarray:
+def rising(log_x: np.ndarray, times: np.ndarray) -> np.ndarray:
     """log of x (x + 1) ... (x + times - 1)."""
-    out = np.log(p)
-    more = np.flatnonzero(times > 1)
-    for i in more:
-        out[i] += np.log(p[i] + np.arange(1, times[i])).sum()
+    out = log_x.copy()
+    for i in np.flatnonzero(times > 1):
+        out[i] += np.log(np.exp(log_x[i]) + np.arange(1, times[i])).sum()
     return out
 
 
-def score(docs: DataFrame, mod: int = 5, keep_out: int = 1, vocabulary: str = VOCABULARY, head: int = HEAD, rho: float = RHO) -> DataFrame:
-    """docs: doc_id, text. The contract's columns for every row."""
+def score(docs: DataFrame, mod: int = 5, keep_out: int = 1, vocabulary: str = VOCABULARY, head: int = HEAD, rho: float = RHO, share: float = SHARE) -> DataFrame:
+    """docs: doc_id, text and, if there is one, lang. The contract's columns for every row."""
     spark = docs.sparkSession
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    counts = materialise(word_counts(docs, mod, keep_out), "lattice-counts")
-    vocab = materialise(spelt(counts, adapt(counts, load_pieces(vocabulary))), "lattice-vocab")
-    facts = vocab.agg(F.sum("c"), F.count(F.when(F.col("c") > 0, 1))).first()
+    lang = F.col("lang").cast("string") if "lang" in docs.columns else F.lit(None).cast("string")
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", lang.alias("lang"))
+    classes = fit_classes(docs, mod, keep_out)
+    docs = docs.drop("lang")
+    counts = materialise(word_counts(docs, classes, mod, keep_out), "lattice-counts")
+    flat = counts.select("word", F.explode("by").alias("x"), "c").select("word", "x.k", "c", "x.n")
+    vocab = materialise(spelt(flat, adapt(flat, load_pieces(vocabulary), classes.n)), "lattice-vocab")
+    facts = counts.agg(F.sum("c"), F.count(F.when(F.col("c") > 0, 1))).first()
     n, v = facts[0] or 0, facts[1]
-    kappa = choose_kappa(vocab, n)
+    ones = [F.count(F.when(cond, 1)) for cond in (F.col("n") > 0, F.col("n") == 1, F.col("n") == 2)]
+    model = Words(n, classes.n, [tuple(r) for r in vocab.groupBy("k").agg(F.sum("n"), *ones).collect()], share)
+    ends = {r["k"]: r["n"] for r in vocab.where(F.col("word") == F.lit(END)).collect()}  # learning documents of each class
+    prior = np.log(np.array([ends.get(k, 0) + 1.0 for k in range(classes.n)]) / (sum(ends.values()) + classes.n))
     # The lowest count of the words to broadcast: as many as `head` allows, in steps of two.
     steps = [max(1, n >> k) for k in range(6, 40)]
-    sizes = vocab.agg(*[F.count(F.when(F.col("c") >= c, 1)).alias(f"s{i}") for i, c in enumerate(steps)]).first()
+    sizes = vocab.agg(*[F.count(F.when(F.col("n") >= c, 1)).alias(f"s{i}") for i, c in enumerate(steps)]).first()
     least = min([c for i, c in enumerate(steps) if sizes[f"s{i}"] <= head], default=n + 1)
-    top = vocab.where(F.col("c") >= least).toArrow()
-    shared = spark.sparkContext.broadcast(
-        dict(zip(top["word"].to_pylist(), zip(top["c"].to_pylist(), top["s"].to_pylist(), strict=True), strict=True))
-    )
+    known: list[dict] = [{} for _ in range(classes.n)]
+    for b in vocab.where(F.col("n") >= least).toArrow().to_batches():
+        for w, k, *rest_ in zip(*(x.to_pylist() for x in b.columns), strict=True):
+            known[k][w] = rest_
+    shared = spark.sparkContext.broadcast((classes, known))
     base = math.log10(n + 0.5 * (v + 1))
 
-    def log_terms(c, s, times):
-        p = (c + kappa * np.exp(s)) / (n + kappa)
-        return rising(rho * p + 1e-300, times)
+    def log_terms(k, c, n, s, times):
+        return rising(math.log(rho) + model.log_p(k, c, n, s), times)
 
     def first(batch):
         """What the broadcast words give; the rest as a list of (word, times)."""
         ids, texts = batch.column(0), byte_column(batch, "text")
-        out = {k: [] for k in ("n_tokens", "n_known", "base", "lp")}
+        out = {x: [] for x in ("n_tokens", "n_known", "base", "lp", "k")}
         tail_w, tail_t, cuts = [], [], [0]
-        seen = shared.value
+        find, known = shared.value
         for text in texts:
             words = Counter(words_of(text))
             words[END] += 1
-            cs, ss, ts = [], [], []
+            k = find.of(text)
+            seen = known[k]
+            hits, ts = [], []
             for w, t in words.items():
                 if (hit := seen.get(w)) is not None:
-                    cs.append(hit[0])
-                    ss.append(hit[1])
+                    hits.append(hit)
                     ts.append(t)
                 else:
                     tail_w.append(w)
                     tail_t.append(t)
             cuts.append(len(tail_w))
-            c, s, t = np.array(cs, float), np.array(ss, float), np.array(ts, np.int64)
+            c, m, s = np.array(hits, float).reshape(-1, 3).T
+            t = np.array(ts, np.int64)
             total = sum(words.values())
             out["n_tokens"].append(total)
             out["n_known"].append(int(t.sum()))
             out["base"].append(float((t * np.log10(c + 0.5)).sum()) - base * total)
-            out["lp"].append(float(log_terms(c, s, t).sum()) - float(np.log(rho + np.arange(total)).sum()))
+            out["lp"].append(float(prior[k] + log_terms(k, c, m, s, t).sum()) - float(np.log(rho + np.arange(total)).sum()))
+            out["k"].append(k)
         tail = pa.StructArray.from_arrays([pa.array(tail_w, pa.binary()), pa.array(tail_t, pa.int64())], ["w", "t"])
-        cols = [ids, *(pa.array(x, pa.int64() if i < 2 else pa.float64()) for i, x in enumerate(out.values()))]
+        cols = [ids, *(pa.array(x, pa.int64() if i < 2 else pa.float64() if i < 4 else pa.int32()) for i, x in enumerate(out.values()))]
         cols.append(pa.ListArray.from_arrays(pa.array(cuts, pa.int32()), tail))
         yield pa.RecordBatch.from_arrays(cols, ["doc_id", *out, "tail"])
 
     # Numbers of rows are fixed by being written.
     scored = materialise(
-        map_rows(docs, "doc_id long, n_tokens long, n_known long, base double, lp double, tail array<struct<w:binary,t:long>>", first)
+        map_rows(docs, "doc_id long, n_tokens long, n_known long, base double, lp double, k int, tail array<struct<w:binary,t:long>>", first)
         .withColumn("row", F.monotonically_increasing_id()),
         "lattice-rows",
     )
-    lookup = scored.select("row", F.explode("tail").alias("x")).select("row", F.col("x.w").alias("word"), F.col("x.t").alias("t"))
-    found = lookup.join(vocab, "word").select("row", "c", "s", "t")
+    lookup = scored.select("row", "k", F.explode("tail").alias("x")).select("row", "k", F.col("x.w").alias("word"), F.col("x.t").alias("t"))
+    found = lookup.join(vocab, ["word", "k"]).select("row", "k", "c", "n", "s", "t")
 
     def rest(batches):
         for b in batches:
-            c, s, t = (b.column(i).to_numpy().astype(float) for i in (1, 2, 3))
-            t = t.astype(np.int64)
-            known = np.where(c > 0, t, 0)
-            cols = [b.column(0), pa.array(known), pa.array(t * np.log10(c + 0.5)), pa.array(log_terms(c, s, t))]
-            yield pa.RecordBatch.from_arrays(cols, ["row", "k", "b", "l"])
-
-    more = found.mapInArrow(rest, "row long, k long, b double, l double").groupBy("row").agg(
-        F.sum("k").alias("k"), F.sum("b").alias("b"), F.sum("l").alias("l")
+            c, m, s = (b.column(i).to_numpy().astype(float) for i in (2, 3, 4))
+            k, t = b.column(1).to_numpy(), b.column(5).to_numpy()
+            cols = [b.column(0), pa.array(np.where(c > 0, t, 0)), pa.array(t * np.log10(c + 0.5)), pa.array(log_terms(k, c, m, s, t))]
+            yield pa.RecordBatch.from_arrays(cols, ["row", "known", "b", "l"])
+
+    more = found.mapInArrow(rest, "row long, known long, b double, l double").groupBy("row").agg(
+        F.sum("known").alias("known"), F.sum("b").alias("b"), F.sum("l").alias("l")
     )
     zero = F.lit(0)
-    return scored.drop("tail").join(more, "row", "left").select(
+    return scored.drop("tail", "k").join(more, "row", "left").select(
         "doc_id",
         (fold("doc_id", mod) == keep_out).alias("held_out"),
         "n_tokens",
-        (F.col("n_known") + F.coalesce("k", zero)).alias("n_known"),
+        (F.col("n_known") + F.coalesce("known", zero)).alias("n_known"),
         F.lit(n).cast("long").alias("train_tokens"),
         (F.col("base") + F.coalesce("b", F.lit(0.0))).alias("base_score"),
         ((F.col("lp") + F.coalesce("l", F.lit(0.0))) / LN10).alias("score"),

@@ -281,3 +281,18 @@ def test_awkward_and_empty_tables(spark, docs, rows, empty):
         assert run(empty, none).count() == 0
     for r in toxicity.toxicity_report(docs, labels).collect():
         assert 0 <= r["score"] <= 1
+
+
+def test_lattice_beats_the_base_score_on_held_out_rows(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text", "lang")
+    got = lattice.score(docs).where("held_out").agg({"score": "sum", "base_score": "sum"}).first()
+    assert got["sum(score)"] > got["sum(base_score)"]
+
+
+def test_lattice_words_sum_to_one():
+    """All known words and one unseen spelling share the mass of a class."""
+    c, n, s = np.array([5, 1, 1, 3, 0]), np.array([4, 1, 0, 2, 0]), np.log([0.2, 0.1, 0.3, 0.15, 0.25])
+    m = lattice.Words(10, 2, [(0, 7, 3, 1, 1)], 0.05)
+    zero = np.zeros(5, int)
+    assert math.isclose(np.exp(m.log_p(zero, c, n, s)).sum(), 1)
+    assert math.isclose(np.exp(m.log_p(zero + 1, c, n * 0, s)).sum(), 1)  # a class that has learnt nothing
