@@ -9,8 +9,8 @@ is the product of its words' marginals.
 
 Texts fall into classes, one for each of the most frequent `lang` values of the learning rows (one class without
 them); a text's class is found from its own byte trigrams alone. The existing weights decide how a class is
-segmented; the expected piece counts of all its learnt words then adapt the weights (one expectation step, the
-pieces stay). The spelling model is part of the base measure of what the corpus teaches:
+segmented; expected piece counts of its learnt words then adapt the weights (the pieces stay): a first step over the
+words seen `often` times, which are few and set the direction, and a second over all words. The spelling model is part of the base measure of what the corpus teaches:
 
     q(w)         = (1 - share) * spell_k(w) + share * count(w) / tokens
     P(w)         = (max(count_k(w) - D_k, 0) + D_k * types_k * q(w)) / tokens_k
@@ -39,7 +39,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ASCII_LOWER, byte_column, fold, map_rows, materialise, words_of
+from .common import ASCII_LOWER, blocks, byte_column, fold, map_rows, materialise, words_of
 
 VOCABULARY = "/opt/tokenizers/piece_bpe_32k.model"
 HEAD = 250_000
@@ -47,6 +47,8 @@ RHO = 3000.0
 #: Share of the pooled word frequencies in the base measure.
 SHARE = 0.05
 CLASSES = 8
+#: Words seen this often set the direction of the adaptation.
+OFTEN = 16
 #: Hashed byte trigrams that tell classes apart.
 BINS = 4096
 END = b""
@@ -173,10 +175,10 @@ class Spelling:
 
 class Classes:
     """Which class a text belongs to: the most likely one by hashed byte trigrams. Log shares are whole multiples of
-    1 / 1024, so that the choice is the same on every machine."""
+    1 / 1024, whose sums are exact in any order, so that the choice is the same on every machine."""
 
     def __init__(self, log_shares: np.ndarray) -> None:
-        self.log_shares = np.rint(1024 * log_shares).astype(np.int64)  # BINS x classes
+        self.log_shares = np.rint(1024 * log_shares)  # BINS x classes
 
     @property
     def n(self) -> int:
@@ -185,7 +187,7 @@ class Classes:
     def of(self, data: bytes | None) -> int:
         if self.n == 1 or not data:
             return 0
-        return int(np.argmax(trigrams(data) @ self.log_shares))
+        return int(np.argmax(trigrams(data).astype(float) @ self.log_shares))
 
 
 def trigrams(data: bytes) -> np.ndarray:
@@ -223,28 +225,29 @@ def fit_classes(docs: DataFrame, mod: int, keep_out: int, most: int = CLASSES) -
     return Classes(np.log(total / total.sum(axis=0)))
 
 
-def adapt(vocab: DataFrame, pieces: dict[bytes, float], classes: int, strength: float = 0.02) -> list[dict[bytes, float]]:
-    """Piece weights of each class, from the existing weights and what they make expected in its learnt words, each
-    word once. At most one row a class, piece and task is sent on; no piece is added or dropped."""
-    shared = vocab.sparkSession.sparkContext.broadcast(pieces)
+def adapt(vocab: DataFrame, pieces: dict[bytes, float], now: list[dict[bytes, float]], strength: float = 0.005) -> list[dict[bytes, float]]:
+    """Piece weights of each class, from the existing weights and what those of now make expected in the words of vocab,
+    each word once. At most one row a class, piece and task is sent on; no piece is added or dropped."""
+    shared = vocab.sparkSession.sparkContext.broadcast(now)
+    classes = len(now)
 
     def one(batches):
-        model, totals = Spelling(shared.value), [{} for _ in range(classes)]
+        models, totals = [Spelling(p) for p in shared.value], [{} for _ in range(classes)]
         for b in batches:
             for w, k in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
-                model.expect(w, totals[k])
+                models[k].expect(w, totals[k])
         for k, total in enumerate(totals):
             cols = [pa.array([k] * len(total), pa.int32()), pa.array(list(total), pa.binary()), pa.array(list(total.values()), pa.float64())]
             yield pa.RecordBatch.from_arrays(cols, ["k", "piece", "e"])
 
-    seen = vocab.where("n > 0").select("word", "k").mapInArrow(one, "k int, piece binary, e double")
+    seen = vocab.select("word", "k").mapInArrow(one, "k int, piece binary, e double")
     found: list[dict[bytes, float]] = [{} for _ in range(classes)]
     for r in seen.groupBy("k", "piece").agg(F.sum("e").alias("e")).collect():  # at most classes x pieces
         found[r["k"]][bytes(r["piece"])] = r["e"]
     out = []
-    for f in found:
+    for f, w_now in zip(found, now, strict=True):
         total = sum(f[p] for p in sorted(f))
-        out.append({p: math.log(strength * math.exp(w) + (1 - strength) * f.get(p, 0.0) / total) for p, w in pieces.items()} if total else pieces)
+        out.append({p: math.log(strength * math.exp(w) + (1 - strength) * f.get(p, 0.0) / total) for p, w in pieces.items()} if total else w_now)
     return out
 
 
@@ -323,12 +326,17 @@ class Words:
 def rising(log_x: np.ndarray, times: np.ndarray) -> np.ndarray:
     """log of x (x + 1) ... (x + times - 1)."""
     out = log_x.copy()
-    for i in np.flatnonzero(times > 1):
+    more = np.flatnonzero(times > 1)
+    small = more[times[more] <= 64]
+    for i in range(1, int(times[small].max(initial=1))):
+        on = small[times[small] > i]
+        out[on] += np.log(np.exp(log_x[on]) + i)
+    for i in more[times[more] > 64]:
         out[i] += np.log(np.exp(log_x[i]) + np.arange(1, times[i])).sum()
     return out
 
 
-def score(docs: DataFrame, mod: int = 5, keep_out: int = 1, vocabulary: str = VOCABULARY, head: int = HEAD, rho: float = RHO, share: float = SHARE) -> DataFrame:
+def score(docs: DataFrame, mod: int = 5, keep_out: int = 1, vocabulary: str = VOCABULARY, head: int = HEAD, rho: float = RHO, share: float = SHARE, often: int = OFTEN) -> DataFrame:
     """docs: doc_id, text and, if there is one, lang. The contract's columns for every row."""
     spark = docs.sparkSession
     lang = F.col("lang").cast("string") if "lang" in docs.columns else F.lit(None).cast("string")
@@ -337,7 +345,10 @@ def score(docs: DataFrame, mod: int = 5, keep_out: int = 1, vocabulary: str = VO
     docs = docs.drop("lang")
     counts = materialise(word_counts(docs, classes, mod, keep_out), "lattice-counts")
     flat = counts.select("word", F.explode("by").alias("x"), "c").select("word", "x.k", "c", "x.n")
-    vocab = materialise(spelt(flat, adapt(flat, load_pieces(vocabulary), classes.n)), "lattice-vocab")
+    pieces = load_pieces(vocabulary)
+    weights = adapt(flat.where(F.col("n") >= often), pieces, [pieces] * classes.n)
+    weights = adapt(flat.where("n > 0"), pieces, weights)
+    vocab = materialise(spelt(flat, weights), "lattice-vocab")
     facts = counts.agg(F.sum("c"), F.count(F.when(F.col("c") > 0, 1))).first()
     n, v = facts[0] or 0, facts[1]
     ones = [F.count(F.when(cond, 1)) for cond in (F.col("n") > 0, F.col("n") == 1, F.col("n") == 2)]
@@ -350,46 +361,55 @@ def score(docs: DataFrame, mod: int = 5, keep_out: int = 1, vocabulary: str = VO
     least = min([c for i, c in enumerate(steps) if sizes[f"s{i}"] <= head], default=n + 1)
     known: list[dict] = [{} for _ in range(classes.n)]
     for b in vocab.where(F.col("n") >= least).toArrow().to_batches():
-        for w, k, *rest_ in zip(*(x.to_pylist() for x in b.columns), strict=True):
-            known[k][w] = rest_
+        c, m, s = (b.column(i).to_numpy().astype(float) for i in (2, 3, 4))
+        k = b.column(1).to_numpy()
+        terms = zip(np.log10(c + 0.5).tolist(), model.log_p(k, c, m, s).tolist(), strict=True)
+        for w, i, t in zip(b.column(0).to_pylist(), k.tolist(), terms, strict=True):
+            known[i][w] = t
     shared = spark.sparkContext.broadcast((classes, known))
     base = math.log10(n + 0.5 * (v + 1))
 
-    def log_terms(k, c, n, s, times):
-        return rising(math.log(rho) + model.log_p(k, c, n, s), times)
+    def log_terms(log_p, times):
+        return rising(math.log(rho) + log_p, times)
 
     def first(batch):
         """What the broadcast words give; the rest as a list of (word, times)."""
-        ids, texts = batch.column(0), byte_column(batch, "text")
-        out = {x: [] for x in ("n_tokens", "n_known", "base", "lp", "k")}
-        tail_w, tail_t, cuts = [], [], [0]
+        texts = byte_column(batch, "text")
+        for a, z in blocks([len(x or b"") for x in texts]):
+            yield first_block(batch.column(0)[a:z], texts[a:z])
+
+    def first_block(ids, texts):
         find, known = shared.value
+        total, classes_, hits, times, hit_cuts = [], [], [], [], [0]
+        tail_w, tail_t, cuts = [], [], [0]
         for text in texts:
             words = Counter(words_of(text))
             words[END] += 1
             k = find.of(text)
             seen = known[k]
-            hits, ts = [], []
             for w, t in words.items():
                 if (hit := seen.get(w)) is not None:
                     hits.append(hit)
-                    ts.append(t)
+                    times.append(t)
                 else:
                     tail_w.append(w)
                     tail_t.append(t)
             cuts.append(len(tail_w))
-            c, m, s = np.array(hits, float).reshape(-1, 3).T
-            t = np.array(ts, np.int64)
-            total = sum(words.values())
-            out["n_tokens"].append(total)
-            out["n_known"].append(int(t.sum()))
-            out["base"].append(float((t * np.log10(c + 0.5)).sum()) - base * total)
-            out["lp"].append(float(prior[k] + log_terms(k, c, m, s, t).sum()) - float(np.log(rho + np.arange(total)).sum()))
-            out["k"].append(k)
+            hit_cuts.append(len(hits))
+            total.append(words.total())
+            classes_.append(k)
+        row = np.repeat(np.arange(len(texts)), np.diff(hit_cuts))
+        log_c, log_p = np.array(hits, float).reshape(-1, 2).T
+        t, size, k = np.array(times, np.int64), np.array(total, np.int64), np.array(classes_, np.int64)
+
+        def summed(x):
+            return np.bincount(row, x, len(texts))
+
+        lp = prior[k] + summed(log_terms(log_p, t)) - rising(np.full(len(size), math.log(rho)), size)
         tail = pa.StructArray.from_arrays([pa.array(tail_w, pa.binary()), pa.array(tail_t, pa.int64())], ["w", "t"])
-        cols = [ids, *(pa.array(x, pa.int64() if i < 2 else pa.float64() if i < 4 else pa.int32()) for i, x in enumerate(out.values()))]
+        cols = [ids, pa.array(size), pa.array(summed(t).astype(np.int64)), pa.array(summed(t * log_c) - base * size), pa.array(lp), pa.array(k, pa.int32())]
         cols.append(pa.ListArray.from_arrays(pa.array(cuts, pa.int32()), tail))
-        yield pa.RecordBatch.from_arrays(cols, ["doc_id", *out, "tail"])
+        return pa.RecordBatch.from_arrays(cols, ["doc_id", "n_tokens", "n_known", "base", "lp", "k", "tail"])
 
     # Numbers of rows are fixed by being written.
     scored = materialise(
@@ -404,7 +424,7 @@ def score(docs: DataFrame, mod: int = 5, keep_out: int = 1, vocabulary: str = VO
         for b in batches:
             c, m, s = (b.column(i).to_numpy().astype(float) for i in (2, 3, 4))
             k, t = b.column(1).to_numpy(), b.column(5).to_numpy()
-            cols = [b.column(0), pa.array(np.where(c > 0, t, 0)), pa.array(t * np.log10(c + 0.5)), pa.array(log_terms(k, c, m, s, t))]
+            cols = [b.column(0), pa.array(np.where(c > 0, t, 0)), pa.array(t * np.log10(c + 0.5)), pa.array(log_terms(model.log_p(k, c, m, s), t))]
             yield pa.RecordBatch.from_arrays(cols, ["row", "known", "b", "l"])
 
     more = found.mapInArrow(rest, "row long, known long, b double, l double").groupBy("row").agg(
