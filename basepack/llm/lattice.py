@@ -10,7 +10,7 @@ is the product of its words' marginals.
 Texts fall into classes, one for each of the most frequent `lang` values of the learning rows (one class without
 them); a text's class is found from its own byte trigrams alone. The existing weights decide how a class is
 segmented; expected piece counts of its learnt words then adapt the weights (the pieces stay): a first step over the
-words seen `often` times, which are few and set the direction, and a second over all words. The spelling model is part of the base measure of what the corpus teaches:
+words seen `often` times, which are few and set the direction, and a second over all words seen `again`. The spelling model is part of the base measure of what the corpus teaches:
 
     q(w)         = (1 - share) * spell_k(w) + share * count(w) / tokens
     P(w)         = (max(count_k(w) - D_k, 0) + D_k * types_k * q(w)) / tokens_k
@@ -49,6 +49,8 @@ SHARE = 0.05
 CLASSES = 8
 #: Words seen this often set the direction of the adaptation.
 OFTEN = 16
+#: Words seen this often are what the adapted weights are made of; words seen once are left to the discount.
+AGAIN = 2
 #: Hashed byte trigrams that tell classes apart.
 BINS = 4096
 END = b""
@@ -336,7 +338,7 @@ def rising(log_x: np.ndarray, times: np.ndarray) -> np.ndarray:
     return out
 
 
-def score(docs: DataFrame, mod: int = 5, keep_out: int = 1, vocabulary: str = VOCABULARY, head: int = HEAD, rho: float = RHO, share: float = SHARE, often: int = OFTEN) -> DataFrame:
+def score(docs: DataFrame, mod: int = 5, keep_out: int = 1, vocabulary: str = VOCABULARY, head: int = HEAD, rho: float = RHO, share: float = SHARE, often: int = OFTEN, again: int = AGAIN) -> DataFrame:
     """docs: doc_id, text and, if there is one, lang. The contract's columns for every row."""
     spark = docs.sparkSession
     lang = F.col("lang").cast("string") if "lang" in docs.columns else F.lit(None).cast("string")
@@ -347,7 +349,7 @@ def score(docs: DataFrame, mod: int = 5, keep_out: int = 1, vocabulary: str = VO
     flat = counts.select("word", F.explode("by").alias("x"), "c").select("word", "x.k", "c", "x.n")
     pieces = load_pieces(vocabulary)
     weights = adapt(flat.where(F.col("n") >= often), pieces, [pieces] * classes.n)
-    weights = adapt(flat.where("n > 0"), pieces, weights)
+    weights = adapt(flat.where(F.col("n") >= again), pieces, weights)
     vocab = materialise(spelt(flat, weights), "lattice-vocab")
     facts = counts.agg(F.sum("c"), F.count(F.when(F.col("c") > 0, 1))).first()
     n, v = facts[0] or 0, facts[1]
@@ -359,14 +361,16 @@ def score(docs: DataFrame, mod: int = 5, keep_out: int = 1, vocabulary: str = VO
     steps = [max(1, n >> k) for k in range(6, 40)]
     sizes = vocab.agg(*[F.count(F.when(F.col("n") >= c, 1)).alias(f"s{i}") for i, c in enumerate(steps)]).first()
     least = min([c for i, c in enumerate(steps) if sizes[f"s{i}"] <= head], default=n + 1)
-    known: list[dict] = [{} for _ in range(classes.n)]
+    known: list[dict] = [{} for _ in range(classes.n)]  # word -> column of terms
+    terms, number = [np.zeros((2, 0))], 0
     for b in vocab.where(F.col("n") >= least).toArrow().to_batches():
         c, m, s = (b.column(i).to_numpy().astype(float) for i in (2, 3, 4))
         k = b.column(1).to_numpy()
-        terms = zip(np.log10(c + 0.5).tolist(), model.log_p(k, c, m, s).tolist(), strict=True)
-        for w, i, t in zip(b.column(0).to_pylist(), k.tolist(), terms, strict=True):
-            known[i][w] = t
-    shared = spark.sparkContext.broadcast((classes, known))
+        terms.append(np.stack((np.log10(c + 0.5), model.log_p(k, c, m, s))))
+        for w, i in zip(b.column(0).to_pylist(), k.tolist(), strict=True):
+            known[i][w] = number
+            number += 1
+    shared = spark.sparkContext.broadcast((classes, known, np.concatenate(terms, axis=1)))
     base = math.log10(n + 0.5 * (v + 1))
 
     def log_terms(log_p, times):
@@ -379,7 +383,7 @@ def score(docs: DataFrame, mod: int = 5, keep_out: int = 1, vocabulary: str = VO
             yield first_block(batch.column(0)[a:z], texts[a:z])
 
     def first_block(ids, texts):
-        find, known = shared.value
+        find, known, terms = shared.value
         total, classes_, hits, times, hit_cuts = [], [], [], [], [0]
         tail_w, tail_t, cuts = [], [], [0]
         for text in texts:
@@ -399,7 +403,7 @@ def score(docs: DataFrame, mod: int = 5, keep_out: int = 1, vocabulary: str = VO
             total.append(words.total())
             classes_.append(k)
         row = np.repeat(np.arange(len(texts)), np.diff(hit_cuts))
-        log_c, log_p = np.array(hits, float).reshape(-1, 2).T
+        log_c, log_p = terms[:, np.array(hits, np.int64)]
         t, size, k = np.array(times, np.int64), np.array(total, np.int64), np.array(classes_, np.int64)
 
         def summed(x):
