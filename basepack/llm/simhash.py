@@ -58,14 +58,16 @@ def fingerprint(data: bytes | None) -> int:
     return int.from_bytes(np.packbits(bits, bitorder="little").tobytes(), "little")
 
 
-def fingerprints(docs: DataFrame) -> DataFrame:
-    """(doc_id, fp): fp is the fingerprint as a signed 64-bit number."""
+def fingerprints(docs: DataFrame, digest: bool = False) -> DataFrame:
+    """(doc_id, fp): fp is the fingerprint as a signed 64-bit number. digest: a binary column that goes along."""
+    more = ["digest"] if digest else []
 
     def one(batch):
         fps = np.array([fingerprint(x) for x in byte_column(batch, "text")], dtype=np.uint64).view(np.int64)
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps, pa.int64())], ["doc_id", "fp"])
+        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps, pa.int64()), *batch.columns[2:]], ["doc_id", "fp", *more])
 
-    return map_rows(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), "doc_id long, fp long", one)
+    schema = "doc_id long, fp long" + (", digest binary" if digest else "")
+    return map_rows(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", *more), schema, one)
 
 
 def variants(nodes: DataFrame) -> DataFrame:
@@ -219,15 +221,19 @@ def classes(edges: DataFrame) -> DataFrame:
     raise RuntimeError(f"classes did not settle in {ROUNDS} rounds")
 
 
+def rooted(nodes: DataFrame) -> DataFrame:
+    """nodes (one row a fingerprint fp, and other columns) with the root of each one's class."""
+    roots = classes(links(nodes.select("fp")).select(F.col("a").alias("u"), F.col("b").alias("v")))
+    with_root = nodes.join(roots, nodes["fp"] == roots["u"], "left").select(*nodes.columns, F.coalesce("v", "fp").alias("root"))
+    return materialise(with_root, "simhash-roots")
+
+
 def cluster(docs: DataFrame) -> DataFrame:
     """(doc_id, fingerprint, component_id) for every row of docs (columns doc_id, text)."""
     fps = materialise(fingerprints(docs), "simhash-fp")
-    nodes = materialise(fps.groupBy("fp").agg(F.min("doc_id").alias("first_id")), "simhash-nodes")
-    roots = classes(links(nodes.select("fp")).select(F.col("a").alias("u"), F.col("b").alias("v")))
-    rooted = nodes.join(roots, nodes["fp"] == roots["u"], "left").select("fp", "first_id", F.coalesce("v", "fp").alias("root"))
-    rooted = materialise(rooted, "simhash-roots")
-    named = rooted.groupBy("root").agg(F.min("first_id").alias("component_id"))
-    table = rooted.join(named, "root").select("fp", "component_id")
+    nodes = rooted(materialise(fps.groupBy("fp").agg(F.min("doc_id").alias("first_id")), "simhash-nodes"))
+    named = nodes.groupBy("root").agg(F.min("first_id").alias("component_id"))
+    table = nodes.join(named, "root").select("fp", "component_id")
     return fps.join(table, "fp").select(
         "doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id"
     )
@@ -238,10 +244,16 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
-    """docs with one document of each class: the one whose id names it (one of them, if rows repeat)."""
-    named = cluster(docs.select("doc_id", "text")).where(F.col("doc_id").eqNullSafe(F.col("component_id")))
-    heads = named.select(F.coalesce("doc_id", F.lit(-1)).alias("head"), F.col("doc_id").isNull().alias("none")).distinct()
-    kept = docs.join(
-        heads, (F.coalesce(docs["doc_id"], F.lit(-1)) == heads["head"]) & (docs["doc_id"].isNull() == heads["none"]), "left_semi"
-    )
-    return kept.dropDuplicates(["doc_id"])
+    """docs with one document of each class: the one whose id names it, by least text digest if the id repeats.
+
+    A row is known by its id (which may be null) and the digest of its text. Equal texts are in one class, so such a
+    key lies in one class, and of rows with one key any one stands for all."""
+    digest = F.unhex(F.md5(F.coalesce("text", F.lit("")).cast("binary")))
+    fps = fingerprints(docs.select("doc_id", "text", digest.alias("digest")), digest=True)
+    key = F.struct(F.col("doc_id").isNull().alias("none"), F.coalesce("doc_id", F.lit(0)).alias("head"), F.col("digest").alias("head_digest"))
+    nodes = rooted(materialise(fps.groupBy("fp").agg(F.min(key).alias("key")), "simhash-nodes"))
+    heads = nodes.groupBy("root").agg(F.min("key").alias("key")).select("key.*")
+    marked = docs.withColumn("__digest", digest)
+    same_id = (F.coalesce(marked["doc_id"].cast("long"), F.lit(0)) == heads["head"]) & (marked["doc_id"].isNull() == heads["none"])
+    kept = marked.join(heads, same_id & (marked["__digest"] == heads["head_digest"]), "left_semi")
+    return kept.dropDuplicates(["doc_id", "__digest"]).drop("__digest")

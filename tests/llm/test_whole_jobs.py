@@ -1,10 +1,11 @@
 """Training-data operators do the whole of their job: no row, word or class is left out."""
 
+import random
 from collections import Counter
 
 import pytest
 
-from basepack.llm import lattice
+from basepack.llm import lattice, simhash
 
 
 def test_lattice_adapts_to_every_learnt_word(spark, monkeypatch):
@@ -28,3 +29,23 @@ def test_lattice_adapts_to_every_learnt_word(spark, monkeypatch):
     monkeypatch.setattr(lattice, "spelt", lambda vocab, weights: used.append(weights) or spelt(vocab, weights))
     assert lattice.score(spark.createDataFrame(rows, "doc_id long, text string")).count() == len(rows)
     assert {p: lattice.math.exp(x) for p, x in used[0][0].items()} == pytest.approx(want, rel=1e-6)
+
+
+def test_keep_one_keeps_one_of_every_class(spark):
+    """Null ids on unrelated texts, one id on texts of several classes, an id that heads one class and is in another."""
+    rng = random.Random(5)
+
+    def words():
+        return " ".join(rng.choice("abcdefghijklmnop") * rng.randint(1, 9) for _ in range(80))
+
+    a, b, c, d, e = (words() for _ in range(5))
+    rows = [(None, words()) for _ in range(6)] + [(7, a), (7, b), (7, c), (3, b), (9, c), (9, a), (None, a), (None, d), (None, d), (11, e), (11, e)]
+    rows += [(None, None), (None, ""), (12, " ")]
+    docs = spark.createDataFrame([(*r, i) for i, r in enumerate(rows)], "doc_id long, text string, n int").repartition(3)
+    kept = simhash.keep_one(docs).collect()
+    every = Counter(simhash.fingerprint((t or "").encode()) for _, t in rows)
+    assert all((x ^ y).bit_count() > 3 for x in every for y in every if x != y)  # a fingerprint is a class here
+    assert Counter(simhash.fingerprint((r["text"] or "").encode()) for r in kept) == Counter(list(every))
+    first = {r["text"]: r["doc_id"] for r in kept}
+    assert (first[a], first[b], first[c], first[d], first[e], first[" "]) == (7, 3, 7, None, 11, 12)
+    assert set(kept[0].asDict()) == {"doc_id", "text", "n"}
