@@ -62,13 +62,22 @@ def raw2_back(df: DataFrame) -> DataFrame:
     return A.merge_unknown(df.withColumn("bases", bases)).select("seq_id", "bases")
 
 
-def bwt_rows(df: DataFrame, size: int = 60) -> DataFrame:
-    """(seq_id, last): block-sorting transform spelled out: sorted rotations of each sequence's first block with an end mark."""
-    s = F.concat(F.substring("bases", 1, size), F.lit("$"))
-    rot = df.select("seq_id", s.alias("s")).select("seq_id", "s", F.explode(F.sequence(F.lit(0), F.length("s") - 1)).alias("i"))
-    rot = rot.select("seq_id", F.concat(F.substring("s", F.col("i") + 1, F.length("s")), F.substring("s", F.lit(1), F.col("i"))).alias("r"))
+def bwt_blocks(df: DataFrame, size: int = 60) -> DataFrame:
+    """(seq_id, block, last): block-sorting transform spelled out: sorted rotations of each block of each sequence with an
+    end mark. An empty sequence is one empty block."""
+    blocks = F.sequence(F.lit(0), F.greatest(F.ceil(F.length("bases") / size).cast("int"), F.lit(1)) - 1)
+    cut = df.select("seq_id", "bases", F.explode(blocks).alias("block"))
+    s = F.concat(F.substring("bases", F.col("block") * size + 1, F.lit(size)), F.lit("$"))
+    rot = cut.select("seq_id", F.col("block").cast("long").alias("block"), s.alias("s"))
+    rot = rot.select("seq_id", "block", "s", F.explode(F.sequence(F.lit(0), F.length("s") - 1)).alias("i"))
+    rot = rot.select("seq_id", "block", F.concat(F.substring("s", F.col("i") + 1, F.length("s")), F.substring("s", F.lit(1), F.col("i"))).alias("r"))
     ordered = F.sort_array(F.collect_list("r"))
-    return rot.groupBy("seq_id").agg(F.array_join(F.transform(ordered, lambda x: F.right(x, F.lit(1))), "").alias("last"))
+    return rot.groupBy("seq_id", "block").agg(F.array_join(F.transform(ordered, lambda x: F.right(x, F.lit(1))), "").alias("last"))
+
+
+def bwt_rows(df: DataFrame, size: int = 60) -> DataFrame:
+    """(seq_id, last): the transform of each sequence's first block only; bwt_blocks has all of them."""
+    return bwt_blocks(df.withColumn("bases", F.substring("bases", 1, size)), size).select("seq_id", "last")
 
 
 def bwt_inverse(last: str) -> str:
