@@ -56,6 +56,38 @@ def attend_latent(seg: DataFrame, steps: int = 3) -> DataFrame:
     return out
 
 
+def attend_latent_whole(seg: DataFrame, scale: float = 8.0) -> DataFrame:
+    """attend_latent over all segments in order. One chain: every output needs the one before, so one task holds one
+    segment and one state at a time. A missing segment ends the chain, as it does in attend_latent."""
+    import numpy as np
+    import pandas as pd
+
+    def run(batches):
+        now, rows, last, state = None, [], None, None
+
+        def close():
+            nonlocal last, state
+            q = np.array([v for _, v in rows], float)
+            keys = np.concatenate((state, q)) if state is not None and last == now - 1 else q
+            a = q @ keys.T / scale
+            a = np.exp(a - a.max(axis=1, keepdims=True))
+            last, state = now, a / a.sum(axis=1, keepdims=True) @ keys
+            return pd.DataFrame({"seg": now, "i": [i for i, _ in rows], "o": list(state)})
+
+        for b in batches:
+            for s, i, v in zip(b["seg"], b["i"], b["vec"], strict=True):
+                if s != now and rows:
+                    yield close()
+                    rows = []
+                now = s
+                rows.append((i, v))
+        if rows:
+            yield close()
+
+    one = seg.select(F.col("seg").cast("long").alias("seg"), F.col("i").cast("long").alias("i"), "vec").repartition(1).sortWithinPartitions("seg", "i")
+    return one.mapInPandas(run, "seg long, i long, o array<double>").select("seg", "i", F.posexplode("o").alias("d", "o"))
+
+
 def sinusoid_df(spark: SparkSession, n: int = 13, d: int = 64, freq_base: float = 10000.0, first: int = 0) -> DataFrame:
     """(i, d, g): sines on even components, cosines on odd ones."""
     grid = spark.range(first, first + n).select(F.col("id").alias("i"), F.explode(F.sequence(F.lit(0), F.lit(d - 1))).alias("d"))

@@ -2,7 +2,7 @@
 
 Every query runs over its whole table, except those whose SQL is fixed to a start of it: interval_encode, interval_decode
 and shortest_tag (12 bases), bwt_transform (60 bases), attend_latent_cut (three segments). interval_blocks_encode,
-interval_blocks_decode, shortest_tag_blocks and bwt_blocks go over all of it. Floats are rounded; codec sizes are asserted in tests instead of hashed.
+interval_blocks_decode, shortest_tag_blocks, bwt_blocks and attend_latent_whole go over all of it. Floats are rounded; codec sizes are asserted in tests instead of hashed.
 """
 
 from __future__ import annotations
@@ -236,6 +236,7 @@ def _latent_sql():
 
 
 SQL["attend_latent_cut"] = _latent_sql()
+Q["attend_latent_whole"] = lambda s, d: T.attend_latent_whole(S.segments(s, d)).select("seg", "i", "d", F.round("o", 6).alias("o"))
 Q["softmax_rows"] = lambda s, d: T.scores(S.segments(s, d).select("seg", "i", F.col("vec").alias("q")), S.segments(s, d).select("seg", F.col("i").alias("j"), F.col("vec").alias("k"))).groupBy("seg", "i").agg(F.round(F.log(F.sum(F.exp("s"))), 6).alias("log_sum"))
 SQL["softmax_rows"] = f"WITH {EM} SELECT a.seg, a.i, round(ln(sum(exp(list_dot_product(a.vec, b.vec) / 8))), 6) AS log_sum FROM em a JOIN em b USING (seg) GROUP BY 1, 2"
 Q["dot_products"] = lambda s, d: S.load(s, d, "embeddings").select("vec_id", F.round(T.dot(F.col("embedding").cast("array<double>"), F.col("embedding").cast("array<double>")), 6).alias("norm2"))

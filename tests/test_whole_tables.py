@@ -1,5 +1,7 @@
 """Queries that go over all of their table, where an older one stops after its start."""
 
+import numpy as np
+
 from basepack import queries as K
 from basepack.operators import general
 from basepack.sources import tables as S
@@ -23,3 +25,22 @@ def test_interval_blocks_give_back_every_base(spark):
 def test_block_sort_gives_back_every_base(spark):
     want = {r["seq_id"]: r["bases"] for r in S.bench_quad(spark, SF).collect()}
     assert whole(K.Q["bwt_blocks"](spark, SF).collect(), lambda r: general.bwt_inverse(r["last"])) == want
+
+
+def test_latent_state_goes_over_every_segment(spark):
+    rows = S.segments(spark, SF).orderBy("seg", "i").collect()
+    segs: dict = {}
+    for r in rows:
+        segs.setdefault(r["seg"], []).append(r["vec"])
+    assert len(segs) > 3
+    got: dict = {}
+    for r in K.Q["attend_latent_whole"](spark, SF).orderBy("seg", "i", "d").collect():
+        got.setdefault(r["seg"], []).append(r["o"])
+    state = np.empty((0, 64))
+    for t in sorted(segs):
+        q = np.array(segs[t])
+        keys = np.concatenate((state, q))
+        e = np.exp(q @ keys.T / 8)
+        state = (e / e.sum(axis=1, keepdims=True)) @ keys
+        assert np.allclose(state.ravel(), got.pop(t), atol=2e-6)
+    assert not got
