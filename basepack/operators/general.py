@@ -112,10 +112,10 @@ def nml_blocks(df: DataFrame, block: int = 32) -> DataFrame:
                 for i, p in enumerate(parts):
                     plain = 2.0 * len(p)
                     if len(p) == block and i:
-                        hits = max(sum(x == y for x, y in zip(p, q, strict=True)) for q in parts[max(0, i - 256) : i])
+                        hits = max(sum(x == y for x, y in zip(p, q, strict=True)) for q in parts[:i])
                         r = hits / block
                         like = -(hits * log2(r) if hits else 0) - ((block - hits) * log2((1 - r) / 3) if hits < block else 0)
-                        plain = min(plain, like + c + log2(min(i, 256)))
+                        plain = min(plain, like + c + log2(i))
                     bits += plain + 1
                 out.append(bits)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(out, pa.float64())], ["seq_id", "bits"])

@@ -44,3 +44,10 @@ def test_latent_state_goes_over_every_segment(spark):
         state = (e / e.sum(axis=1, keepdims=True)) @ keys
         assert np.allclose(state.ravel(), got.pop(t), atol=2e-6)
     assert not got
+
+
+def test_nml_blocks_look_at_every_earlier_block(spark):
+    first = "ACGGTTCAGATTACAGGCATCCGATGCAAGTC"
+    s = first + "A" * 32 * 300 + first
+    got = {r["seq_id"]: r["bits"] for r in general.nml_blocks(spark.createDataFrame([(1, s), (2, s[:-32])], "seq_id long, bases string")).collect()}
+    assert got[1] - got[2] < 32  # a copy, not 64 bits and a flag
