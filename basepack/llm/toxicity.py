@@ -1,27 +1,37 @@
-"""Toxicity by compression distance: two zstandard dictionaries, one per class, and window lengths.
-
-From the learning rows the documents are counted in which each word occurs, by label. The toxic
-dictionary is made of the words that tell toxic from ordinary documents (log-likelihood ratio at least a
-quarter of the best), the ordinary one of the most frequent words of ordinary documents; the toxic one
-also ends in that ordinary content, so that ordinary matches cost the same under both. Both are raw-content
-dictionaries: their content is what is trained.
-
-A window is one white-space word with its spaces, followed by a frame that both dictionaries hold: zstandard
-stores very short inputs uncompressed, and within a compressible frame every matched byte shows in the
-length. The distance of a window is its length under the ordinary dictionary less that under the toxic
-one. A text is described by its largest distances and by how many windows reach a threshold; threshold
-and weights are calibrated by logistic regression on the learning rows.
-
-Learning uses at most `max_train` labelled rows (least id hash); all texts are scored whole, in one pass.
-
-Defined results: null, empty and blank texts have no window and get the score of no hit; rows without
-label or id are only scored; without both classes among the learning rows every score is the share of toxic ones, or 0.
+"""Toxicity by compression distance: one zstandard dictionary per class, and lengths of windows under both.
+
+Learning rows fall into two folds by text hash. From the first fold:
+
+* every word counts once for each different pair of neighbours it has, by label, so that copies of a document count
+  once. Words tell if their log-likelihood ratio reaches `GAIN`, whatever the ratio of the best word: words of a rare
+  language stay in;
+* the toxic dictionary is trained by zstandard on telling words of toxic texts, with their spaces, as often as they
+  have contexts. What its cover leaves out of so little text is put behind, so that every telling word is held;
+* the ordinary dictionary is trained by zstandard on three-word windows of ordinary texts.
+
+Both are given to the compressor as content, and the toxic one is the ordinary one with some of its content replaced
+by the toxic content: lengths then differ by what the toxic content matches. (With the trained entropy tables a short
+match saves no whole byte and the distances of toxic and ordinary windows overlap.) Both end in the same frame. A window is
+`WINDOW` words, every `STRIDE` words, followed by that frame: zstandard stores very short inputs as they are, and
+within a compressible frame every matched byte shows.
+
+The distance of a window is its length under the ordinary dictionary less that under the toxic one. A text is
+described by its largest distances and by number and share of windows at each of several thresholds. The second
+fold calibrates: a logistic regression over the description, moved so that `THRESHOLD` stands where F1 is best.
+
+Learning uses one text (least hash) of each of at most `max_train` labelled ids (least id hash). All texts are scored
+whole, in one pass.
+
+Defined results: null, empty and blank texts have no window and get the score of no hit; very long texts and words are
+read whole; repeated rows are scored alike; ids that are null or without label are only scored; two labels of one id
+count as the larger; without both classes among the learning rows every score is the share of toxic ones, or 0; without
+any telling word scores are alike; an empty table gives an empty result; a column `toxic_score` of the input is replaced.
 """
 
 from __future__ import annotations
 
 import math
-from collections import Counter
+from zlib import crc32
 
 import numpy as np
 import pyarrow as pa
@@ -29,146 +39,224 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import byte_column, fold, map_rows, words_of
-from .quality import training_rows
-
-MAX_TRAIN = 20_000
-TOXIC_WORDS = 400
-ORDINARY_BYTES = 4_000
-FRAME_BYTES = 120
-THRESHOLDS = (2, 3, 4, 5, 6)
+from .common import byte_column, fold, map_rows, materialise, words_of
+
+MAX_TRAIN = 12_000
+#: Telling words at most, by gain.
+TOXIC_WORDS = 4_000
+#: Log-likelihood ratio, contexts in toxic texts and ratio of shares from which a word tells.
+GAIN, CONTEXTS, RATIO = 15.0, 4, 4.0
+ORDINARY_BYTES = 1 << 16
+ORDINARY_WINDOWS = 200_000
+TOXIC_BYTES = 1 << 13
+FRAME = 100
+WINDOW, STRIDE = 4, 2
+LEVELS = (3, 4, 5, 6)
 THRESHOLD = 0.7
-CACHE = 300_000
+#: Share of the learning rows that calibrates: one in CALIBRATE.
+CALIBRATE = 4
+#: ASCII characters that are neither digits nor letters, cut off the ends of a word.
+_EDGE = bytes(c for c in range(33, 127) if not chr(c).isalnum())
+
+
+def cores(data: bytes | None) -> list[bytes]:
+    """Words without ASCII punctuation at their ends."""
+    return [w for w in (x.strip(_EDGE) for x in words_of(data)) if w]
+
+
+def contexts(data: bytes | None) -> set[tuple[bytes, bytes, bytes]]:
+    """Different (word before, word, word after) of a text; nothing stands before the first and after the last."""
+    w = [b"", *cores(data), b""]
+    return set(zip(w, w[1:], w[2:], strict=False))
+
+
+def windows(data: bytes | None) -> list[bytes]:
+    w = words_of(data)
+    return [b" " + b" ".join(w[i : i + WINDOW]) + b" " for i in range(0, max(1, len(w) - WINDOW + STRIDE), STRIDE)] if w else []
+
+
+def _trained(samples: list[bytes], size: int, k: int, d: int) -> bytes:
+    """Content of a dictionary that zstandard trains, or the samples themselves where they are too few for it."""
+    try:
+        return zstandard.train_dictionary(size, samples, k=k, d=d).as_bytes()
+    except zstandard.ZstdError:
+        return b"".join(samples)[-size:]
 
 
 class Distance:
-    """Difference of the compressed lengths of a window under two dictionaries."""
+    """Lengths of windows under two dictionaries of one size that differ in `toxic` alone."""
 
     def __init__(self, ordinary: bytes, toxic: bytes) -> None:
-        raw = zstandard.DICT_TYPE_RAWCONTENT
+        self.ordinary, self.content = ordinary, toxic
+        self.frame = ordinary[-FRAME:]
+        cut = min(len(toxic), max(0, len(ordinary) - FRAME))
+        body = ordinary[cut : len(ordinary) - len(self.frame)]
+        self.plain = self._press(body + ordinary[:cut] + self.frame)
+        self.toxic = self._press(body + toxic + self.frame)
+
+    @staticmethod
+    def _press(content: bytes) -> zstandard.ZstdCompressor:
         params = zstandard.ZstdCompressionParameters(
-            window_log=16, hash_log=14, chain_log=14, search_log=6, min_match=4, target_length=32,
+            window_log=17, hash_log=17, chain_log=17, search_log=5, min_match=6, target_length=0,
             strategy=zstandard.STRATEGY_GREEDY, write_content_size=0, write_checksum=0, write_dict_id=0,
         )
-        self.plain = zstandard.ZstdCompressor(dict_data=zstandard.ZstdCompressionDict(ordinary, dict_type=raw), compression_params=params)
-        self.toxic = zstandard.ZstdCompressor(dict_data=zstandard.ZstdCompressionDict(toxic + ordinary, dict_type=raw), compression_params=params)
-        self.frame = ordinary[-FRAME_BYTES:]
-        self.known: dict[bytes, int] = {}
-
-    def of(self, word: bytes) -> int:
-        d = self.known.get(word)
-        if d is None:
-            window = b" " + word + b" " + self.frame
-            d = len(self.plain.compress(window)) - len(self.toxic.compress(window))
-            if len(self.known) >= CACHE:
-                self.known.clear()
-            self.known[word] = d
-        return d
-
-    def describe(self, data: bytes | None) -> list[float]:
-        """Largest distance, mean of the three largest, then the number of windows at each threshold."""
-        d = sorted(map(self.of, words_of(data)), reverse=True)
-        if not d:
-            return [0.0] * (2 + len(THRESHOLDS))
-        return [float(d[0]), sum(d[:3]) / 3, *(float(sum(x >= t for x in d)) for t in THRESHOLDS)]
+        raw = zstandard.ZstdCompressionDict(content, dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+        return zstandard.ZstdCompressor(dict_data=raw, compression_params=params)
 
+    def of(self, window: bytes) -> int:
+        framed = window + self.frame
+        return len(self.plain.compress(framed)) - len(self.toxic.compress(framed))
 
-def features(row: list[float], t: int) -> list[float]:
-    return [1.0, min(row[0], 10) / 10, min(row[1], 10) / 10, math.log1p(row[2 + t]), float(row[2 + t] > 0)]
+    def describe(self, data: bytes | None) -> list[float]:
+        """Largest distance, mean of the three largest, counts and shares of windows at each level (as logarithms)."""
+        found = np.array([self.of(x) for x in windows(data)] or [0])
+        top = np.sort(found)[::-1][:3]
+        counts = [(found >= t).sum() for t in LEVELS]
+        return [float(top[0]), float(top.mean()), *(math.log1p(c) for c in counts), *(math.log1p(1000 * c / len(found)) for c in counts), math.log1p(len(found))]
 
 
-def logistic(x: np.ndarray, y: np.ndarray, penalty: float = 0.05, steps: int = 40) -> np.ndarray:
+def logistic(x: np.ndarray, y: np.ndarray, penalty: float = 1.0, steps: int = 40) -> np.ndarray:
     """Newton steps; the first column is the intercept and goes unpenalised."""
     w = np.zeros(x.shape[1])
     ridge = np.eye(len(w)) * penalty
-    ridge[0, 0] = 1e-9
+    ridge[0, 0] = 1e-6
     for _ in range(steps):
         p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
-        g = x.T @ (p - y) + ridge @ w
         h = (x * (p * (1 - p))[:, None]).T @ x + ridge
-        w -= np.linalg.solve(h + 1e-9 * np.eye(len(w)), g)
+        w -= np.linalg.solve(h + 1e-9 * np.eye(len(w)), x.T @ (p - y) + ridge @ w)
     return w
 
 
+def best_cut(margins: np.ndarray, y: np.ndarray) -> float:
+    """Margin from which rows count as toxic with the best F1, in the middle of the gap."""
+    order = np.argsort(-margins, kind="stable")
+    m, hits = margins[order], np.cumsum(y[order])
+    f1 = 2 * hits / (np.arange(1, len(y) + 1) + y.sum())
+    last = np.append(m[1:] < m[:-1], True)  # rows of one margin stand together
+    at = int(np.argmax(np.where(last, f1, -1)))
+    return float((m[at] + m[at + 1]) / 2) if at + 1 < len(m) else float(m[at])
+
+
+class Calibration:
+    """From the description of a text to its score."""
+
+    def __init__(self, rows: list[tuple[list[float], int]]) -> None:
+        x, y = np.array([d for d, _ in rows], float), np.array([k for _, k in rows], float)
+        self.mean, self.scale = x.mean(axis=0), x.std(axis=0) + 1e-9
+        self.weights, self.shift = np.zeros(x.shape[1] + 1), 0.0
+        self.weights = logistic(self._columns(x), y)
+        if 0 < y.sum() < len(y):
+            self.shift = math.log(THRESHOLD / (1 - THRESHOLD)) - best_cut(self._columns(x) @ self.weights, y)
+
+    def _columns(self, x: np.ndarray) -> np.ndarray:
+        return np.concatenate((np.ones((len(x), 1)), (x - self.mean) / self.scale), axis=1)
+
+    def score(self, d: list[float]) -> float:
+        z = float((self._columns(np.array([d]))[0] * self.weights).sum()) + self.shift
+        return 1 / (1 + math.exp(-max(-30.0, min(30.0, z))))
+
+
 class Model:
-    def __init__(self, distance: Distance | None, threshold: int, weights, prior: float) -> None:
-        self.distance, self.threshold, self.weights, self.prior = distance, threshold, weights, prior
+    """What goes to the executors; compressors are built where they are used."""
+
+    def __init__(self, prior: float, ordinary: bytes = b"", toxic: bytes = b"", calibration: Calibration | None = None) -> None:
+        self.prior, self.ordinary, self.toxic, self.calibration = prior, ordinary, toxic, calibration
+        self.distance: Distance | None = None
 
     def score(self, data: bytes | None) -> float:
-        if self.distance is None:
+        if self.calibration is None:
             return self.prior
-        z = float(np.dot(features(self.distance.describe(data), self.threshold), self.weights))
-        return 1 / (1 + math.exp(-max(-30.0, min(30.0, z))))
+        if self.distance is None:
+            self.distance = Distance(self.ordinary, self.toxic)
+        return self.calibration.score(self.distance.describe(data))
 
     def __getstate__(self):
-        d = self.distance
-        return (self.ordinary, self.toxic_words, self.threshold, self.weights, self.prior) if d else (None, None, 0, None, self.prior)
+        return {**self.__dict__, "distance": None}
 
-    def __setstate__(self, state):
-        self.ordinary, self.toxic_words, self.threshold, self.weights, self.prior = state
-        self.distance = Distance(self.ordinary, self.toxic_words) if self.ordinary is not None else None
+
+def learning_rows(docs: DataFrame, labels: DataFrame, column: str, mod: int, keep_out: int, limit: int) -> DataFrame:
+    """(text, y, part): one text of each of at most `limit` labelled ids, dealt evenly and written; part is its fold."""
+    spark = docs.sparkSession
+    y = F.col(column).cast("int")
+    labelled = labels.where((fold("doc_id", mod) != keep_out) & F.col("doc_id").isNotNull() & y.isin(0, 1))
+    picked = labelled.groupBy("doc_id").agg(F.max(y).alias("y")).orderBy(F.xxhash64(F.col("doc_id").cast("string")), "doc_id").limit(limit)
+    texts = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(picked), "doc_id")
+    one = texts.groupBy("doc_id").agg(F.min(F.struct(F.xxhash64("text").alias("h"), "text", "y")).alias("x"))
+    rows = one.select("x.text", "x.y", F.pmod("x.h", F.lit(CALIBRATE)).cast("int").alias("part"))
+    return materialise(rows.repartition(max(8, spark.sparkContext.defaultParallelism)), "toxic-learn")
 
 
 def word_table(rows: DataFrame) -> DataFrame:
-    """(word, toxic, plain): labelled documents that hold the word; rows: text, y."""
+    """(word, toxic, plain): different contexts of the word in texts of each class."""
 
-    def count(batches):
-        seen = (Counter(), Counter())
+    def cut(batches):
         for b in batches:
+            seen = (set(), set())
             for text, y in zip(byte_column(b, "text"), b.column(1).to_pylist(), strict=True):
-                seen[y].update(set(words_of(text)))
-        words = list({**seen[0], **seen[1]})
-        cols = [pa.array(words, pa.binary()), *(pa.array([seen[k][w] for w in words], pa.int64()) for k in (1, 0))]
-        yield pa.RecordBatch.from_arrays(cols, ["word", "toxic", "plain"])
+                seen[y].update(contexts(text))
+            for y in (0, 1):
+                found = list(seen[y])
+                sides = [crc32(a + b"\n" + c) for a, _, c in found]
+                cols = [pa.array([w for _, w, _ in found], pa.binary()), pa.array(sides, pa.int64()), pa.array([y] * len(found), pa.int32())]
+                yield pa.RecordBatch.from_arrays(cols, ["word", "sides", "y"])
+
+    found = rows.select("text", "y").mapInArrow(cut, "word binary, sides long, y int").distinct()
+    return found.groupBy("word").agg(F.sum("y").cast("long").alias("toxic"), F.sum(1 - F.col("y")).cast("long").alias("plain"))
+
+
+def telling_words(table: DataFrame, most: int = TOXIC_WORDS) -> tuple[list[tuple[bytes, int]], int]:
+    """([(word, contexts in toxic texts)], the most telling first; contexts in ordinary texts)."""
+    table = materialise(table, "toxic-words")
+    total = table.agg(F.sum("toxic"), F.sum("plain")).first()
+    n1, n0 = total[0] or 0, total[1] or 0
+    if not n1 or not n0:
+        return [], n0
+    t, o = F.col("toxic"), F.col("plain")
+    p = (t + o) / (n1 + n0)
+    gain = 2 * (t * F.log(t / n1 / p) + F.when(o > 0, o * F.log(o / n0 / p)).otherwise(F.lit(0.0)))
+    tells = table.where((t >= CONTEXTS) & (t / n1 > RATIO * (o + 0.5) / n0)).withColumn("gain", gain).where(F.col("gain") > GAIN)
+    rows = tells.orderBy(F.desc("gain"), "word").limit(most).collect()
+    return [(bytes(r["word"]), r["toxic"]) for r in rows], n0
 
-    found = rows.mapInArrow(count, "word binary, toxic long, plain long")
-    return found.groupBy("word").agg(F.sum("toxic").alias("toxic"), F.sum("plain").alias("plain"))
 
+def ordinary_windows(rows: DataFrame, total: int, most: int = ORDINARY_WINDOWS) -> list[bytes]:
+    """About `most` different three-word windows of ordinary texts, never more, those of least hash; total: how many there are."""
+    share = max(1, -(-total // most))
 
-def dictionaries(table: DataFrame, n_toxic: int, n_plain: int) -> tuple[bytes, bytes]:
-    t, o = F.col("toxic"), F.col("plain")
-    p, q = (t + 0.5) / (n_toxic + 1), (o + 0.5) / (n_plain + 1)
-    m = (t + o + 1) / (n_toxic + n_plain + 2)
-    gain = F.when((t >= 3) & (p > 4 * q), t * F.log(p / m) + o * F.log(q / m)).otherwise(F.lit(0.0))
-    table = table.withColumn("gain", gain)
-    telling = table.where("gain > 0").orderBy(F.desc("gain"), "word").limit(TOXIC_WORDS).collect()
-    common = table.where("plain > 0").orderBy(F.desc("plain"), "word").limit(ORDINARY_BYTES).collect()
-    keep = [bytes(r["word"]) for r in telling if r["gain"] >= max(6.0, telling[0]["gain"] / 4)]
-    # The most useful content stands last, where references are short.
-    ordinary = (b" " + b" ".join(bytes(r["word"]) for r in reversed(common)) + b" ")[-ORDINARY_BYTES:]
-    return ordinary, b" " + b" ".join(reversed(keep)) + b" "
+    def cut(batch):
+        found = {b" " + b" ".join(w) + b" " for text in byte_column(batch, "text") for w in contexts(text)}
+        yield pa.RecordBatch.from_arrays([pa.array([w for w in found if crc32(w) % share == 0], pa.binary())], ["w"])
+
+    seen = map_rows(rows.where("y = 0").select("text"), "w binary", cut).distinct().limit(2 * most).collect()
+    return sorted((bytes(r["w"]) for r in seen), key=lambda w: (crc32(w[::-1]), w))[:most]
+
+
+def toxic_content(telling: list[tuple[bytes, int]]) -> bytes:
+    samples = sorted(b" " + w + b" " for w, n in telling for _ in range(n))
+    trained = _trained(samples, TOXIC_BYTES, 48, 6)
+    return trained + b" " + b" ".join(w for w, _ in reversed(telling) if w not in trained) + b" "
 
 
 def fit(docs: DataFrame, labels: DataFrame, mod: int = 3, keep_out: int = 1, max_train: int = MAX_TRAIN) -> Model:
-    learn = labels.where((fold("doc_id", mod) != keep_out) & F.col("toxic").isin(0, 1))
-    picked = training_rows(docs, learn, "toxic", max_train)
-    rows = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").select("text", "y")
+    rows = learning_rows(docs, labels, "toxic", mod, keep_out, max_train)
     sizes = {r["y"]: r["count"] for r in rows.groupBy("y").count().collect()}
     toxic, plain = sizes.get(1, 0), sizes.get(0, 0)
     prior = toxic / (toxic + plain) if toxic + plain else 0.0
-    if not toxic or not plain:
-        return Model(None, 0, None, prior)
-    ordinary, words = dictionaries(word_table(rows), toxic, plain)
+    build, check = rows.where("part > 0"), rows.where("part = 0")
+    telling, total = telling_words(word_table(build)) if toxic and plain else ([], 0)
+    if not telling:
+        return Model(prior)
+    ordinary = _trained(ordinary_windows(build, total), ORDINARY_BYTES, 64, 8)
+    content = toxic_content(telling)
 
     def describe(batches):
-        distance = Distance(ordinary, words)
+        distance = Distance(ordinary, content)
         for b in batches:
             found = [distance.describe(x) for x in byte_column(b, "text")]
             yield pa.RecordBatch.from_arrays([pa.array(found, pa.list_(pa.float64())), b.column(1)], ["d", "y"])
 
-    seen = sorted((tuple(r["d"]), r["y"]) for r in rows.mapInArrow(describe, "d array<double>, y int").collect())
-    y = np.array([k for _, k in seen], float)
-    best = None
-    for t in range(len(THRESHOLDS)):
-        x = np.array([features(list(d), t) for d, _ in seen])
-        w = logistic(x, y)
-        p = np.clip(1 / (1 + np.exp(-np.clip(x @ w, -30, 30))), 1e-9, 1 - 1e-9)
-        gain = float((y * np.log(p) + (1 - y) * np.log(1 - p)).sum())
-        if best is None or gain > best[0]:
-            best = gain, t, w
-    model = Model(None, best[1], best[2], prior)
-    model.__setstate__((ordinary, words, best[1], best[2], prior))
-    return model
+    seen = sorted((list(r["d"]), r["y"]) for r in check.select("text", "y").mapInArrow(describe, "d array<double>, y int").collect())
+    return Model(prior, ordinary, content, Calibration(seen)) if len({k for _, k in seen}) == 2 else Model(prior)
 
 
 def score(docs: DataFrame, model: Model) -> DataFrame:
