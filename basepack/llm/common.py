@@ -88,6 +88,21 @@ def map_rows(df: DataFrame, schema: str, fn: Callable[[pa.RecordBatch], Iterator
     return df.mapInArrow(run, schema)
 
 
+#: A key with over a 4096th of all rows is heavy; there are fewer than 4096 such keys, whatever the input.
+HEAVY = 4096
+
+
+def join_uneven(left: DataFrame, right: DataFrame, keys: list[str], weight: str, total: int, how: str = "inner", heavy: int = HEAVY) -> DataFrame:
+    """left joined with right on keys, without a task that gets all rows of a frequent key.
+
+    `weight` is a column of right: how many rows of left have the key; `total`: rows of left. Heavy keys are broadcast (fewer
+    than `heavy` of them, by their weight) and their rows stay where they are; all others are joined by shuffle. left
+    and right are read twice, so they should be written tables. how: inner or left_semi."""
+    hot = F.broadcast(right.where(F.col(weight) * heavy > total).drop(weight))
+    rest = left.join(hot.select(*keys).distinct().hint("broadcast"), keys, "left_anti")
+    return left.join(hot, keys, how).unionByName(rest.join(right.where(F.col(weight) * heavy <= total).drop(weight), keys, how))
+
+
 def fold(col: str, mod: int) -> F.Column:
     """crc32 of the id as text, modulo mod; a null id belongs to fold 0."""
     return F.coalesce(F.crc32(F.col(col).cast("string").cast("binary")) % mod, F.lit(0))

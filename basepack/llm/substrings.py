@@ -10,8 +10,12 @@ without overlap. Segments are grouped by their minimiser:
 * different segments of one minimiser are laid side by side and their suffixes are sorted in two
   stages: only suffixes smaller than their successors are sorted directly, all others are induced by
   one scan over the buckets of first bytes. Adjacent common prefixes of 200 bytes or more are repeats;
-* a minimiser with over 50 000 different segments (one passage in very many contexts) would be too much
-  for one task: its strings are counted by 128-bit content hash instead, over all tasks.
+* the segments of one minimiser are sorted in one task up to `GROUP_BYTES`. A larger group (one passage in very many
+  contexts) is split: equal strings have equal hashes, so its strings are dealt to all tasks by 128 bits of hash and
+  those alone in their part are no repeats. Both ways mark the same strings.
+
+No shuffle puts all rows of a frequent minimiser or segment into one task: keys with over a 4096th of the rows are
+broadcast instead, fewer than 4096 of them whatever the input (`common.join_uneven`).
 
 Texts are read from the tables by each pass; what is shuffled is 28 bytes per segment, the bytes of
 distinct segments that share a minimiser with others, and each text once for every join that needs it.
@@ -19,7 +23,8 @@ Copies of a segment are collapsed by map-side aggregation before they are sorted
 
 Defined results: null and empty texts have 0 bytes; texts under 200 bytes lose nothing; repeated rows
 count as places of their own, so two equal texts of 200 bytes or more lose everything; overlapping
-repeats inside one text count; ids may be null or repeated; an empty table gives an empty result.
+repeats inside one text count; very long texts are read in stretches; ids may be null or repeated; an empty table gives
+an empty result; other columns are kept by `without_repeats` whatever their names.
 """
 
 from __future__ import annotations
@@ -32,16 +37,16 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import byte_column, map_rows, materialise
+from .common import byte_column, join_uneven, map_rows, materialise
 
 LENGTH = 200
 GRAM = 48
 STRETCH = 1 << 18
 POS_BITS = 20
-#: Segments are gathered up to this many bytes before they are sorted; a larger group is sorted whole.
+#: Segments are gathered up to this many bytes before they are sorted.
 SORT_BYTES = 1 << 19
-#: Minimisers with more different segments than this are counted by hash.
-CROWD = 50_000
+#: A minimiser whose different segments have more bytes than this is split over tasks.
+GROUP_BYTES = 1 << 20
 
 
 def _mix(x: np.ndarray, k: int) -> np.ndarray:
@@ -122,13 +127,46 @@ def scan(docs: DataFrame) -> DataFrame:
     return map_rows(docs.where("length(text) > 0"), "h long, c long, doc_id long, tk long, lo int, n int", one)
 
 
-def two_stage_order(text: bytes, runs: list[tuple[int, int, int]]) -> np.ndarray:
-    """Positions of `runs` (first, last, end of the segment) by their suffixes, right to LENGTH bytes at least.
+def _eight(padded: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """The eight bytes from each position on as one number that sorts as they do."""
+    out = np.zeros(len(at), np.uint64)
+    for i in range(8):
+        out = (out << np.uint64(8)) | padded[at + i]
+    return out
+
+
+def direct_order(data: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """Positions by the LENGTH bytes that follow: eight bytes a round, and only positions still equal go on."""
+    padded = np.concatenate((data, np.zeros(LENGTH + 8, np.uint8))).astype(np.uint64)
+    order = at[np.argsort(_eight(padded, at), kind="stable")]
+    key = _eight(padded, order)
+    group = np.cumsum(np.concatenate(([0], key[1:] != key[:-1])))  # numbers ascend along order
+    open_ = np.arange(len(order))
+    for depth in range(8, LENGTH, 8):
+        g = group[open_]
+        same = np.concatenate((g[1:] == g[:-1], [False]))
+        open_ = open_[same | np.concatenate(([False], same[:-1]))]
+        if not len(open_):
+            break
+        g, key = group[open_], _eight(padded, order[open_] + depth)
+        by = np.lexsort((key, g))
+        order[open_] = order[open_][by]
+        g, key = g[by], key[by]
+        new = np.concatenate(([True], (g[1:] != g[:-1]) | (key[1:] != key[:-1])))
+        # Groups are told apart by the place of their first member.
+        group[open_] = len(order) + open_[np.maximum.accumulate(np.where(new, np.arange(len(new)), 0))]
+    return order
+
+
+def two_stage_order(text: bytes, runs: list[tuple[int, int]]) -> np.ndarray:
+    """Positions of `runs` (first, last) and some that follow them by their suffixes, right to LENGTH bytes at least.
 
     A position is sorted directly if its suffix is smaller than the next one; every run is drawn out to
-    such a position. The others are larger than their successor, so a scan over the buckets of first
+    such a position, if need be into what stands behind its segment: suffixes of the whole text keep the order of
+    their first bytes. The others are larger than their successor, so a scan over the buckets of first
     bytes meets the successor first and puts each at the next free place at the head of its bucket.
     """
+    text += b"\x00\xff"  # a rise that the last run can be drawn out to
     data = np.frombuffer(text, np.uint8)
     size = len(text)
     step = np.zeros(size, np.int8)
@@ -138,19 +176,13 @@ def two_stage_order(text: bytes, runs: list[tuple[int, int, int]]) -> np.ndarray
     ahead = np.minimum.accumulate(at[::-1])[::-1]
     smaller = step[ahead] > 0
     ends = np.flatnonzero(smaller)
-    first, last, stop = (np.array(x, np.int64) for x in zip(*runs, strict=True))
-    k = np.searchsorted(ends, last)
-    drawn = ends[np.minimum(k, len(ends) - 1)] if len(ends) else np.zeros(len(runs), np.int64)
-    found = (k < len(ends)) & (ahead[drawn] < stop - 1) & (drawn >= last)
+    first, last = (np.array(x, np.int64) for x in zip(*runs, strict=True))
+    drawn = ends[np.searchsorted(ends, last)]
     change = np.zeros(size + 1, np.int64)
-    if not found.all():  # a segment that never rises again: sort all of it directly
-        np.add.at(change, first, 1)
-        np.add.at(change, last + 1, -1)
-        return np.array(sorted(np.flatnonzero(np.cumsum(change[:-1]) > 0).tolist(), key=lambda i: text[i : i + LENGTH]), np.int64)
     np.add.at(change, first, 1)
     np.add.at(change, drawn + 1, -1)
     inside = np.cumsum(change[:-1]) > 0
-    direct = sorted(np.flatnonzero(inside & smaller).tolist(), key=lambda i: text[i : i + LENGTH])
+    direct = direct_order(data, np.flatnonzero(inside & smaller)).tolist()
     sizes = np.bincount(data[inside], minlength=256)
     tails = np.cumsum(sizes)
     heads = (tails - sizes).tolist()
@@ -169,9 +201,10 @@ def two_stage_order(text: bytes, runs: list[tuple[int, int, int]]) -> np.ndarray
     return np.array(order, np.int64)
 
 
-def repeated_starts(text: bytes, runs: list[tuple[int, int, int]], strings: np.ndarray) -> np.ndarray:
+def repeated_starts(text: bytes, runs: list[tuple[int, int]], strings: np.ndarray) -> np.ndarray:
     """Marks of the positions in `strings` whose next LENGTH bytes also begin at another such position."""
     order = two_stage_order(text, runs)
+    order = order[order < len(text)]
     order = order[strings[order]]
     marks = np.zeros(len(text), bool)
     if len(order) > 1:
@@ -198,15 +231,15 @@ def sort_groups(batches):
         for _, _, seg in rows:
             n = len(seg) - LENGTH + 1
             text.append(seg)
-            runs.append((at, at + n - 1, at + len(seg)))
+            runs.append((at, at + n - 1))
             at += len(seg)
         joined = b"".join(text)
         strings = np.zeros(len(joined), bool)
-        for a, b, _ in runs:
+        for a, b in runs:
             strings[a : b + 1] = True
         marks = repeated_starts(joined, runs, strings)
         h, c, first, length = [], [], [], []
-        for (gh, gc, _), (a, b, _) in zip(rows, runs, strict=True):
+        for (gh, gc, _), (a, b) in zip(rows, runs, strict=True):
             m = np.concatenate(([0], marks[a : b + 1].view(np.int8), [0]))
             edge = np.diff(m)
             for x, y in zip(np.flatnonzero(edge == 1).tolist(), np.flatnonzero(edge == -1).tolist(), strict=True):
@@ -236,8 +269,8 @@ def _wanted_texts(docs: DataFrame, wanted: DataFrame) -> DataFrame:
     return docs.join(lists.hint("shuffle_hash"), ["tk", "doc_id"]).select("text", "segs")
 
 
-def crowded_runs(docs: DataFrame, wanted: DataFrame) -> DataFrame:
-    """(h, c, a, len) for minimisers with very many segments: strings counted by hash, map-side combined."""
+def split_runs(docs: DataFrame, wanted: DataFrame) -> DataFrame:
+    """(h, c, a, len): as sort_groups, for groups too large for a task: their strings are dealt by hash."""
     def one(batch):
         h, c, a, x, y = [], [], [], [], []
         for text, segs in zip(byte_column(batch, "text"), batch.column(1).to_pylist(), strict=True):
@@ -252,9 +285,9 @@ def crowded_runs(docs: DataFrame, wanted: DataFrame) -> DataFrame:
         cols = [pa.array(v, pa.int64()) for v in (h, c)] + [pa.array(a, pa.int32())] + [pa.array(v, pa.int64()) for v in (x, y)]
         yield pa.RecordBatch.from_arrays(cols, ["h", "c", "a", "x", "y"])
 
-    strings = map_rows(_wanted_texts(docs, wanted), "h long, c long, a int, x long, y long", one).distinct()
-    often = strings.groupBy("h", "x", "y").agg(F.count("*").alias("k")).where("k > 1").select("h", "x", "y")
-    return strings.join(often, ["h", "x", "y"]).select("h", "c", "a", F.lit(1).alias("len"))
+    strings = materialise(map_rows(_wanted_texts(docs, wanted), "h long, c long, a int, x long, y long", one).distinct(), "substr-strings")
+    often = materialise(strings.groupBy("x", "y").agg(F.count("*").alias("k")).where("k > 1"), "substr-often")
+    return join_uneven(strings, often, ["x", "y"], "k", strings.count(), "left_semi").select("h", "c", "a", F.lit(1).alias("len"))
 
 
 def cut_segments(docs: DataFrame, wanted: DataFrame) -> DataFrame:
@@ -275,29 +308,33 @@ def keyed(docs: DataFrame) -> DataFrame:
     return docs.withColumn("doc_id", F.coalesce(F.col("doc_id").cast("long"), F.lit(-1 << 62))).withColumn("tk", text_key())
 
 
-def repeated_runs(docs: DataFrame) -> DataFrame:
-    """(tk, doc_id, runs): merged by the caller; docs: doc_id, tk, text as `keyed` gives them."""
+def repeated_runs(docs: DataFrame, group_bytes: int = GROUP_BYTES) -> DataFrame:
+    """(tk, doc_id, spans): merged by the caller; docs: doc_id, tk, text as `keyed` gives them."""
     segs = materialise(scan(docs.select("doc_id", "tk", "text")), "substr-segments")
-    often = segs.groupBy("h").agg(F.count("*").alias("k")).where("k > 1").select("h")
-    some = materialise(segs.join(often, "h", "left_semi"), "substr-repeated")
-    kinds = materialise(
-        some.groupBy("h", "c").agg(F.count("*").alias("k"), F.min(F.struct("doc_id", "tk", "lo", "n")).alias("at")), "substr-kinds"
-    )
-    mixed = kinds.groupBy("h").agg(F.count("*").alias("m")).where("m > 1")
+    often = materialise(segs.groupBy("h").agg(F.count("*").alias("k")).where("k > 1"), "substr-often")
+    some = materialise(join_uneven(segs, often, ["h"], "k", segs.count(), "left_semi"), "substr-repeated")
+    # Any occurrence stands for equal segments; the four columns come from one row.
+    at = [F.first(x).alias(x) for x in ("doc_id", "tk", "lo", "n")]
+    kinds = materialise(some.groupBy("h", "c").agg(F.count("*").alias("k"), *at), "substr-kinds")
+    mixed = kinds.groupBy("h").agg(F.count("*").alias("m"), F.sum(F.col("n") + LENGTH - 1).alias("bytes")).where("m > 1")
     mixed = materialise(mixed, "substr-mixed")
-    texts, fields = docs.select("doc_id", "tk", "text"), ("h", "c", "at.doc_id", "at.tk", "at.lo", "at.n")
-    found = cut_segments(texts, kinds.join(mixed.where(F.col("m") <= CROWD), "h", "left_semi").select(*fields)).repartition("h").sortWithinPartitions("h", "c")
-    sorted_runs = found.mapInArrow(sort_groups, "h long, c long, a int, len int")
-    full = kinds.where("k > 1").select("h", "c", F.lit(0).alias("a"), F.col("at.n").alias("len"))
-    crowds = mixed.where(F.col("m") > CROWD)
-    if not crowds.isEmpty():
-        sorted_runs = sorted_runs.unionByName(crowded_runs(texts, kinds.join(crowds, "h", "left_semi").select(*fields)))
-    parts = sorted_runs.join(full.select("h", "c"), ["h", "c"], "left_anti")
-    runs = materialise(parts.unionByName(full), "substr-runs")
+    texts, fields, n_kinds = docs.select("doc_id", "tk", "text"), ("h", "c", "doc_id", "tk", "lo", "n"), kinds.count()
+
+    def members(groups: DataFrame) -> DataFrame:
+        return join_uneven(kinds, groups.select("h", "m"), ["h"], "m", n_kinds, "left_semi").select(*fields)
+
+    found = cut_segments(texts, members(mixed.where(F.col("bytes") <= group_bytes)))
+    parts = found.repartition("h").sortWithinPartitions("h", "c").mapInArrow(sort_groups, "h long, c long, a int, len int")
+    large = mixed.where(F.col("bytes") > group_bytes)
+    if not large.isEmpty():
+        parts = parts.unionByName(split_runs(texts, members(large)))
+    # Segments seen once have runs of their own; those seen twice or more repeat whole, wherever they are.
     lo = F.col("lo") + F.col("a")
-    spans = some.join(runs, ["h", "c"]).select("tk", "doc_id", lo.alias("from"), (lo + F.col("len") + LENGTH - 1).alias("to"))
+    once = parts.join(kinds.where("k = 1").drop("k"), ["h", "c"]).select("tk", "doc_id", lo.alias("from"), (lo + F.col("len") + LENGTH - 1).alias("to"))
+    full = kinds.where("k > 1").select("h", "c", "k")
+    whole = join_uneven(some, full, ["h", "c"], "k", some.count(), "left_semi").select("tk", "doc_id", F.col("lo").alias("from"), (F.col("lo") + F.col("n") + LENGTH - 1).alias("to"))
     # Repeated rows give the same spans again.
-    return spans.groupBy("tk", "doc_id").agg(F.collect_set(F.struct("from", "to")).alias("spans"))
+    return whole.unionByName(once).groupBy("tk", "doc_id").agg(F.collect_set(F.struct("from", "to")).alias("spans"))
 
 
 def split(text: bytes | None, spans) -> tuple[bytes, int, int]:
@@ -319,7 +356,7 @@ def split(text: bytes | None, spans) -> tuple[bytes, int, int]:
 
 def _with_spans(docs: DataFrame) -> DataFrame:
     k = keyed(docs.withColumn("given_id", F.col("doc_id")))
-    spans = repeated_runs(k)
+    spans = materialise(repeated_runs(k), "substr-spans")  # written, so that a frequent key of docs can be split at the join
     return k.join(spans.hint("shuffle_hash"), ["tk", "doc_id"], "left")
 
 
