@@ -7,9 +7,10 @@ from collections import Counter
 
 import duckdb
 import numpy as np
+import pyarrow as pa
 import pytest
 
-from basepack.llm import decontaminate, html_text, language, lattice, mixing, quality, registry, simhash, substrings, toxicity, vptree
+from basepack.llm import common, decontaminate, html_text, language, lattice, mixing, quality, registry, simhash, substrings, toxicity, vptree
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long, score string"
 
@@ -124,9 +125,13 @@ def brute_repeats(texts):
         yield len(x), int(gone.sum()), runs, hashlib.sha256(bytes(b for b, g in zip(x, gone, strict=True) if not g)).hexdigest()
 
 
-@pytest.mark.parametrize("crowd", [50_000, 1])
-def test_substrings_equal_brute_force(docs, rows, crowd, monkeypatch):
-    monkeypatch.setattr(substrings, "CROWD", crowd)
+@pytest.mark.parametrize("group_bytes,heavy", [(1 << 20, 4096), (1, 2)])
+def test_substrings_equal_brute_force(docs, rows, group_bytes, heavy, monkeypatch):
+    """Also with all groups split and with frequent keys joined by broadcast."""
+    whole = substrings.repeated_runs
+    monkeypatch.setattr(substrings, "repeated_runs", lambda d: whole(d, group_bytes))
+    uneven = common.join_uneven
+    monkeypatch.setattr(substrings, "join_uneven", lambda *a: uneven(*a, heavy=heavy))
     got = sorted(((-1 if r[0] is None else r[0]), *r[1:]) for r in map(tuple, substrings.dedup_report(docs).collect()))
     want = sorted((-1 if r[0] is None else r[0], *x) for r, x in zip(rows, brute_repeats([(r[1] or "").encode() for r in rows]), strict=True))
     assert got == want
@@ -134,11 +139,32 @@ def test_substrings_equal_brute_force(docs, rows, crowd, monkeypatch):
 
 def test_two_stage_order_is_suffix_order():
     rng = random.Random(1)
-    for letters in ("ab", "abcd", "zyx a"):
-        t = "".join(rng.choice(letters) for _ in range(900)).encode()
-        order = substrings.two_stage_order(t, [(0, 600, 900)]).tolist()
-        keys = [t[i : i + 200] for i in order]
-        assert keys == sorted(keys) and set(range(601)) <= set(order)
+    texts = ["".join(rng.choice(letters) for _ in range(900)).encode() for letters in ("ab", "abcd", "zyx a")]
+    texts += [b"a" * 900, b"zyxwvu" * 150, b"\xff" * 700 + b"\x00" * 200]  # the second half of the last never rises again
+    for t in texts:
+        order = [i for i in substrings.two_stage_order(t, [(0, 600), (700, 899)]).tolist() if i < 900]
+        keys = [(t + b"\x00\xff")[i : i + 200] for i in order]
+        assert keys == sorted(keys) and {*range(601), *range(700, 900)} <= set(order)
+
+
+def test_a_large_group_sorts_in_bounded_memory():
+    """Segments of one minimiser up to the bytes from which a group is split."""
+    import tracemalloc
+
+    rng = random.Random(4)
+    common = bytes(rng.randrange(97, 123) for _ in range(48))
+    segs, size = [], 0
+    while size < substrings.GROUP_BYTES:
+        segs.append(bytes(rng.randrange(97, 123) for _ in range(152)) + common + bytes(rng.randrange(97, 123) for _ in range(152)))
+        size += len(segs[-1])
+    segs += segs[:2]
+    batch = pa.RecordBatch.from_arrays([pa.array([1] * len(segs)), pa.array(range(len(segs))), pa.array(segs, pa.binary())], ["h", "c", "seg"])
+    tracemalloc.start()
+    found = pa.Table.from_batches(substrings.sort_groups([batch]))
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert sorted(found["c"].to_pylist()) == [0, 1, len(segs) - 2, len(segs) - 1] and set(found["len"].to_pylist()) == {153}
+    assert peak < 250 << 20
 
 
 def test_pipeline_cut_keeps_columns(docs):
@@ -242,13 +268,70 @@ def test_factorisation_identity():
         assert math.isclose(y, m.bias + m.w[f] @ x + pairs, abs_tol=1e-12)
 
 
-@pytest.mark.parametrize("name,column", [("toxic", "toxic"), ("quality", "quality")])
-def test_classifiers_hold_out(spark, name, column):
-    sf = "/root/testdata/sf0.01"
+def recall_and_alarms(x, column):
+    bad, good = x[x[column] == 1], x[x[column] == 0]
+    return bad["predicted"].mean(), good["predicted"].mean()
+
+
+def test_toxicity_holds_out(spark):
+    """Recall and false alarms in each language; about 8 % of the English rows marked toxic hold no telling word."""
+    sf = "/root/testdata/sf0.1"
+    d, lab = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    x = toxicity.toxicity_report(d, lab).join(lab, "doc_id").join(d.select("doc_id", "lang"), "doc_id").where("held_out").toPandas()
+    recall, alarms = recall_and_alarms(x, "toxic")
+    assert recall > 0.75 and alarms < 0.03
+    for lang, part in x.groupby("lang"):
+        recall, alarms = recall_and_alarms(part, "toxic")
+        assert recall >= 0.5 and alarms < 0.05, (lang, recall, alarms)
+
+
+def test_toxic_distance_equals_brute_force():
+    """Lengths and descriptions computed anew with fresh compressors."""
+    import zstandard
+
+    rng = random.Random(2)
+    ordinary = text(rng, 900).encode()
+    d = toxicity.Distance(ordinary, b" nasty vile nasty ")
+    n = len(b" nasty vile nasty ")
+    frame = ordinary[-toxicity.FRAME :]
+    body = ordinary[n : -toxicity.FRAME]
+    params = zstandard.ZstdCompressionParameters(
+        window_log=17, hash_log=17, chain_log=17, search_log=5, min_match=6, target_length=0, strategy=zstandard.STRATEGY_GREEDY,
+        write_content_size=0, write_checksum=0, write_dict_id=0)
+
+    def length(content, w):
+        raw = zstandard.ZstdCompressionDict(content, dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+        return len(zstandard.ZstdCompressor(dict_data=raw, compression_params=params).compress(w + frame))
+
+    x = b"some words and a NASTY one, then four more words"
+    words = x.lower().split()
+    want = []
+    for i in range(0, len(words) - 2, 2):
+        w = b" " + b" ".join(words[i : i + 4]) + b" "
+        want.append(length(body + ordinary[:n] + frame, w) - length(body + b" nasty vile nasty " + frame, w))
+    assert [d.of(w) for w in toxicity.windows(x)] == want and max(want) >= 2
+    got = d.describe(x)
+    top = sorted(want, reverse=True)[:3]
+    assert got[:2] == [top[0], sum(top) / 3] and got[2] == math.log1p(sum(v >= toxicity.LEVELS[0] for v in want)) and got[-1] == math.log1p(len(want))
+
+
+def test_toxic_words_of_rare_languages_tell(spark):
+    """A word of a class with few rows is kept beside very frequent ones; copies of a text count once."""
+    rng = random.Random(8)
+    rows = [(text(rng, 20) + " vilest " + text(rng, 20), 1) for _ in range(60)] + [(text(rng, 40, ["un", "dos", "tres"]) + " peor " + text(rng, 9, ["un", "dos"]), 1) for _ in range(8)]
+    rows += [(text(rng, 40), 0) for _ in range(300)] + [(text(rng, 40, ["un", "dos", "tres"]), 0) for _ in range(60)]
+    rows += [("copied oddword here", 1)] * 50
+    found, _ = toxicity.telling_words(toxicity.word_table(spark.createDataFrame(rows, "text string, y int")))
+    words = [w for w, _ in found]
+    assert b"vilest" in words and b"peor" in words and b"oddword" not in words
+
+
+def test_quality_holds_out(spark):
+    sf = "/root/testdata/sf0.1"
     d, lab = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
-    report = toxicity.toxicity_report(d, lab) if name == "toxic" else quality.quality_report(d, lab)
-    x = report.join(lab, "doc_id").where("held_out").toPandas()
-    assert len(x) > 30 and (x["predicted"] == x[column]).mean() > 0.9
+    x = quality.quality_report(d, lab).join(lab, "doc_id").where("held_out").toPandas()
+    recall, alarms = recall_and_alarms(x, "quality")  # alarms: poor documents that pass
+    assert recall > 0.97 and alarms < 0.1
 
 
 def test_language_holds_out(spark):
@@ -268,6 +351,40 @@ def test_html(spark):
     assert html_text.extract(plain) == ("long text here " * 20).strip()
     df = spark.createDataFrame([(1, "u", None), (2, None, ""), (3, "u", "<p>unclosed")], "page_id long, url string, html string")
     assert [tuple(r) for r in html_text.extract_pages(df).orderBy("page_id").collect()] == [(1, "u", "", 0), (2, None, "", 0), (3, "u", "unclosed", 8)]
+    assert html_text.extract_pages(df.limit(0)).count() == 0
+    broken = df.limit(1).selectExpr("page_id", "url", "cast(x'3c703e61ff62' as string) html")
+    assert html_text.extract_pages(broken).first()["text"] == "a\ufffdb"
+
+
+def test_html_ratios_decide_without_containers():
+    """Pages whose article and main elements are renamed, and whose menus and footers are too, keep their text."""
+    import re
+
+    import pandas as pd
+
+    pages = [h for h in pd.read_parquet("/root/testdata/sf0.01/pages.parquet")["html"] if h]
+
+    def marked(h):
+        inner = re.findall(r"<article\b.*?</article>", h, re.S)
+        return html_text.extract("<article>" + "".join(x[len("<article>") : -len("</article>")] for x in inner) + "</article>") if inner else None
+
+    for tags in ("article|main", "article|main|nav|footer|header|aside"):
+        same = got = want = 0
+        for h in pages:
+            if (truth := marked(h)) is None:
+                continue
+            a, b = Counter(truth.split()), Counter(html_text.extract(re.sub(rf"<(/?)({tags})\b", r"<\1div", h)).split())
+            same, want, got = same + (a & b).total(), want + a.total(), got + b.total()
+        assert want > 10_000 and same / want >= 0.95 and same / got >= 0.95
+
+
+def test_html_regions_and_deep_markup():
+    long = "<p>" + "words of the story " * 12 + "</p>"
+    page = f"<body><div class=x1>{'<li><a href=/a>go there</a></li>' * 9}</div><div><h2>Title</h2>{long}<p>Short.</p>{long}<p>End.</p></div><div>{'<a href=/b>tag</a>' * 9}</div></body>"
+    story = ("words of the story " * 12).strip()
+    assert html_text.extract(page) == f"Title {story} Short. {story} End."
+    deep = "<b>" * 30_000 + "<i>" + long + "</u>" * 30_000  # end tags of elements that are not open cost nothing
+    assert html_text.extract(deep) == story
 
 
 def test_awkward_and_empty_tables(spark, docs, rows, empty):
