@@ -7,12 +7,14 @@ nothing nearer than the query's k-th best so far. With distance d to the vantage
 k-th best t, the inner part is skipped if d - r > factor * t and the outer part if r - d > factor * t;
 factor 1 is exact, smaller factors prune more. A first greedy descent sets t.
 
-Queries come in blocks of bounded size, which are broadcast; every shard answers every block with its
-k best, and those are merged per query. Distances are exact, in double precision on original vectors.
-
-Defined results: vectors that are null, all zero or hold null or non-finite components take no part;
-repeated ids are rows of their own, and a query leaves out all rows of its own id; vectors of another
-length than the query are no candidates; ties go to smaller ids; an empty table gives an empty result.
+Queries stay a table. They are dealt to blocks of about `BLOCK` by hash, and every pair of a block and a shard is one
+task that holds one tree and one block: nothing grows with the data on the driver or in a task. The k best of each
+pair are merged per query. Distances are exact, in double precision on original vectors.
+
+Defined results: vectors that are null, all zero or hold null or non-finite components take no part, nor do null ids;
+rows of one id and equal vectors are one query, rows of one id with different vectors are queries of their own, each with
+its ranks; as candidates, repeated ids are rows of their own, and a query leaves out all rows of its own id; vectors of another
+length than the query are no candidates; ties go to smaller ids; an empty table gives an empty result; other columns are not read.
 """
 
 from __future__ import annotations
@@ -30,7 +32,7 @@ K = 10
 FACTOR = 1.0
 LEAF = 64
 SHARD_ROWS = 20_000
-BLOCK = 4_096
+BLOCK = 8_192
 
 
 def build(ids: np.ndarray, points: np.ndarray, leaf: int = LEAF) -> list[dict]:
@@ -151,45 +153,31 @@ def index(vectors: DataFrame, shard_rows: int = SHARD_ROWS) -> DataFrame:
     return materialise(trees, "vp-trees")
 
 
-def answer(trees: DataFrame, ids: np.ndarray, queries: np.ndarray, k: int, factor: float) -> DataFrame:
-    """(query_id, vec_id, score): the k best of each shard for one block of queries of one length."""
-    shared = trees.sparkSession.sparkContext.broadcast((ids, queries))
-
-    def run(batches):
-        q_ids, q = shared.value
-        for b in batches:
-            for blob in b.column(0).to_pylist():
-                best = search(pickle.loads(blob), q_ids, q, k, factor)
-                rows, cols = np.nonzero(np.isfinite(best.d))
-                arrays = [pa.array(q_ids[rows]), pa.array(best.ids[rows, cols]), pa.array(best.d[rows, cols])]
-                yield pa.RecordBatch.from_arrays(arrays, ["query_id", "vec_id", "score"])
-
-    found = trees.where(F.col("dim") == queries.shape[1]).select("tree")
-    return found.mapInArrow(run, "query_id long, vec_id long, score double")
-
-
 def nearest(vectors: DataFrame, queries: DataFrame, k: int = K, factor: float = FACTOR, block: int = BLOCK, shard_rows: int = SHARD_ROWS) -> DataFrame:
     """query_id, rank, vec_id, score of the k nearest rows found; both inputs are (vec_id, vec)."""
     trees = index(vectors, shard_rows)
-    found = trees.sparkSession.createDataFrame([], "query_id long, vec_id long, score double")
-    ids: dict[int, list] = {}
-    vecs: dict[int, list] = {}
-    parts = []
-
-    def close(dim):
-        parts.append(answer(trees, np.array(ids.pop(dim), np.int64), np.array(vecs.pop(dim), float), k, factor))
-
-    for row in queries.distinct().toLocalIterator():  # one block of bounded size at a time
-        dim = len(row["vec"])
-        ids.setdefault(dim, []).append(row["vec_id"])
-        vecs.setdefault(dim, []).append(row["vec"])
-        if len(ids[dim]) == block:
-            close(dim)
-    for dim in list(ids):
-        close(dim)
-    for p in parts:
-        found = found.unionByName(p)
-    order = Window.partitionBy("query_id").orderBy("score", "vec_id")
+    row = F.xxhash64("vec")  # tells queries of one id apart
+    asked = materialise(queries.select("vec_id", "vec", row.alias("q"), F.size("vec").alias("dim")).distinct(), "vp-queries")
+    blocks = max(1, -(-asked.count() // block))
+    shards = trees.agg(F.max("shard")).first()[0] or 0
+    every = asked.withColumn("block", F.pmod(F.xxhash64("vec_id", "q"), F.lit(blocks)).cast("int")).withColumn("shard", F.explode(F.sequence(F.lit(0), F.lit(shards))))
+    dealt = trees.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+    key = ("shard", "dim", "block")
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        ids, q = right.column("vec_id").to_numpy(), right.column("q").to_numpy()
+        rows = cols = np.zeros(0, np.int64)
+        if left.num_rows and len(ids):
+            points = right.column("vec").combine_chunks().flatten().to_numpy().reshape(len(ids), -1)
+            best = search(pickle.loads(left.column("tree")[0].as_py()), ids, points, k, factor)
+            rows, cols = np.nonzero(np.isfinite(best.d))
+        else:
+            best = Best(0, k)
+        arrays = [pa.array(x) for x in (ids[rows], q[rows], best.ids[rows, cols], best.d[rows, cols])]
+        return pa.table(arrays, names=["query_id", "q", "vec_id", "score"])
+
+    found = dealt.groupBy(*key).cogroup(every.groupBy(*key)).applyInArrow(run, "query_id long, q long, vec_id long, score double")
+    order = Window.partitionBy("query_id", "q").orderBy("score", "vec_id")
     ranked = found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
     return ranked.select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 
