@@ -1,6 +1,6 @@
 """Mixing sources to target weights with hash-threshold histograms, in DataFrame functions alone.
 
-Every document gets a 60-bit hash of its id. Per source, the words of all documents are summed
+Every document gets a 60-bit hash of its id and text. Per source, the words of all documents are summed
 into 4 096 hash buckets (map-side combined, so a hot source costs one row a bucket and task).
 A running sum over the buckets finds where the word budget runs out; only that boundary bucket is
 read again at the next 12 bits, until five levels have fixed the threshold to one hash value.
@@ -11,8 +11,9 @@ A source whose target exceeds its size is taken whole once and its remainder by
 document is never taken more than twice.
 
 Defined results: null text or text without words has size 0; a null source is a source of its own,
-ordered last; a null id hashes as the text 'null'; repeated ids share a hash and move together;
-an empty table gives an empty result; extra columns are kept by `mix`.
+ordered last; a null id hashes as the text 'null', and since the text is hashed with it, only rows equal in both share a
+hash and move together; very long texts are counted whole; an empty table gives an empty result; extra columns are kept by `mix`,
+whose own columns (mix_...) replace those of the input.
 """
 
 from __future__ import annotations
@@ -31,10 +32,10 @@ LEVEL_BITS = 12
 BROADCAST_SOURCES = 20_000
 
 
-def mix_hash(doc_id: Column) -> Column:
-    """60 bits of md5 of the id as text."""
-    text = F.coalesce(doc_id.cast("string"), F.lit("null"))
-    return F.conv(F.substring(F.md5(text.cast("binary")), 1, 15), 16, 10).cast("long")
+def mix_hash(doc_id: Column, text: Column) -> Column:
+    """60 bits of md5 of the id as text and the text."""
+    both = F.concat(F.coalesce(doc_id.cast("string"), F.lit("null")), F.lit("|"), F.coalesce(text, F.lit("")))
+    return F.conv(F.substring(F.md5(both.cast("binary")), 1, 15), 16, 10).cast("long")
 
 
 def source_targets(sizes: DataFrame, weights=WEIGHTS, share: float = SHARE, cap: int = CAP) -> DataFrame:
@@ -118,9 +119,9 @@ def thresholds(hashed: DataFrame, plan: DataFrame, n_sources: int) -> DataFrame:
 
 def mix(docs: DataFrame, weights=WEIGHTS, share: float = SHARE, cap: int = CAP) -> DataFrame:
     """docs plus mix_size, mix_source_size, mix_target, mix_copies, mix_taken for every document."""
-    docs = docs.drop("mix_size", "mix_source_size", "mix_target", "mix_copies", "mix_taken", "source_key")  # own names win
+    docs = docs.drop("mix_size", "mix_source_size", "mix_target", "mix_copies", "mix_taken", "mix_whole", "mix_upto", "source_key")  # own names win
     slim = materialise(
-        _keyed(docs).select("source", "source_key", native_size(F.col("text")).alias("size"), mix_hash(F.col("doc_id")).alias("h")),
+        _keyed(docs).select("source", "source_key", native_size(F.col("text")).alias("size"), mix_hash(F.col("doc_id"), F.col("text")).alias("h")),
         "mix-sizes",
     )
     sizes = slim.groupBy("source", "source_key").agg(F.sum("size").cast("long").alias("source_size"))
@@ -137,7 +138,7 @@ def mix(docs: DataFrame, weights=WEIGHTS, share: float = SHARE, cap: int = CAP)
         F.col("whole").alias("mix_whole"),
         F.col("upto").alias("mix_upto"),
     )
-    copies = F.least(F.col("mix_whole") + (mix_hash(F.col("doc_id")) <= F.col("mix_upto")).cast("long"), F.lit(cap))
+    copies = F.least(F.col("mix_whole") + (mix_hash(F.col("doc_id"), F.col("text")) <= F.col("mix_upto")).cast("long"), F.lit(cap))
     return (
         _keyed(docs)
         .withColumn("mix_size", native_size(F.col("text")))
@@ -163,7 +164,7 @@ def mix_report(docs: DataFrame) -> DataFrame:
 MIX_SQL = r"""
 , sized AS (
   SELECT *, len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+'))::BIGINT AS size,
-         ('0x' || substr(md5(coalesce(doc_id::VARCHAR, 'null')), 1, 15))::UBIGINT AS h,
+         ('0x' || substr(md5(coalesce(doc_id::VARCHAR, 'null') || '|' || coalesce(text, '')), 1, 15))::UBIGINT AS h,
          CASE WHEN source IS NULL THEN '' ELSE '=' || source END AS source_key
   FROM {docs}),
 sources AS (SELECT source, source_key, sum(size)::BIGINT AS source_size FROM sized GROUP BY ALL),
