@@ -5,11 +5,13 @@ structure (repetition, symbols, lines, word lengths) and of its metadata (length
 w0 + sum w_i x_i + sum over pairs <v_i, v_j> x_i x_j; the pairs cost linear time, as half of
 (sum v_i x_i)^2 - sum v_i^2 x_i^2 for each factor.
 
-The model is fitted on the driver from at most `max_train` labelled rows (those of least id hash among
-the learning folds); every document is scored in one pass over whole texts.
+The model is fitted on the driver, by one core, from one text (least hash) of each of at most `max_train` labelled ids
+(those of least id hash among the learning folds) and at most `max_features` features of them; every document is scored
+in one pass over whole texts.
 
-Defined results: null and empty texts are scored from the statistics alone; labels of one id that
-contradict each other are all learned; ids without label are only scored; without any label every score is 0.5.
+Defined results: null and empty texts are scored from the statistics alone; very long texts are read whole; repeated rows
+are scored alike; two labels of one id count as the larger; ids without label are only scored; without any label every
+score is 0.5; an empty table gives an empty result; a column `fm_score` of the input is replaced.
 """
 
 from __future__ import annotations
@@ -18,16 +20,18 @@ from zlib import crc32
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import BLOCK_BYTES, blocks, byte_column, fold, map_rows, words_of
+from .common import BLOCK_BYTES, blocks, byte_column, fold, map_rows, materialise, words_of
 
 WORDS = 1 << 16
 BINS = 16
 FACTORS = 8
 THRESHOLD = 0.3
 MAX_TRAIN = 8_000
+#: Twelve bytes each on the driver.
+MAX_FEATURES = 16_000_000
 
 _SYMBOL = np.zeros(256, bool)
 _SYMBOL[[ord(c) for c in "#$%&*@^~|<>{}[]=+_\\/"]] = True
@@ -125,26 +129,31 @@ class Machine:
         return self
 
 
-def training_rows(docs: DataFrame, labels: DataFrame, column: str, limit: int) -> list[tuple]:
-    """(id, text) -> at most `limit` labelled rows of least id hash, texts as bytes with their label."""
-    key = F.xxhash64(F.col("doc_id").cast("string"))
-    picked = labels.where(F.col(column).isNotNull() & F.col("doc_id").isNotNull()).select("doc_id", F.col(column).cast("int").alias("y"))
-    return picked.orderBy(key, "doc_id", "y").limit(limit)
+def learning_texts(docs: DataFrame, labels: DataFrame, column: str, learn, limit: int) -> DataFrame:
+    """(text, y, h): one text of each of at most `limit` labelled ids that `learn` admits; h is the hash of the text."""
+    y = F.col(column).cast("int")
+    labelled = labels.where(learn & F.col("doc_id").isNotNull() & y.isin(0, 1))
+    picked = labelled.groupBy("doc_id").agg(F.max(y).alias("y")).orderBy(F.xxhash64(F.col("doc_id").cast("string")), "doc_id").limit(limit)
+    texts = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(picked), "doc_id")
+    one = texts.groupBy("doc_id").agg(F.min(F.struct(F.xxhash64("text").alias("h"), "text", "y")).alias("x"))
+    return one.select("x.text", "x.y", "x.h")
 
 
-def fit(docs: DataFrame, labels: DataFrame, column: str = "quality", mod: int = 5, keep_out: int = 0, max_train: int = MAX_TRAIN) -> Machine | None:
-    learn = labels.where(fold("doc_id", mod) != keep_out)
-    picked = training_rows(docs, learn, column, max_train)
-    joined = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").select("text", "y")
+def fit(docs: DataFrame, labels: DataFrame, column: str = "quality", mod: int = 5, keep_out: int = 0, max_train: int = MAX_TRAIN, max_features: int = MAX_FEATURES) -> Machine | None:
+    texts = learning_texts(docs, labels, column, fold("doc_id", mod) != keep_out, max_train)
 
     def one(batch):
         found = [row_of(x) for x in byte_column(batch, "text")]
-        cols = [pa.array([i.astype(np.int32) for i, _ in found], pa.list_(pa.int32())), pa.array([v for _, v in found], pa.list_(pa.float64())), batch.column(1)]
-        yield pa.RecordBatch.from_arrays(cols, ["feats", "vals", "y"])
-
-    rows = map_rows(joined, "feats array<int>, vals array<double>, y int", one).toArrow().sort_by("y")
-    if not rows.num_rows:
+        cols = [pa.array([i.astype(np.int32) for i, _ in found], pa.list_(pa.int32())), pa.array([v for _, v in found], pa.list_(pa.float64())), *batch.columns[1:]]
+        yield pa.RecordBatch.from_arrays(cols, ["feats", "vals", "y", "h"])
+
+    found = materialise(map_rows(texts.repartition(max(8, docs.sparkSession.sparkContext.defaultParallelism)), "feats array<int>, vals array<double>, y int, h long", one), "quality-rows")
+    before = Window.orderBy("h", "y").rowsBetween(Window.unboundedPreceding, 0)  # over the sizes of at most max_train rows
+    sizes = found.select("h", "y", F.size("feats").alias("n")).withColumn("run", F.sum("n").over(before))
+    last = sizes.where(F.col("run") <= max_features).agg(F.max("h")).first()[0]
+    if last is None:
         return None
+    rows = found.where(F.col("h") <= last).toArrow()
     data = [(f.values.to_numpy(), v.values.to_numpy()) for f, v in zip(rows["feats"], rows["vals"], strict=True)]
     order = sorted(range(len(data)), key=lambda i: (data[i][0].tobytes(), data[i][1].tobytes(), rows["y"][i].as_py()))
     return Machine().fit([data[i] for i in order], [rows["y"][i].as_py() for i in order])

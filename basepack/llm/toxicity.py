@@ -40,6 +40,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import byte_column, fold, map_rows, materialise, words_of
+from .quality import learning_texts
 
 MAX_TRAIN = 12_000
 #: Telling words at most, by gain.
@@ -175,14 +176,10 @@ class Model:
 
 
 def learning_rows(docs: DataFrame, labels: DataFrame, column: str, mod: int, keep_out: int, limit: int) -> DataFrame:
-    """(text, y, part): one text of each of at most `limit` labelled ids, dealt evenly and written; part is its fold."""
+    """(text, y, part): the learning texts, dealt evenly and written; part is the fold of a text."""
     spark = docs.sparkSession
-    y = F.col(column).cast("int")
-    labelled = labels.where((fold("doc_id", mod) != keep_out) & F.col("doc_id").isNotNull() & y.isin(0, 1))
-    picked = labelled.groupBy("doc_id").agg(F.max(y).alias("y")).orderBy(F.xxhash64(F.col("doc_id").cast("string")), "doc_id").limit(limit)
-    texts = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(picked), "doc_id")
-    one = texts.groupBy("doc_id").agg(F.min(F.struct(F.xxhash64("text").alias("h"), "text", "y")).alias("x"))
-    rows = one.select("x.text", "x.y", F.pmod("x.h", F.lit(CALIBRATE)).cast("int").alias("part"))
+    found = learning_texts(docs, labels, column, fold("doc_id", mod) != keep_out, limit)
+    rows = found.select("text", "y", F.pmod("h", F.lit(CALIBRATE)).cast("int").alias("part"))
     return materialise(rows.repartition(max(8, spark.sparkContext.defaultParallelism)), "toxic-learn")
 
 
