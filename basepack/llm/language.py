@@ -6,8 +6,12 @@ leader steps under an elastic net (L1 leaves most of them zero) on a sample of a
 documents of each language in expectation and never over twice that for all, and a temperature is then
 fitted on a fifth of the sample that the weights have not seen.
 
-Defined results: a null text or one without letters is `und` with score 0; rows whose lang is null are not
-learned from; without any learning row every text is `und`.
+Languages are the `languages` most frequent values of lang among the learning rows.
+
+Defined results: a null text or one without letters is `und` with score 0; very long texts are read whole; bytes that
+are no UTF-8 are read as replacement characters; rows whose lang is null are not learned from; null ids belong to fold 0; repeated rows
+are learned from as they come and predicted alike; without any learning row every text is `und`; an empty table gives
+an empty result; columns `lang_pred` and `lang_score` of the input are replaced.
 """
 
 from __future__ import annotations
@@ -21,6 +25,7 @@ from .common import byte_column, fold, map_rows
 
 FEATURES = 1 << 16
 PER_LANGUAGE = 1_000
+LANGUAGES = 400
 _PRIME = np.uint32(2654435761)
 
 
@@ -126,11 +131,12 @@ def document_frequencies(docs: DataFrame) -> np.ndarray:
     return out
 
 
-def fit(docs: DataFrame, mod: int = 4, keep_out: int = 2, per_language: int = PER_LANGUAGE) -> Regression | None:
+def fit(docs: DataFrame, mod: int = 4, keep_out: int = 2, per_language: int = PER_LANGUAGE, languages: int = LANGUAGES) -> Regression | None:
     learn = docs.where((fold("doc_id", mod) != keep_out) & F.col("lang").isNotNull()).select("doc_id", "text", "lang")
-    sizes = {r["lang"]: r["count"] for r in learn.groupBy("lang").count().collect()}
+    sizes = {r["lang"]: r["count"] for r in learn.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(languages).collect()}
     if not sizes:
         return None
+    learn = learn.where(F.col("lang").isin(list(sizes)))
     df = document_frequencies(learn)
     idf = np.log((1 + df[-1]) / (1 + df[:-1])) + 1
     share = F.create_map(*[x for k, v in sorted(sizes.items()) for x in (F.lit(k), F.lit(min(1.0, per_language / v)))])
@@ -148,7 +154,7 @@ def predict(docs: DataFrame, model: Regression | None) -> DataFrame:
 
     def one(batch):
         m = shared.value
-        texts = (None if x is None else x.decode() for x in byte_column(batch, "text"))
+        texts = (None if x is None else x.decode("utf-8", "replace") for x in byte_column(batch, "text"))
         found = [m.predict(x) if m else ("und", 0.0) for x in texts]
         cols = [*batch.columns, pa.array([x for x, _ in found], pa.string()), pa.array([x for _, x in found], pa.float64())]
         yield pa.RecordBatch.from_arrays(cols, [*batch.schema.names, "lang_pred", "lang_score"])
