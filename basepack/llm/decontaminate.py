@@ -7,11 +7,14 @@ shingle). Only prefix shingles are probed in documents; a hit says where the win
 dropped if that begins before the first word or ends after the last, and the words are then compared.
 
 Two passes over the documents: one counts how often item shingles occur (map-side combined), one
-probes. The item side is broadcast while it has at most `max_windows` windows; a larger item side is
-joined by shuffle on the prefix shingle (`mode='shuffle'`), with equal results.
-
-Defined results: null, empty or wordless texts have n_words 0 and are clean; items without words take
-no part; repeated rows are judged alone; a null item id is skipped in the id list; empty tables work.
+probes. The item side is broadcast while it has at most `max_windows` windows. A larger item side stays distributed
+(`mode='shuffle'`, tested equal): shingles meet by hash, frequent ones by broadcast of the fewer than 4096 that hold over a
+4096th of all shingles, and what is found is verified word by word. A verdict depends on the text alone, so each
+different text is judged once there.
+
+Defined results: null, empty or wordless texts have n_words 0 and are clean; very long texts are read whole; items
+without words take no part; repeated rows are judged alone; a null item id is skipped in the id list; empty tables work;
+columns of the input named as the result's own are replaced, all others are kept whatever their names.
 """
 
 from __future__ import annotations
@@ -20,10 +23,11 @@ import hashlib
 from collections import Counter, defaultdict
 
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import alnum_words, byte_column, map_rows, materialise
+from .common import alnum_words, byte_column, join_uneven, map_rows, materialise
 
 WINDOW = 13
 SHINGLE = 5
@@ -58,6 +62,10 @@ def item_windows(items: DataFrame) -> DataFrame:
     return map_rows(slim, "item_id long, win binary", one).distinct()
 
 
+def _shingle_hash(words) -> int:
+    return xxhash.xxh64_intdigest(b" ".join(words)) - (1 << 63)
+
+
 def _lengths(shingles) -> list[int]:
     return sorted({len(s) for s in shingles})
 
@@ -109,11 +117,17 @@ def digest(items) -> str:
     return hashlib.sha256(",".join(sorted(map(str, items))).encode()).hexdigest()
 
 
-def verdict(n_words: int, spans: list[tuple[int, int]], items) -> tuple:
+def covered(spans: list[tuple[int, int]]) -> int:
+    """Words inside any of the spans."""
     hit = end = 0
     for a, b in sorted(spans):
         hit += max(0, b - max(a, end))
         end = max(end, b)
+    return hit
+
+
+def verdict(n_words: int, spans: list[tuple[int, int]], items) -> tuple:
+    hit = covered(spans)
     return n_words, hit, len(items), digest(items), hit > 0 and 20 * hit >= n_words
 
 
@@ -154,65 +168,92 @@ def _broadcast_mode(docs: DataFrame, rows: list) -> DataFrame:
     return map_rows(docs, f"{schema}, {OUT}", probe)
 
 
+def _text_key() -> list[F.Column]:
+    """96 bits that stand for a text."""
+    return [F.xxhash64("text").alias("k1"), F.hash("text").alias("k2")]
+
+
 def _shuffle_mode(docs: DataFrame, wins: DataFrame) -> DataFrame:
     """The item side stays distributed: document shingles are joined with prefix shingles by hash."""
-    docs = docs.withColumn("row_key", F.xxhash64(*docs.columns)).withColumn("row_key2", F.hash(*docs.columns))
-    sizes = [r[0] for r in wins.select(F.least(F.lit(SHINGLE), F.size(F.split(F.col("win").cast("string"), " ")))).distinct().collect()]
-
-    def cut_docs(batch):
-        k1, k2, shs, at, n = [], [], [], [], []
+    others = F.struct(F.lit(0).alias("_"), *[F.col(c) for c in docs.columns if c != "text"]).alias("rest")
+    slim = docs.select("text", others)  # other columns travel in one struct, so that none clashes with the names used here
+    texts = docs.select("text").distinct().select(*_text_key(), "text")
+    windows = materialise(wins.select("win").distinct().withColumn("len", F.size(F.split(F.col("win").cast("string"), " "))), "decon-distinct")
+    sizes = [r[0] for r in windows.select(F.least(F.lit(SHINGLE), "len")).distinct().collect()]  # at most SHINGLE
+
+    def cut_texts(batch):
+        k1, k2, h, at, n = [], [], [], [], []
         for a, b, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), byte_column(batch, "text"), strict=True):
             words = alnum_words(text)
             for q in sizes:
-                for i in range(len(words) - q + 1):
-                    shs.append(b" ".join(words[i : i + q]))
-                    at.append(i)
-            k1 += [a] * (len(shs) - len(k1))
-            k2 += [b] * (len(shs) - len(k2))
-            n += [len(words)] * (len(shs) - len(n))
-        cols = [pa.array(k1, pa.int64()), pa.array(k2, pa.int32()), pa.array(shs, pa.binary()), pa.array(at, pa.int32()), pa.array(n, pa.int32())]
-        yield pa.RecordBatch.from_arrays(cols, ["row_key", "row_key2", "sh", "at", "n"])
-
-    def cut_wins(batch):
-        ids, wins_, shs, off = [], [], [], []
-        for i, w in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-            for k, s in enumerate(shingles_of(tuple(w.split(b" ")))):
-                ids.append(i)
-                wins_.append(w)
-                shs.append(b" ".join(s))
+                h += [_shingle_hash(words[i : i + q]) for i in range(len(words) - q + 1)]
+                at += range(len(words) - q + 1)
+            more = len(h) - len(n)
+            k1 += [a] * more
+            k2 += [b] * more
+            n += [len(words)] * more
+        cols = [pa.array(k1, pa.int64()), pa.array(k2, pa.int32()), pa.array(h, pa.int64()), pa.array(at, pa.int32()), pa.array(n, pa.int32())]
+        yield pa.RecordBatch.from_arrays(cols, ["k1", "k2", "sh", "at", "n"])
+
+    def cut_windows(batch):
+        w, size, h, off = [], [], [], []
+        for win, n in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+            for k, s in enumerate(shingles_of(tuple(win.split(b" ")))):
+                w.append(win)
+                size.append(n)
+                h.append(_shingle_hash(s))
                 off.append(k)
-        cols = [pa.array(ids, pa.int64()), pa.array(wins_, pa.binary()), pa.array(shs, pa.binary()), pa.array(off, pa.int32())]
-        yield pa.RecordBatch.from_arrays(cols, ["item_id", "win", "sh", "off"])
-
-    runs = map_rows(docs.select("row_key", "row_key2", "text").distinct(), "row_key long, row_key2 int, sh binary, at int, n int", cut_docs)
-    parts = map_rows(wins, "item_id long, win binary, sh binary, off int", cut_wins)
-    known = runs.join(parts.select("sh").distinct(), "sh", "left_semi").groupBy("sh").agg(F.count("*").alias("seen"))
-    rarest = parts.join(known, "sh", "left").groupBy("item_id", "win").agg(
-        F.min(F.struct(F.coalesce("seen", F.lit(0)).alias("seen"), "sh", "off")).alias("p")
-    )
-    prefix = rarest.where("p.seen > 0").select("item_id", "win", "p.sh", "p.off", F.size(F.split(F.col("win").cast("string"), " ")).alias("len"))
-    cand = runs.join(prefix, "sh").select("row_key", "row_key2", "item_id", "win", (F.col("at") - F.col("off")).alias("begin"), "len", "n")
-    cand = cand.where("begin >= 0 AND begin + len <= n")
-    # A document has at most as many candidates as words times prefix windows of one shingle.
-    listed = cand.groupBy("row_key", "row_key2").agg(F.collect_list(F.struct("item_id", "win", "begin")).alias("cands"))
-    joined = docs.join(listed, ["row_key", "row_key2"], "left")
-    names = [c for c in docs.columns if not c.startswith("row_key")]
-    kept = joined.select(*names, "cands")
+        cols = [pa.array(w, pa.binary()), pa.array(size, pa.int32()), pa.array(h, pa.int64()), pa.array(off, pa.int32())]
+        yield pa.RecordBatch.from_arrays(cols, ["win", "len", "sh", "off"])
+
+    runs = map_rows(texts, "k1 long, k2 int, sh long, at int, n int", cut_texts)
+    parts = map_rows(windows, "win binary, len int, sh long, off int", cut_windows)
+    # Counted before they meet the items, so that a frequent shingle is one row a task.
+    seen = materialise(runs.groupBy("sh").agg(F.count("*").alias("seen")), "decon-seen")
+    total = seen.agg(F.sum("seen")).first()[0] or 0
+    first = F.min(F.struct("seen", "sh", "off")).alias("p")
+    rarest = parts.join(seen, "sh", "left").withColumn("seen", F.coalesce("seen", F.lit(0))).groupBy("win", "len").agg(first).where("p.seen > 0")
+    prefix = materialise(rarest.select("win", "len", "p.sh", "p.off", "p.seen"), "decon-prefix")
+    cand = join_uneven(runs, prefix, ["sh"], "seen", total).withColumn("begin", F.col("at") - F.col("off")).where("begin >= 0 AND begin + len <= n")
+    # At most as many candidates as a text has words times prefix windows of one shingle.
+    listed = materialise(cand.groupBy("k1", "k2").agg(F.collect_set(F.struct("win", "begin")).alias("cands")), "decon-candidates")
 
     def verify(batch):
-        found = []
-        for text, cands in zip(byte_column(batch, "text"), batch.column(batch.num_columns - 1).to_pylist(), strict=True):
-            words, spans, items = alnum_words(text), [], set()
-            for c in cands or ():
+        hits, found = [], []
+        for text, cands in zip(byte_column(batch, "text"), batch.column(3).to_pylist(), strict=True):
+            words, spans, seen_ = alnum_words(text), [], set()
+            for c in cands:
                 w = c["win"].split(b" ")
                 if words[c["begin"] : c["begin"] + len(w)] == w:
                     spans.append((c["begin"], c["begin"] + len(w)))
-                    items.add(c["item_id"])
-            found.append(verdict(len(words), spans, items))
-        yield pa.RecordBatch.from_arrays([*batch.columns[:-1], *_columns(found)], [*batch.schema.names[:-1], "n_words", "n_hit", "n_items", "items_sha256", "contaminated"])
-
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.select(*names).schema)
-    return map_rows(kept, f"{schema}, {OUT}", verify)
+                    seen_.add(c["win"])
+            hits.append(covered(spans))
+            found.append(list(seen_))
+        cols = [batch.column(0), batch.column(1), pa.array(hits, pa.int64()), pa.array(found, pa.list_(pa.binary()))]
+        yield pa.RecordBatch.from_arrays(cols, ["k1", "k2", "hit", "wins"])
+
+    judged = materialise(map_rows(texts.join(listed, ["k1", "k2"]), "k1 long, k2 int, hit long, wins array<binary>", verify).where("hit > 0"), "decon-hits")
+    held = materialise(judged.select("k1", "k2", F.explode("wins").alias("win")), "decon-held")
+    often = materialise(held.groupBy("win").agg(F.count("*").alias("k")).join(wins, "win"), "decon-owners")
+    owned = join_uneven(held, often, ["win"], "k", held.count()).groupBy("k1", "k2").agg(F.collect_set("item_id").alias("items"))
+    ids = F.array_join(F.sort_array(F.transform("items", lambda x: x.cast("string"))), ",")
+    verdicts = judged.select("k1", "k2", "hit").join(owned, ["k1", "k2"], "left").select(
+        "k1", "k2", "hit", F.size("items").cast("long").alias("n_items"), F.sha2(ids.cast("binary"), 256).alias("sha")
+    )
+    verdicts = materialise(verdicts, "decon-verdicts")  # written, so that a frequent text of docs can be split at the join
+
+    def count_words(batch):
+        n = pa.array([len(alnum_words(t)) for t in byte_column(batch, "text")], pa.int64())
+        yield pa.RecordBatch.from_arrays([*batch.columns, n], [*batch.schema.names, "n_words"])
+
+    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in slim.schema)
+    counted = map_rows(slim, f"{schema}, n_words long", count_words).withColumns({"k1": F.xxhash64("text"), "k2": F.hash("text")})
+    hit = F.coalesce("hit", F.lit(0)).cast("long")
+    kept = [F.col("text") if c == "text" else F.col("rest").getField(c).alias(c) for c in docs.columns]
+    return counted.join(verdicts, ["k1", "k2"], "left").select(
+        *kept, "n_words", hit.alias("n_hit"), F.coalesce("n_items", F.lit(0)).cast("long").alias("n_items"),
+        F.coalesce("sha", F.lit(digest(()))).alias("items_sha256"), ((hit > 0) & (20 * hit >= F.col("n_words"))).alias("contaminated"),
+    )
 
 
 def decontaminate(docs: DataFrame, items: DataFrame, mode: str = "auto", max_windows: int = MAX_WINDOWS) -> DataFrame:
