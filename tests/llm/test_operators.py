@@ -173,13 +173,25 @@ def test_pipeline_cut_keeps_columns(docs):
     assert all(r["n_chars"] == len(r["text"]) for r in out.collect() if r["text"] is not None)
 
 
-def test_decontamination_modes_and_sql(spark, docs, rows, tmp_path):
+def test_decontamination_modes_and_sql(spark, docs, rows, tmp_path, monkeypatch):
     rng = random.Random(9)
     items = [(1, " ".join(rows[8][1].split()[20:60])), (2, "two words"), (3, None), (4, "!!!"), (5, text(rng, 40)), (None, "a")]
     it = spark.createDataFrame(items, "item_id long, text string")
     a = decontaminate.contamination(spark, docs, it).toPandas().sort_values(["doc_id", "n_words"]).reset_index(drop=True)
     b = decontaminate.decontaminate(docs.select("doc_id", "text"), it, mode="shuffle").drop("text").toPandas().sort_values(["doc_id", "n_words"]).reset_index(drop=True)
     assert a.equals(b)
+    clash = docs.selectExpr("text", "doc_id", "source AS cands", "lang AS row_key", "n_chars AS k1", "1 AS n_hit", "source AS sh", "lang AS rest")
+    for mode in ("auto", "shuffle"):
+        out = decontaminate.decontaminate(clash, it, mode=mode)
+        assert out.columns == [c for c in clash.columns if c != "n_hit"] + ["n_words", "n_hit", "n_items", "items_sha256", "contaminated"]
+        kept = Counter(tuple(r) for r in out.select("doc_id", "text", "cands", "row_key", "k1", "rest").collect())
+        assert kept == Counter(tuple(r) for r in clash.select("doc_id", "text", "cands", "row_key", "k1", "rest").collect())
+        assert sorted(r[0] for r in out.select("n_hit").collect()) == sorted(a["n_hit"])
+        assert decontaminate.decontaminate(docs.limit(0), it, mode=mode).count() == 0
+        assert decontaminate.decontaminate(docs, it.limit(0), mode=mode).where("n_hit > 0").count() == 0
+    monkeypatch.setattr(decontaminate, "join_uneven", lambda *x: common.join_uneven(*x, heavy=3))
+    c = decontaminate.decontaminate(docs.select("doc_id", "text"), it, mode="shuffle").drop("text").toPandas().sort_values(["doc_id", "n_words"]).reset_index(drop=True)
+    assert a.equals(c)
     good = docs.where("doc_id IS NOT NULL AND doc_id <> 7")
     good.select("doc_id", "text").write.parquet(f"{tmp_path}/documents.parquet")
     it.where("item_id IS NOT NULL").write.parquet(f"{tmp_path}/benchmark.parquet")
@@ -221,6 +233,10 @@ def test_nearest_equals_brute_force_and_prunes(spark):
         want = sorted((d[i], i) for i in range(900) if i != q)[:10]
         assert [found[k + 1][0] for k in range(10)] == [i for _, i in want]
         assert np.allclose([found[k + 1][1] for k in range(10)], [x for x, _ in want], rtol=1e-12)
+    twice = spark.createDataFrame([(100, [0.0, 1.0]), (100, [9.0, 1.0]), (100, [9.0, 1.0]), *[(i, [float(i), 1.0]) for i in range(1, 13)]], "vec_id long, vec array<double>")
+    two = vptree.nearest(twice, twice.where("vec_id = 100")).collect()  # equal rows are one query, others of the id one each
+    assert Counter(r["rank"] for r in two) == {k: 2 for k in range(1, 11)} and all(r["query_id"] == 100 != r["vec_id"] for r in two)
+    assert {r["vec_id"] for r in two if r["rank"] == 1} == {1, 9}
     loose = vptree.nearest(vptree.usable(e), vptree.usable(e).where("vec_id % 100 = 0"), factor=0.9, shard_rows=2000).collect()
     hit = sum(r["vec_id"] in [x for x, _ in got[r["query_id"]].values()] for r in loose)
     assert hit >= 0.9 * 90
