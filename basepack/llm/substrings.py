@@ -46,7 +46,7 @@ POS_BITS = 20
 #: Segments are gathered up to this many bytes before they are sorted.
 SORT_BYTES = 1 << 19
 #: A minimiser whose different segments have more bytes than this is split over tasks.
-GROUP_BYTES = 1 << 20
+GROUP_BYTES = 1 << 18
 
 
 def _mix(x: np.ndarray, k: int) -> np.ndarray:
