@@ -41,24 +41,9 @@ def gather(o: DataFrame) -> DataFrame:
     return o.groupBy("seg", "i").agg(F.transform(parts, lambda x: x["o"]).alias("vec"))
 
 
-def attend_latent(seg: DataFrame, steps: int = 3) -> DataFrame:
-    """Carried outputs for the first segments: the output of one stands before the next. Unrolled; long runs
-    belong to the coder's kernel."""
-    out, state = None, None
-    for t in range(steps):
-        here = seg.where(F.col("seg") == t)
-        keys = here.select("seg", F.col("i").alias("j"), F.col("vec").alias("k"))
-        if state is not None:
-            keys = state.select(F.lit(t).cast("long").alias("seg"), (F.col("i") - 1000).alias("j"), F.col("vec").alias("k")).unionByName(keys)
-        o = attend(here.select("seg", "i", F.col("vec").alias("q")), keys)
-        state = gather(o)
-        out = o if out is None else out.unionByName(o)
-    return out
-
-
 def attend_latent_whole(seg: DataFrame, scale: float = 8.0) -> DataFrame:
-    """attend_latent over all segments in order. One chain: every output needs the one before, so one task holds one
-    segment and one state at a time. A missing segment ends the chain, as it does in attend_latent."""
+    """Carried outputs over all segments in order: the output of one stands before the next. One chain: every output needs
+    the one before, so one task holds one segment and one state at a time. A missing segment ends the chain."""
     import numpy as np
     import pandas as pd
 

@@ -1,8 +1,10 @@
 """Compression and decompression of sequences by learned and adaptive coders, groups in lock-step lanes.
 
 A container row is one group: its fragment at two bits a base, its payload, the runs of unknown bases.
-Lane batches always have exactly `lanes` lanes (short ones are filled up), and the batch of a group is
-stored, so the same arrays meet at both ends; in grid mode all sums are exact besides.
+Groups are dealt to `spark.sql.shuffle.partitions` tasks and sorted there by length; each task cuts its groups into lane
+batches. Batches always have exactly `lanes` lanes (short ones are filled up), and task (shard), batch and lane of a group are
+stored, so the same arrays meet at both ends; in grid mode all sums are exact besides. Decoding yields groups as
+rows; only what asks for whole sequences puts them together.
 """
 
 from __future__ import annotations
@@ -16,7 +18,7 @@ from ..functions import alphabet as A
 from ..functions.coder import decode_lanes, encode_lanes, quantise
 from ..plans.model import ModelConfig
 from . import nn
-from .grouping import fixed_groups, lane_batches
+from .grouping import fixed_groups
 
 _CODE = np.zeros(256, np.int64)
 for _i, _b in enumerate(b"AGCT"):
@@ -47,6 +49,10 @@ def unpack2(data: bytes, n: int) -> np.ndarray:
     return np.stack([(b >> s) & 3 for s in (6, 4, 2, 0)], axis=1).reshape(-1)[:n]
 
 
+#: Contexts of one table over all lanes of a batch.
+SLOTS = 1 << 20
+
+
 class ModelStep:
     """Counts for the next base of every lane, from a learned model over the bases before."""
 
@@ -67,7 +73,9 @@ class OrderStep:
 
     def __init__(self, orders, lanes: int, first: np.ndarray, alpha: float = 1 / 16, decay: float = 0.98) -> None:
         self.orders, self.alpha, self.decay = orders, alpha, decay
-        self.tables = [np.zeros((lanes, 4 ** min(k, 8), 4), np.float32) for k in orders]
+        # Contexts of higher orders share slots, fewer the more lanes there are: some 32 MB a table at most.
+        self.slots = 4 ** max(5, min(8, (SLOTS // lanes).bit_length() // 2))
+        self.tables = [np.zeros((lanes, min(4**k, self.slots), 4), np.float32) for k in orders]
         self.score = np.zeros((lanes, len(orders)))
         self.past = np.zeros((lanes, max(orders, default=0) + 1), np.int64)
         self.rows = np.arange(lanes)
@@ -90,7 +98,7 @@ class OrderStep:
             key = np.zeros(len(self.rows), np.int64)
             for i in range(k):
                 key = key * 4 + self.past[:, -k + i]
-            self.keys.append(key if k <= 8 else (key * 2654435761 >> 7) % 4**8)
+            self.keys.append(key if 4**k <= self.slots else (key * 2654435761 >> 7) % self.slots)
         seen = np.stack([t[self.rows, k] for t, k in zip(self.tables, self.keys, strict=True)], axis=1).astype(float) + self.alpha
         self.probs = seen / seen.sum(axis=2, keepdims=True)
         if quiet:
@@ -156,29 +164,45 @@ def decode_batch(coder: Coder, rows: list[tuple[bytes, bytes, int]], lanes: int)
     return [bases_of(np.concatenate((h, body[i, : lengths[i]]))) for i, h in enumerate(heads)]
 
 
-def compress(df: DataFrame, coder: Coder, group: int = 1024, lanes: int = 512, shards: int = 8) -> DataFrame:
+def compress(df: DataFrame, coder: Coder, group: int = 1024, lanes: int = 512) -> DataFrame:
     """(corpus, seq_id, bases of A, G, C, T) to container rows; one shuffle, of the groups."""
-    dealt = lane_batches(fixed_groups(df, group), lanes, shards)
-    shared = df.sparkSession.sparkContext.broadcast(coder)
-
-    def run(table: pa.Table) -> pa.Table:
-        c = shared.value
-        t = table.sort_by("lane")
-        out = encode_batch(c, t.column("bases").to_pylist(), lanes)
-        bits = [2 * min(c.fragment, n) + 8 * len(p) for (_, p), n in zip(out, t.column("n_bases").to_pylist(), strict=True)]
-        k = len(out)
-        names = ("corpus", "seq_id", "group_id", "start", "n_bases", "shard", "batch", "lane")
-        cols = {n: t.column(n).combine_chunks() for n in names}
-        cols |= {"fragment": pa.array([f for f, _ in out], pa.binary()), "payload": pa.array([p for _, p in out], pa.binary()), "n_bits": pa.array(bits, pa.int64())}
-        cols |= {"codec": pa.array([c.codec] * k, pa.string()), "config_hash": pa.array([c.digest()] * k, pa.string())}
-        return pa.table(cols)
-
-    casts = [F.col(n).cast(t).alias(n) for n, t in (("corpus", "string"), ("seq_id", "long"), ("group_id", "int"), ("start", "long"), ("n_bases", "int"), ("shard", "int"), ("batch", "long"), ("lane", "long"))]
-    return dealt.select(*casts, "bases").groupBy("shard", "batch").applyInArrow(run, ROWS)
-
-
-def decompress(container: DataFrame, coder: Coder, lanes: int = 512) -> DataFrame:
-    """Container rows to (corpus, seq_id, bases)."""
+    spark = df.sparkSession
+    tasks = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    shared = spark.sparkContext.broadcast(coder)
+    casts = [F.col(n).cast(t).alias(n) for n, t in (("corpus", "string"), ("seq_id", "long"), ("group_id", "int"), ("start", "long"), ("n_bases", "int"))]
+    groups = fixed_groups(df, group).select(*casts, "bases")
+    dealt = groups.repartition(tasks, "seq_id", "group_id").sortWithinPartitions("n_bases", "corpus", "seq_id", "group_id")
+    names = ("corpus", "seq_id", "group_id", "start", "n_bases")
+
+    def encode(rows: pa.Table, shard: int, batch: int) -> pa.RecordBatch:
+        c, k = shared.value, rows.num_rows
+        out = encode_batch(c, rows.column("bases").to_pylist(), lanes)
+        bits = [2 * min(c.fragment, n) + 8 * len(p) for (_, p), n in zip(out, rows.column("n_bases").to_pylist(), strict=True)]
+        cols = [rows.column(n).combine_chunks() for n in names]
+        cols += [pa.array([shard] * k, pa.int32()), pa.array([batch] * k, pa.int64()), pa.array(range(k), pa.int64())]
+        cols += [pa.array([f for f, _ in out], pa.binary()), pa.array([p for _, p in out], pa.binary()), pa.array(bits, pa.int64())]
+        cols += [pa.array([c.codec] * k, pa.string()), pa.array([c.digest()] * k, pa.string())]
+        more = ("shard", "batch", "lane", "fragment", "payload", "n_bits", "codec", "config_hash")
+        return pa.RecordBatch.from_arrays(cols, [*names, *more])
+
+    def run(batches):
+        from pyspark import TaskContext
+
+        shard, number, rest = TaskContext.get().partitionId(), 0, None
+        for b in batches:
+            t = pa.Table.from_batches([b])
+            rest = t if rest is None else pa.concat_tables([rest, t])
+            while rest.num_rows >= lanes:
+                yield encode(rest.slice(0, lanes), shard, number)
+                rest, number = rest.slice(lanes), number + 1
+        if rest is not None and rest.num_rows:
+            yield encode(rest, shard, number)
+
+    return dealt.mapInArrow(run, ROWS)
+
+
+def decode_groups(container: DataFrame, coder: Coder, lanes: int = 512) -> DataFrame:
+    """Container rows to (corpus, seq_id, group_id, start, bases), a row each; a task per lane batch."""
     shared = container.sparkSession.sparkContext.broadcast(coder)
 
     def run(table: pa.Table) -> pa.Table:
@@ -187,21 +211,71 @@ def decompress(container: DataFrame, coder: Coder, lanes: int = 512) -> DataFram
             raise ValueError("the container was written with another configuration")
         t = table.sort_by("lane")
         rows = list(zip(t.column("fragment").to_pylist(), t.column("payload").to_pylist(), t.column("n_bases").to_pylist(), strict=True))
-        cols = {n: t.column(n).combine_chunks() for n in ("corpus", "seq_id", "start")}
+        cols = {n: t.column(n).combine_chunks() for n in ("corpus", "seq_id", "group_id", "start")}
         return pa.table(cols | {"bases": pa.array(decode_batch(c, rows, lanes), pa.string())})
 
-    groups = container.groupBy("shard", "batch").applyInArrow(run, "corpus string, seq_id long, start long, bases string")
-    parts = F.sort_array(F.collect_list(F.struct("start", "bases")))
-    return groups.groupBy("corpus", "seq_id").agg(F.array_join(F.transform(parts, lambda x: x["bases"]), "").alias("bases"))
+    # The bytes are few and the work is much: a fixed number of tasks, which is not coalesced by size.
+    tasks = int(container.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    dealt = container.repartition(tasks, "shard", "batch")
+    return dealt.groupBy("shard", "batch").applyInArrow(run, "corpus string, seq_id long, group_id int, start long, bases string")
+
+
+def _joined() -> F.Column:
+    return F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("start", "bases"))), lambda x: x["bases"]), "")
+
+
+def decompress(container: DataFrame, coder: Coder, lanes: int = 512) -> DataFrame:
+    """Container rows to (corpus, seq_id, bases), for sequences that fit a row (2 GB); decode_groups has no such bound."""
+    return decode_groups(container, coder, lanes).groupBy("corpus", "seq_id").agg(_joined().alias("bases"))
 
 
 def read_range(container: DataFrame, coder: Coder, seq_id: int, start: int, stop: int, group: int, lanes: int = 512) -> DataFrame:
     """Bases [start, stop) of one sequence: only the lane batches that hold its groups are decoded."""
-    wanted = container.where((F.col("seq_id") == seq_id) & (F.col("group_id") >= start // group) & (F.col("group_id") <= (stop - 1) // group))
-    batches = container.join(F.broadcast(wanted.select("shard", "batch").distinct()), ["shard", "batch"], "left_semi")
-    seq = decompress(batches.where(F.lit(True)), coder, lanes).where(F.col("seq_id") == seq_id)
-    low = start // group * group
-    return seq.select("seq_id", F.substring("bases", F.lit(start - low + 1), F.lit(stop - start)).alias("piece"))
+    low, high = start // group, max(start, stop - 1) // group
+    mine = (F.col("seq_id") == seq_id) & F.col("group_id").between(low, high)
+    wanted = container.where(mine).select("shard", "batch").distinct()  # at most as many rows as the range has groups
+    batches = container.join(F.broadcast(wanted), ["shard", "batch"], "left_semi")
+    seq = decode_groups(batches, coder, lanes).where(mine).groupBy("corpus", "seq_id").agg(_joined().alias("bases"))
+    return seq.select("seq_id", F.substring("bases", F.lit(start - low * group + 1), F.lit(max(0, stop - start))).alias("piece"))
+
+
+class StaticStep:
+    """The same counts at every step: static arithmetic coding of each lane under its own frequencies."""
+
+    def __init__(self, freq: np.ndarray) -> None:
+        self.counts = quantise((freq + 1e-9) / (freq + 1e-9).sum(axis=1, keepdims=True))
+
+    def __call__(self, prev):
+        return self.counts
+
+
+def static_encode(df: DataFrame) -> DataFrame:
+    """(seq_id, n, freq, payload) of short sequences (seq_id, bases of A, G, C, T): frequencies, then the coded bases."""
+    def run(batches):
+        for b in batches:
+            codes = [codes_of(s) for s in b.column(1).to_pylist()]
+            n = np.array([len(c) for c in codes], np.int64)
+            body, freq = np.zeros((len(codes), n.max(initial=0)), np.int64), np.zeros((len(codes), 4), np.int64)
+            for i, c in enumerate(codes):
+                body[i, : n[i]] = c
+                freq[i] = np.bincount(c, minlength=4)
+            data = encode_lanes(StaticStep(freq), body, n) if len(codes) else []
+            cols = [b.column(0), pa.array(n), pa.array(freq.tolist(), pa.list_(pa.int64())), pa.array(data, pa.binary())]
+            yield pa.RecordBatch.from_arrays(cols, ["seq_id", "n", "freq", "payload"])
+
+    return df.select(F.col("seq_id").cast("long").alias("seq_id"), "bases").mapInArrow(run, "seq_id long, n long, freq array<long>, payload binary")
+
+
+def static_decode(coded: DataFrame) -> DataFrame:
+    """(seq_id, bases) of static_encode's rows; batches need not be the same."""
+    def run(batches):
+        for b in batches:
+            n = np.array(b.column(1).to_pylist(), np.int64)
+            freq = np.array(b.column(2).to_pylist(), np.int64).reshape(len(n), 4)
+            body = decode_lanes(StaticStep(freq), b.column(3).to_pylist(), n)
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([bases_of(body[i, : n[i]]) for i in range(len(n))], pa.string())], ["seq_id", "bases"])
+
+    return coded.select("seq_id", "n", "freq", "payload").mapInArrow(run, "seq_id long, bases string")
 
 
 def round_trip(df: DataFrame, coder: Coder, group: int = 1024, lanes: int = 512) -> DataFrame:

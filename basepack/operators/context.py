@@ -51,6 +51,35 @@ def blended(rows: DataFrame, ks=(1, 2), weights=(0.5, 0.5)) -> DataFrame:
     return out.withColumn("bits", -F.log2(total))
 
 
+def word_counts(df: DataFrame, width: int) -> DataFrame:
+    """(word, n): how often each word of `width` bases occurs in sequences (bases of A, G, C, T), as a number in base 4; each task counts
+    in a table of 4^width numbers and sends the words it has seen."""
+    import numpy as np
+    import pyarrow as pa
+
+    from ..functions.alphabet import _CODE
+
+    if not 1 <= width <= 10:
+        raise ValueError("width from 1 to 10")
+
+    def run(batches):
+        total = np.zeros(4**width, np.int64)
+        for b in batches:
+            for s in b.column(0).to_pylist():
+                c = _CODE[np.frombuffer(s.encode(), np.uint8)]
+                for a in range(0, len(c) - width + 1, 1 << 20):
+                    part = c[a : a + (1 << 20) + width - 1]
+                    key = np.zeros(len(part) - width + 1, np.int64)
+                    for i in range(width):
+                        key = key * 4 + part[i : i + len(key)]
+                    total += np.bincount(key, minlength=len(total))
+        at = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[at])], ["word", "n"])
+
+    known = df.where("bases IS NOT NULL").select("bases")
+    return known.mapInArrow(run, "word long, n long").groupBy("word").agg(F.sum("n").alias("n"))
+
+
 def em_mixture(rows: DataFrame, ks=(0, 1, 2), iters: int = 3) -> list[float]:
     """Mixture weights of adaptive orders by expectation-maximisation; each round is one aggregation."""
     out = None

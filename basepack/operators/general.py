@@ -75,11 +75,6 @@ def bwt_blocks(df: DataFrame, size: int = 60) -> DataFrame:
     return rot.groupBy("seq_id", "block").agg(F.array_join(F.transform(ordered, lambda x: F.right(x, F.lit(1))), "").alias("last"))
 
 
-def bwt_rows(df: DataFrame, size: int = 60) -> DataFrame:
-    """(seq_id, last): the transform of each sequence's first block only; bwt_blocks has all of them."""
-    return bwt_blocks(df.withColumn("bases", F.substring("bases", 1, size)), size).select("seq_id", "last")
-
-
 def bwt_inverse(last: str) -> str:
     order = sorted(range(len(last)), key=lambda i: (last[i], i))
     out, at = [], order[0]
@@ -124,16 +119,30 @@ def nml_blocks(df: DataFrame, block: int = 32) -> DataFrame:
 
 
 def field_aware(df: DataFrame) -> DataFrame:
-    """(id, bases, qual) records: ids as differences, each field's bytes by its own dictionary coder."""
+    """(part, field, n, payload) of (id, bases, qual) records: ids as differences, each field's bytes by its own
+    dictionary coder; a part is one Arrow batch of one task."""
     def run(batches):
-        for b in batches:
-            sizes = []
+        from pyspark import TaskContext
+
+        for k, b in enumerate(batches):
             ids = b.column(0).to_pylist()
-            deltas = [ids[0], *(y - x for x, y in zip(ids, ids[1:], strict=False))] if ids else []
-            for name, values in (("id", deltas), ("bases", b.column(1).to_pylist()), ("qual", b.column(2).to_pylist())):
-                raw = "\n".join(map(str, values)).encode()
-                sizes.append((name, len(ids), lzma.compress(raw, preset=6)))
-            cols = [pa.array([x[0] for x in sizes]), pa.array([x[1] for x in sizes], pa.int64()), pa.array([x[2] for x in sizes], pa.binary())]
-            yield pa.RecordBatch.from_arrays(cols, ["field", "n", "payload"])
-
-    return df.mapInArrow(run, "field string, n long, payload binary")
+            fields = {"id": [y - x for x, y in zip([0, *ids], ids, strict=False)], "bases": b.column(1).to_pylist(), "qual": b.column(2).to_pylist()}
+            data = [lzma.compress("\n".join(map(str, v)).encode(), preset=6) for v in fields.values()]
+            part = (TaskContext.get().partitionId() << 32) + k
+            cols = [pa.array([part] * 3, pa.int64()), pa.array(list(fields)), pa.array([len(ids)] * 3, pa.int64()), pa.array(data, pa.binary())]
+            yield pa.RecordBatch.from_arrays(cols, ["part", "field", "n", "payload"])
+
+    return df.mapInArrow(run, "part long, field string, n long, payload binary")
+
+
+def field_aware_back(fields: DataFrame) -> DataFrame:
+    """(id, bases, qual) records of every part."""
+    def run(table: pa.Table) -> pa.Table:
+        text = {f: lzma.decompress(x).decode().split("\n") for f, n, x in zip(*(table.column(c).to_pylist() for c in ("field", "n", "payload")), strict=True) if n}
+        ids, at = [], 0
+        for x in text.get("id", []):
+            at += int(x)
+            ids.append(at)
+        return pa.table({"id": pa.array(ids, pa.int64()), "bases": pa.array(text.get("bases", []), pa.string()), "qual": pa.array(text.get("qual", []), pa.string())})
+
+    return fields.groupBy("part").applyInArrow(run, "id long, bases string, qual string")

@@ -1,4 +1,8 @@
-"""Experiment workloads: methods side by side, groupings, mixed training, training curve, container on disk."""
+"""Experiment workloads: methods side by side, groupings, mixed training, training curve, container on disk.
+
+Sequences are split 70 / 20 / 10 by id: learned coders train on the first part, choose their epoch on the second, and
+every method, archivers included, is measured on the third.
+"""
 
 from __future__ import annotations
 
@@ -39,40 +43,62 @@ def _measure(df, name, coder, group=4096, lanes=64):
     return row["n_bases"], row["n_bits"], row["bpb"], seconds, params
 
 
+def _parts(df: DataFrame) -> dict[str, DataFrame]:
+    split = measures.split_of(F.col("seq_id"))
+    return {k: df.where(split == k) for k in ("train", "val", "test")}
+
+
 def scores(spark, sf_dir) -> DataFrame:
-    """Bits a base and seconds of every method on both small corpora; learned coders are trained for a few steps first."""
+    """Bits a base and seconds of every method on the test part of both small corpora."""
     rows = []
     for corpus, df in _corpora(spark, sf_dir).items():
-        whole = _one_stream(df)
+        part = _parts(df)
+        test = part["test"]
+        whole = _one_stream(test)
         for c in general.CODECS:
             r, s = measures.timed(lambda w=whole, c=c: general.encode(w, c).agg(F.sum("n_bases"), F.sum("n_bits")).first())
             rows.append((corpus, c, r[0], r[1], r[1] / r[0], s, 0))
         rows.append((corpus, "context", *_measure(whole, "context", codec.order_coder((1, 2, 3, 4, 6, 8)), 1 << 20, 1)))
         for name, cfg in (("carry", model.TINY), ("byte", model.BYTE), ("multilevel", model.MULTI), ("conv_lstm", model.LSTM), ("conv_bilstm", model.BILSTM)):
             cfg = replace(cfg, block_order="standard")
-            w, stats, _ = train.fit(df, df, cfg, epochs=2, steps=60, lanes=32, rate=3e-3, partitions=2)
-            rows.append((corpus, name, *_measure(df, name, codec.model_coder(cfg, name, weights=w, stats=stats))))
+            w, stats, _ = train.fit(part["train"], part["val"], cfg, epochs=2, steps=60, lanes=32, rate=3e-3, partitions=2)
+            rows.append((corpus, name, *_measure(test, name, codec.model_coder(cfg, name, weights=w, stats=stats))))
     return spark.createDataFrame(rows, SCHEMA)
 
 
-def grouping_scores(spark, sf_dir) -> DataFrame:
-    """Time and bits of the grouping ablation on equal input and weights from one seed."""
-    df = _corpora(spark, sf_dir)["human"]
+def memory_scores(spark, sf_dir) -> DataFrame:
+    """Test bits a base of the four cells of carry and cut, trained alike on the passages."""
+    part = _parts(_corpora(spark, sf_dir)["human"])
     rows = []
+    for name, cfg in model.memory_grid().items():
+        cfg = replace(cfg, block_order="standard")
+        w, stats, _ = train.fit(part["train"], part["val"], cfg, epochs=2, steps=60, lanes=32, rate=3e-3, partitions=2)
+        rows.append(("human", name, *_measure(part["test"], name, codec.model_coder(cfg, name, weights=w, stats=stats))))
+    return spark.createDataFrame(rows, SCHEMA)
+
+
+def grouping_scores(spark, sf_dir) -> DataFrame:
+    """Time and bits of the grouping ablation on the training part, the largest; weights trained alike for each configuration."""
+    part = _parts(_corpora(spark, sf_dir)["human"])
+    rows, trained = [], {}
     for name, cfg, group, lanes in (("none", model.TINY, 1 << 20, 8), ("byte", model.BYTE, 1 << 20, 8), ("byte_ngram", model.MULTI, 1 << 20, 8), ("all", model.MULTI, 512, 64)):
-        rows.append(("human", name, *_measure(df, name, codec.model_coder(cfg, name), group, lanes)))
+        cfg = replace(cfg, block_order="standard")
+        if cfg not in trained:
+            trained[cfg] = train.fit(part["train"], part["val"], cfg, epochs=2, steps=60, lanes=32, rate=3e-3, partitions=2)
+        w, stats, _ = trained[cfg]
+        rows.append(("human", name, *_measure(part["train"], name, codec.model_coder(cfg, name, weights=w, stats=stats), group, lanes)))
     return spark.createDataFrame(rows, SCHEMA)
 
 
 def hybrid_scores(spark, sf_dir) -> DataFrame:
     """Validation bits a base of dedicated and of mixed training."""
-    parts = _corpora(spark, sf_dir)
+    parts = {k: _parts(df) for k, df in _corpora(spark, sf_dir).items()}
     cfg = replace(model.MULTI, block_order="standard")
     rows = []
-    for corpus, df in parts.items():
-        _, _, h = train.fit(df, df, cfg, epochs=2, steps=60, lanes=32, rate=3e-3, partitions=2)
+    for corpus, p in parts.items():
+        _, _, h = train.fit(p["train"], p["val"], cfg, epochs=2, steps=60, lanes=32, rate=3e-3, partitions=2)
         rows.append((corpus, "dedicated", min(x[2] for x in h)))
-    _, _, h = train.fit_mixed(parts, cfg, epochs=2, steps=60, partitions=2)
+    _, _, h = train.fit_mixed({k: p["train"] for k, p in parts.items()}, {k: p["val"] for k, p in parts.items()}, cfg, epochs=2, steps=60, partitions=2)
     rows.append(("both", "hybrid", min(x[2] for x in h)))
     return spark.createDataFrame(rows, "corpus string, training string, bpb double")
 
@@ -87,8 +113,7 @@ def train_history(spark, sf_dir) -> DataFrame:
 
 def container_roundtrip(spark, sf_dir) -> DataFrame:
     """Container written as Parquet by corpus and shard, and decoded from there."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints/basepack"
-    path = f"{base.rstrip('/')}/container-{uuid.uuid4().hex}"
+    path = f"{S.shared_dir(spark)}/container-{uuid.uuid4().hex}"
     from ..functions import alphabet as A
 
     src = A.split_unknown(S.event_seq(spark, sf_dir))

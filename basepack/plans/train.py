@@ -9,6 +9,7 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from ..operators import nn
 from ..operators.codec import codes_of
@@ -26,12 +27,20 @@ class RMSProp:
 
 
 def lane_text(sequences: list[str], lanes: int, context: int) -> np.ndarray:
-    """(lanes, steps): all sequences one after the other, cut into equal lanes."""
+    """(lanes, steps): all sequences one after the other, cut into equal lanes; the last lane is filled up from the start, so
+    that no base is left out."""
     codes = np.concatenate([codes_of(s) for s in sequences] or [np.zeros(0, np.int64)])
-    width = max(context + 1, len(codes) // lanes)
+    width = max(context + 1, -(-len(codes) // lanes))
     return np.resize(codes, lanes * width).reshape(lanes, width) if len(codes) else np.zeros((lanes, context + 1), np.int64)
 
 
+def side_by_side(parts: dict[str, list[str]], lanes: int, context: int) -> np.ndarray:
+    """`lanes` lanes of each corpus one under the other; shorter ones start again, so that every step has them all."""
+    texts = [lane_text(x, lanes, context) for _, x in sorted(parts.items())]
+    width = max(t.shape[1] for t in texts)
+    return np.concatenate([np.resize(t, (lanes, width)) if t.shape[1] == width else np.stack([np.resize(row, width) for row in t]) for t in texts])
+
+
 def gradients(w, stats, cfg: ModelConfig, window, target, state, rng):
     t = {k: nn.Tensor(v) for k, v in w.items()}
     logits, keep = nn.step(window, state, t, cfg, stats, rng)
@@ -40,12 +49,15 @@ def gradients(w, stats, cfg: ModelConfig, window, target, state, rng):
     return float(value.data), {k: v.grad for k, v in t.items() if v.grad is not None}, keep
 
 
-def walk(text: np.ndarray, w, stats, cfg: ModelConfig, steps: int, rate: float, seed: int = 0):
-    """Local epoch over lanes of text: updated weights and mean loss in bits."""
+def walk(text: np.ndarray, w, stats, cfg: ModelConfig, steps: int, rate: float, seed: int = 0, start: int = 0):
+    """Local epoch of `steps` updates over lanes of text from position `start` on, round and round: weights and mean loss in bits."""
     rng, opt, state, total = np.random.default_rng(seed), RMSProp(rate), None, 0.0
     last = text.shape[1] - cfg.raw_context
     steps = min(steps, last)
-    for t in range(steps):
+    for k in range(steps):
+        t = (start + k) % last
+        if t == 0:
+            state = None
         window, target = text[:, t : t + cfg.raw_context], text[:, t + cfg.raw_context]
         value, grad, state = gradients(w, stats, cfg, window, target, state, rng)
         opt.step(w, grad)
@@ -53,10 +65,10 @@ def walk(text: np.ndarray, w, stats, cfg: ModelConfig, steps: int, rate: float,
     return w, total / max(1, steps)
 
 
-def validate(text: np.ndarray, w, stats, cfg: ModelConfig, steps: int) -> tuple[float, int]:
-    """Code length in bits and number of bases."""
+def validate(text: np.ndarray, w, stats, cfg: ModelConfig) -> tuple[float, int]:
+    """Code length in bits and number of bases, over whole lanes."""
     state, bits, n = None, 0.0, 0
-    for t in range(min(steps, text.shape[1] - cfg.raw_context)):
+    for t in range(text.shape[1] - cfg.raw_context):
         logits, state = nn.step(text[:, t : t + cfg.raw_context], state, w, cfg, stats)
         bits += float(nn.loss(logits, text[:, t + cfg.raw_context])) * len(text)
         n += len(text)
@@ -70,29 +82,43 @@ def _pack(w: dict, stats: dict) -> bytes:
 
 
 def fit(train: DataFrame, val: DataFrame, cfg: ModelConfig, epochs: int = 3, lanes: int = 64, steps: int = 100, rate: float = 1e-3, seed: int = 42, partitions: int = 4):
-    """Epoch-synchronous training on (seq_id, bases): (weights, stats, history rows); keeps the best validation epoch."""
+    """Epoch-synchronous training on (seq_id, bases) and, if there is one, corpus: (weights, stats, history rows); keeps the
+    best validation epoch. Each task takes `steps` updates an epoch over `lanes` lanes of each corpus and goes on in the next
+    epoch where it stopped; validation goes over all of its bases."""
     import pickle
 
+    def listed(df):
+        corpus = F.col("corpus") if "corpus" in df.columns else F.lit("")
+        dealt = df.select(corpus.alias("corpus"), F.col("seq_id").cast("long").alias("seq_id"), "bases").repartition(partitions, "seq_id")
+        return dealt.sortWithinPartitions("corpus", "seq_id")
+
+    def grouped(batches):
+        parts: dict[str, list[str]] = {}
+        for b in batches:
+            for name, s in zip(b.column(0).to_pylist(), b.column(2).to_pylist(), strict=True):
+                parts.setdefault(name, []).append(s)
+        return parts
+
     spark = train.sparkSession
     w, stats = nn.init(cfg, seed), nn.running(cfg)
-    dealt = train.select("seq_id", "bases").repartition(partitions, "seq_id").sortWithinPartitions("seq_id")
-    check = val.select("seq_id", "bases").repartition(partitions, "seq_id").sortWithinPartitions("seq_id")
+    dealt, check = listed(train), listed(val)
     history, best = [], None
     for epoch in range(epochs):
         shared = spark.sparkContext.broadcast((w, stats))
 
         def learn(batches, shared=shared, epoch=epoch):
             w, stats = ({k: v.copy() for k, v in x.items()} for x in shared.value)
-            seqs = [s for b in batches for s in b.column(1).to_pylist()]
-            if seqs:
-                w, value = walk(lane_text(seqs, lanes, cfg.raw_context), w, stats, cfg, steps, rate, epoch)
+            parts = grouped(batches)
+            if parts:
+                text = side_by_side(parts, lanes, cfg.raw_context)
+                w, value = walk(text, w, stats, cfg, steps, rate, epoch, epoch * steps)
                 yield pa.RecordBatch.from_arrays([pa.array([_pack(w, stats)], pa.binary()), pa.array([value])], ["w", "loss"])
 
         def judge(batches, ws):
             w, stats = ws.value
-            seqs = [s for b in batches for s in b.column(1).to_pylist()]
-            if seqs:
-                bits, n = validate(lane_text(seqs, lanes, cfg.raw_context), w, stats, cfg, steps)
+            found = [validate(lane_text(x, lanes, cfg.raw_context), w, stats, cfg) for x in grouped(batches).values()]
+            if found:
+                bits, n = sum(x for x, _ in found), sum(x for _, x in found)
                 yield pa.RecordBatch.from_arrays([pa.array([bits]), pa.array([n], pa.int64())], ["bits", "n"])
 
         rows = dealt.mapInArrow(learn, "w binary, loss double").collect()
@@ -138,11 +164,15 @@ def fit_steps(train: DataFrame, cfg: ModelConfig, steps: int = 20, lanes: int =
     return w, stats, losses
 
 
-def fit_mixed(parts: dict[str, DataFrame], cfg: ModelConfig, **options):
-    """One model for several corpora: equal lanes of each stand side by side in every batch, at twice the rate."""
+def fit_mixed(train: dict[str, DataFrame], val: dict[str, DataFrame], cfg: ModelConfig, **options):
+    """One model for several corpora: 64 lanes of each stand side by side in every batch, at twice the rate."""
     options.setdefault("rate", 2e-3)
-    every = None
-    for name, df in sorted(parts.items()):
-        one = df.select("seq_id", "bases")
-        every = one if every is None else every.unionByName(one)
-    return fit(every, every, cfg, lanes=64 * len(parts), **options)
+
+    def union(parts):
+        every = None
+        for name, df in sorted(parts.items()):
+            one = df.select(F.lit(name).alias("corpus"), "seq_id", "bases")
+            every = one if every is None else every.unionByName(one)
+        return every
+
+    return fit(union(train), union(val), cfg, **{"lanes": 64, **options})

@@ -1,8 +1,6 @@
 """Queries of the library over the given tables, each with SQL for DuckDB where SQL can express it.
 
-Every query runs over its whole table, except those whose SQL is fixed to a start of it: interval_encode, interval_decode
-and shortest_tag (12 bases), bwt_transform (60 bases), attend_latent_cut (three segments). interval_blocks_encode,
-interval_blocks_decode, shortest_tag_blocks, bwt_blocks and attend_latent_whole go over all of it. Floats are rounded; codec sizes are asserted in tests instead of hashed.
+Every query runs over its whole table. Floats are rounded; codec sizes are asserted in tests instead of hashed.
 """
 
 from __future__ import annotations
@@ -111,7 +109,7 @@ Q["initial_fragments"] = lambda s, d: grouping.initial_fragment(S.doc_letter(s,
 SQL["initial_fragments"] = f"WITH {DL}, f AS (SELECT seq_id, bases, regexp_extract(bases, '[AGCT]{{64}}') AS fr FROM dl) SELECT seq_id, CASE WHEN fr <> '' THEN (instr(bases, fr) - 1)::BIGINT END AS at, nullif(fr, '') AS fragment FROM f"
 Q["fragment_pack"] = lambda s, d: grouping.initial_fragment(S.doc_quad(s, d)).where("fragment IS NOT NULL").select("seq_id", F.lower(F.hex(A.pack(F.col("fragment")))).alias("packed"))
 SQL["fragment_pack"] = "SELECT doc_id AS seq_id, substr(lower(hex(encode(text))), 1, 32) AS packed FROM documents WHERE strlen(text) >= 16"
-Q["concat_corpus"] = lambda s, d: grouping.concat_corpus(S.load(s, d, "documents").select("lang", F.col("doc_id").alias("seq_id"), A.quad_map(F.col("text")).alias("bases")), "lang").select("lang", "seq_id", "offset")
+Q["concat_corpus"] = lambda s, d: grouping.concat_corpus(S.even(S.load(s, d, "documents").select("lang", F.col("doc_id").alias("seq_id"), "text"), "seq_id").select("lang", "seq_id", A.quad_map(F.col("text")).alias("bases")), "lang").select("lang", "seq_id", "offset")
 SQL["concat_corpus"] = f"WITH {DQ} SELECT lang, seq_id, coalesce(sum(length(bases)) OVER (PARTITION BY lang ORDER BY seq_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS offset FROM dq"
 
 
@@ -223,19 +221,8 @@ def _attend(m):
 for _name, _m in (("attend_none", 0), ("attend_features_cut", 1), ("attend_features_long", 3)):
     Q[_name] = _attend(_m)
     SQL[_name] = f"WITH {EM}, " + attend_sql(f"SELECT seg + t AS seg, vec AS k FROM em, range(0, {_m + 1}) r(t)")
-Q["attend_latent_cut"] = lambda s, d: T.attend_latent(S.segments(s, d), 3).select("seg", "i", "d", F.round("o", 6).alias("o"))
 
 
-def _latent_sql():
-    ctes, union = [EM], []
-    for t in range(3):
-        keys = f"SELECT vec AS k FROM em WHERE seg = {t}" + (f" UNION ALL SELECT vec FROM h{t - 1}" if t else "")
-        ctes.append(f"k{t} AS ({keys}), s{t} AS (SELECT i, k, list_dot_product(vec, k) / 8 AS s FROM em, k{t} WHERE seg = {t}), e{t} AS (SELECT i, k, exp(s - max(s) OVER (PARTITION BY i)) AS e FROM s{t}), a{t} AS (SELECT i, k, e / sum(e) OVER (PARTITION BY i) AS a FROM e{t}), o{t} AS (SELECT i, d, sum(a * x) AS o FROM (SELECT i, a, unnest(range(0, 64)) AS d, unnest(k) AS x FROM a{t}) GROUP BY i, d), h{t} AS (SELECT i, list(o ORDER BY d) AS vec FROM o{t} GROUP BY i)")
-        union.append(f"SELECT {t}::BIGINT AS seg, i, d::INT AS d, round(o, 6) + 0.0::DOUBLE AS o FROM o{t}")
-    return "WITH " + ", ".join(ctes) + " " + " UNION ALL ".join(union)
-
-
-SQL["attend_latent_cut"] = _latent_sql()
 Q["attend_latent_whole"] = lambda s, d: T.attend_latent_whole(S.segments(s, d)).select("seg", "i", "d", F.round("o", 6).alias("o"))
 Q["softmax_rows"] = lambda s, d: T.scores(S.segments(s, d).select("seg", "i", F.col("vec").alias("q")), S.segments(s, d).select("seg", F.col("i").alias("j"), F.col("vec").alias("k"))).groupBy("seg", "i").agg(F.round(F.log(F.sum(F.exp("s"))), 6).alias("log_sum"))
 SQL["softmax_rows"] = f"WITH {EM} SELECT a.seg, a.i, round(ln(sum(exp(list_dot_product(a.vec, b.vec) / 8))), 6) AS log_sum FROM em a JOIN em b USING (seg) GROUP BY 1, 2"
@@ -251,16 +238,10 @@ def _steps(s, d):
     return near.groupBy("seq_id", "block").agg(parts.alias("steps")).withColumn("iv", C.interval(F.col("steps")))
 
 
-IV = f"""RECURSIVE {EV}, c AS (SELECT seq_id, code, count(*) AS n FROM ev GROUP BY ALL), p AS (SELECT seq_id, code, coalesce(sum(n) OVER (PARTITION BY seq_id ORDER BY code ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::DOUBLE / sum(n) OVER (PARTITION BY seq_id)::DOUBLE AS below, n::DOUBLE / sum(n) OVER (PARTITION BY seq_id)::DOUBLE AS share FROM c),
-  st AS (SELECT seq_id, pos, below, share FROM ev JOIN p USING (seq_id, code) WHERE pos < 12),
-  f AS (SELECT seq_id, -1::BIGINT AS pos, 0.0::DOUBLE AS low, 1.0::DOUBLE AS width FROM (SELECT DISTINCT seq_id FROM ev) UNION ALL SELECT f.seq_id, f.pos + 1, f.low + st.below * f.width, f.width * st.share FROM f JOIN st ON st.seq_id = f.seq_id AND st.pos = f.pos + 1),
-  z AS (SELECT seq_id, arg_max(low, pos) AS low, arg_max(width, pos) AS width FROM f GROUP BY seq_id)"""
 def _encoded(s, d):
     return _steps(s, d).select("seq_id", "block", F.round("iv.low", 12).alias("low"), F.round(F.log2("iv.width"), 6).alias("log_width"))
 
 
-Q["interval_encode"] = lambda s, d: _encoded(s, d).where("block = 0").drop("block")
-SQL["interval_encode"] = f"WITH {IV} SELECT seq_id, round(low, 12) AS low, round(log2(width), 6) AS log_width FROM z"
 
 
 def _tags(s, d):
@@ -268,9 +249,7 @@ def _tags(s, d):
     return _steps(s, d).withColumn("n_bits", bits.cast("long")).withColumn("tag", tag)
 
 
-Q["shortest_tag"] = lambda s, d: _tags(s, d).where("block = 0").select("seq_id", "n_bits", F.round("tag", 12).alias("tag"))
 Q["shortest_tag_blocks"] = lambda s, d: _tags(s, d).select("seq_id", "block", "n_bits", F.round("tag", 12).alias("tag"))
-SQL["shortest_tag"] = f"WITH {IV} SELECT seq_id, (ceil(-log2(width)) + 1)::BIGINT AS n_bits, round(ceil(low * pow(2, ceil(-log2(width)) + 1)) / pow(2, ceil(-log2(width)) + 1), 12) AS tag FROM z"
 
 
 def _unfold(s, d):
@@ -287,8 +266,6 @@ def _unfold(s, d):
     return t.select("seq_id", "block", F.aggregate(F.sequence(F.lit(1), F.col("n")), start, step, lambda a: a["out"]).alias("bases"))
 
 
-Q["interval_decode"] = lambda s, d: _unfold(s, d).where("block = 0").drop("block")
-SQL["interval_decode"] = f"WITH {EVSEQ} SELECT seq_id, substr(bases, 1, 12) AS bases FROM es"
 IVB = f"""RECURSIVE {EV}, c AS (SELECT seq_id, code, count(*) AS n FROM ev GROUP BY ALL), p AS (SELECT seq_id, code, coalesce(sum(n) OVER (PARTITION BY seq_id ORDER BY code ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::DOUBLE / sum(n) OVER (PARTITION BY seq_id)::DOUBLE AS below, n::DOUBLE / sum(n) OVER (PARTITION BY seq_id)::DOUBLE AS share FROM c),
   st AS (SELECT seq_id, pos // 12 AS block, pos % 12 AS k, below, share FROM ev JOIN p USING (seq_id, code)),
   f AS (SELECT seq_id, block, -1::BIGINT AS k, 0.0::DOUBLE AS low, 1.0::DOUBLE AS width FROM (SELECT DISTINCT seq_id, block FROM st) UNION ALL SELECT f.seq_id, f.block, f.k + 1, f.low + st.below * f.width, f.width * st.share FROM f JOIN st ON st.seq_id = f.seq_id AND st.block = f.block AND st.k = f.k + 1),
@@ -316,6 +293,16 @@ for _k in range(4):
     Q[f"order_{_k}_entropy"] = lambda s, d, k=_k: context.entropy(S.event_rows(s, d), k).select("n", F.round("h", 6).alias("h"))
     _ctx = " + ".join(["0"] + [f"lag(code, {i}) OVER (PARTITION BY seq_id ORDER BY pos) * {5 ** (i - 1)}" for i in range(1, _k + 1)])
     SQL[f"order_{_k}_entropy"] = f"WITH {EV}, c AS (SELECT code, {_ctx} AS ctx FROM ev), n AS (SELECT ctx, code, count(*) AS n FROM c WHERE ctx IS NOT NULL GROUP BY ALL), t AS (SELECT *, sum(n) OVER (PARTITION BY ctx) AS t FROM n) SELECT sum(n)::BIGINT AS n, round(sum(-n * log2(n / t::DOUBLE)) / sum(n), 6) AS h FROM t"
+def _document_order(s, d, k):
+    """Empirical entropy of order k over the bases of all documents, from counts of words of k + 1 bases."""
+    w = context.word_counts(S.doc_quad(s, d), k + 1).select(F.expr("word div 4").alias("ctx"), "n")
+    t = w.withColumn("t", F.sum("n").over(Window.partitionBy("ctx")))
+    return t.agg(F.sum("n").alias("n"), F.round(F.sum(-F.col("n") * F.log2(F.col("n") / F.col("t"))) / F.sum("n"), 6).alias("h"))
+
+
+for _k in (4, 8):
+    Q[f"documents_order_{_k}_entropy"] = lambda s, d, k=_k: _document_order(s, d, k)
+    SQL[f"documents_order_{_k}_entropy"] = f"WITH {DQ}, w AS (SELECT substr(bases, (p + 1)::INT, {_k + 1}) AS kmer FROM (SELECT bases, unnest(range(0, greatest(0, length(bases) - {_k}))) AS p FROM dq)), c AS (SELECT substr(kmer, 1, {_k}) AS ctx, count(*) AS n FROM w GROUP BY kmer), t AS (SELECT *, sum(n) OVER (PARTITION BY ctx) AS t FROM c) SELECT sum(n)::BIGINT AS n, round(sum(-n * log2(n / t::DOUBLE)) / sum(n), 6) AS h FROM t"
 Q["mixed_context_choice"] = lambda s, d: context.competing(S.event_rows(s, d)).select("seq_id", "k", F.round("bits", 6).alias("bits"))
 SQL["mixed_context_choice"] = f"WITH {EV}, " + ", ".join(adaptive_sql(k, str(k)) for k in range(4)) + ", u AS (" + " UNION ALL ".join(f"SELECT seq_id, {k}::INT AS k, round(sum(-log2(p)) / count(*), 9) AS b, sum(-log2(p)) / count(*) AS bits FROM a{k} GROUP BY seq_id" for k in range(4)) + "), r AS (SELECT *, row_number() OVER (PARTITION BY seq_id ORDER BY b, k) AS r FROM u) SELECT seq_id, k, round(bits, 6) AS bits FROM r WHERE r = 1"
 Q["blended_matches"] = lambda s, d: context.blended(S.event_rows(s, d)).groupBy("seq_id").agg(F.round(F.avg("bits"), 6).alias("bits"))
@@ -352,18 +339,25 @@ Q["two_scan_gain"] = lambda s, d: substitution.two_scan_gain(S.bench_quad(s, d))
 SQL["two_scan_gain"] = f"WITH {BK}, {NEAR}, g AS (SELECT *, pos - src AS diag, pos - row_number() OVER (PARTITION BY seq_id, pos - src ORDER BY pos) AS g FROM nc) SELECT seq_id, min(pos) AS pos, min(src) AS src, count(*) + 15 AS len, 2 * (count(*) + 15) - 24 AS gain FROM g GROUP BY seq_id, diag, g"
 Q["approx_repeats"] = lambda s, d: substitution.approx_repeats(S.bench_quad(s, d))
 SQL["approx_repeats"] = f"""WITH {BQ}, b AS (SELECT seq_id, b, substr(bases, (b * 32 + 1)::INT, 32) AS x FROM (SELECT *, unnest(range(0, length(bases) // 32)) AS b FROM bq)),
-  p AS (SELECT DISTINCT l.seq_id AS seq_a, l.b AS block_a, r.seq_id AS seq_c, r.b AS block_c, l.x, r.x AS y FROM b l JOIN b r ON (substr(l.x, 1, 12) = substr(r.x, 1, 12) OR substr(l.x, 13, 12) = substr(r.x, 13, 12)) AND (l.seq_id, l.b) < (r.seq_id, r.b))
-  SELECT seq_a, block_a, seq_c, block_c, levenshtein(x, y)::INT AS edits FROM p WHERE levenshtein(x, y) <= 4"""
+  p AS (SELECT l.seq_id AS seq_a, l.b AS block_a, r.seq_id AS seq_c, r.b AS block_c, levenshtein(l.x, r.x)::INT AS edits FROM b l JOIN b r ON (l.seq_id, l.b) < (r.seq_id, r.b))
+  SELECT * FROM p WHERE edits <= 4"""
+Q["repeat_blocks_roundtrip"] = lambda s, d: substitution.repeat_blocks_back(substitution.repeat_blocks(S.bench_quad(s, d)))
+SQL["repeat_blocks_roundtrip"] = f"WITH {BQ} SELECT seq_id, b, substr(bases, (b * 32 + 1)::INT, 32) AS block FROM (SELECT *, unnest(range(0, length(bases) // 32)) AS b FROM bq)"
+Q["repeat_blocks_bits"] = lambda s, d: substitution.repeat_blocks(S.bench_quad(s, d)).groupBy("seq_id").agg(F.sum("bits").alias("bits"))
+SQL["repeat_blocks_bits"] = f"""WITH {BQ}, b AS (SELECT seq_id, b, substr(bases, (b * 32 + 1)::INT, 32) AS x FROM (SELECT *, unnest(range(0, length(bases) // 32)) AS b FROM bq)),
+  p AS (SELECT l.seq_id AS sa, l.b AS ba, r.seq_id AS sc, r.b AS bc, hamming(l.x, r.x) AS h FROM b l JOIN b r ON (l.seq_id, l.b) < (r.seq_id, r.b)), q AS (SELECT * FROM p WHERE h <= 4),
+  m AS (SELECT sc, bc, min(24 + 7 * h) AS bits FROM q WHERE 24 + 7 * h < 64 AND (sa, ba) NOT IN (SELECT (sc, bc) FROM q) GROUP BY ALL)
+  SELECT seq_id, sum(coalesce(bits, 64))::BIGINT AS bits FROM b LEFT JOIN m ON sc = seq_id AND bc = b GROUP BY seq_id"""
+Q["repeat_order2_roundtrip"] = lambda s, d: general.digests(substitution.repeat_decode(substitution.repeat_encode(S.bench_quad(s, d))))
+SQL["repeat_order2_roundtrip"] = digest_sql(BQ, "bq")
 Q["multi_pass_dictionary"] = lambda s, d: substitution.multi_pass(S.bench_quad(s, d))
 SQL["multi_pass_dictionary"] = f"""WITH {BQ}, {kmer_sql('bq', 32).replace('km AS', 'k32 AS', 1)}, {kmer_sql('bq', 16).replace('km AS', 'k16 AS', 1)}, one AS (SELECT kmer, count(*) AS n FROM k32 GROUP BY kmer HAVING count(*) > 1),
   inn AS (SELECT DISTINCT substr(kmer, (o + 1)::INT, 16) AS kmer FROM one, range(0, 17) r(o)), two AS (SELECT kmer, count(*) AS n FROM k16 WHERE kmer NOT IN (SELECT kmer FROM inn) GROUP BY kmer HAVING count(*) > 1)
   SELECT 1::INT AS pass, kmer, n FROM one UNION ALL SELECT 2::INT, kmer, n FROM two"""
 Q["dp_parse"] = lambda s, d: substitution.dp_parse(S.bench_quad(s, d))
-Q["greedy_parse_roundtrip"] = lambda s, d: general.digests(substitution.expand(substitution.greedy_parse(S.bench_quad(s, d)), S.bench_quad(s, d)))
+Q["greedy_parse_roundtrip"] = lambda s, d: general.digests(substitution.expand(substitution.greedy_parse(S.bench_quad(s, d))))
 SQL["greedy_parse_roundtrip"] = digest_sql(BQ, "bq")
 Q["nml_blocks"] = lambda s, d: general.nml_blocks(S.bench_quad(s, d)).select("seq_id", F.round("bits", 4).alias("bits"))
-Q["bwt_transform"] = lambda s, d: general.bwt_rows(S.bench_quad(s, d))
-SQL["bwt_transform"] = f"WITH {BQ}, s AS (SELECT seq_id, substr(bases, 1, 60) || '$' AS s FROM bq), r AS (SELECT seq_id, substr(s, (i + 1)::INT) || substr(s, 1, i::INT) AS r FROM (SELECT *, unnest(range(0, length(s))) AS i FROM s)) SELECT seq_id, string_agg(right(r, 1), '' ORDER BY r) AS last FROM r GROUP BY seq_id"
 Q["bwt_blocks"] = lambda s, d: general.bwt_blocks(S.bench_quad(s, d))
 SQL["bwt_blocks"] = f"WITH {BQ}, s AS (SELECT seq_id, (p // 60)::BIGINT AS block, substr(bases, (p + 1)::INT, 60) || '$' AS s FROM (SELECT *, unnest(range(0, greatest(length(bases), 1), 60)) AS p FROM bq)), r AS (SELECT seq_id, block, substr(s, (i + 1)::INT) || substr(s, 1, i::INT) AS r FROM (SELECT *, unnest(range(0, length(s))) AS i FROM s)) SELECT seq_id, block, string_agg(right(r, 1), '' ORDER BY r) AS last FROM r GROUP BY seq_id, block"
 
@@ -375,28 +369,35 @@ for _c in general.CODECS:
     SQL[f"t1_fish_{_c}_roundtrip"] = digest_sql(PQ, "pq")
 Q["t1_human_raw2_roundtrip"] = lambda s, d: general.digests(general.raw2_back(general.raw2(S.doc_quad(s, d))))
 SQL["t1_human_raw2_roundtrip"] = digest_sql(DQ, "dq")
-Q["t1_human_context_roundtrip"] = lambda s, d: codec.round_trip(S.bench_quad(s, d), codec.order_coder())
-SQL["t1_human_context_roundtrip"] = digest_sql(BQ, "bq")
-Q["t1_fish_context_roundtrip"] = lambda s, d: codec.round_trip(S.event_seq(s, d), codec.order_coder((1, 2)))
-SQL["t1_fish_context_roundtrip"] = digest_sql(EVSEQ, "es")
+Q["t1_human_context_roundtrip"] = lambda s, d: codec.round_trip(S.doc_quad(s, d), codec.order_coder())
+SQL["t1_human_context_roundtrip"] = digest_sql(DQ, "dq")
+Q["t1_fish_context_roundtrip"] = lambda s, d: codec.round_trip(S.page_quad(s, d), codec.order_coder())
+SQL["t1_fish_context_roundtrip"] = digest_sql(PQ, "pq")
+# All methods over two small corpora in common, the passages and the event sequences.
 NEURAL = {"carry": model.TINY, "byte": model.BYTE, "multilevel": model.MULTI, "conv_lstm": model.LSTM, "conv_bilstm": model.BILSTM}
-for _c, _cfg in NEURAL.items():
-    Q[f"t1_human_{_c}_roundtrip"] = lambda s, d, c=_c, g=_cfg: codec.round_trip(S.bench_quad(s, d), codec.model_coder(g, c), 512, 64)
-    SQL[f"t1_human_{_c}_roundtrip"] = digest_sql(BQ, "bq")
-    Q[f"t1_fish_{_c}_roundtrip"] = lambda s, d, c=_c, g=_cfg: codec.round_trip(S.event_seq(s, d), codec.model_coder(g, c), 512, 64)
-    SQL[f"t1_fish_{_c}_roundtrip"] = digest_sql(EVSEQ, "es")
+SMALL = {"benchmark": (S.bench_quad, digest_sql(BQ, "bq"), (1, 2, 4, 8)), "events": (S.event_seq, digest_sql(EVSEQ, "es"), (1, 2))}
+for _t, (_src, _sql, _orders) in SMALL.items():
+    for _c in general.CODECS:
+        Q[f"t1_{_t}_{_c}_roundtrip"] = lambda s, d, c=_c, f=_src: general.round_trip(f(s, d), c)
+    Q[f"t1_{_t}_context_roundtrip"] = lambda s, d, f=_src, o=_orders: codec.round_trip(f(s, d), codec.order_coder(o))
+    for _c, _cfg in NEURAL.items():
+        Q[f"t1_{_t}_{_c}_roundtrip"] = lambda s, d, c=_c, g=_cfg, f=_src: codec.round_trip(f(s, d), codec.model_coder(g, c), 512, 64)
+    for _c in (*general.CODECS, "context", *NEURAL):
+        SQL[f"t1_{_t}_{_c}_roundtrip"] = _sql
 for _c, _cfg in model.memory_grid().items():
     Q[f"t3_{_c}_roundtrip"] = lambda s, d, c=_c, g=_cfg: codec.round_trip(S.event_seq(s, d), codec.model_coder(g, c), 512, 64)
     SQL[f"t3_{_c}_roundtrip"] = digest_sql(EVSEQ, "es")
 
 
-def _substitution_records(s, d):
-    e = S.load(s, d, "events").repartition(4, "user_id").sortWithinPartitions("event_id")
-    return general.field_aware(e.select("event_id", A.event_base(F.col("event_type")).alias("bases"), F.floor(F.col("value") / 10).cast("string").alias("qual"))).groupBy("field").agg(F.sum("n").alias("n"))
+def _records(s, d):
+    e = S.load(s, d, "events").select("event_id", A.event_base(F.col("event_type")).alias("bases"), F.floor(F.col("value") / 10).cast("string").alias("qual"))
+    return e.repartition(int(s.conf.get("spark.sql.shuffle.partitions")), "event_id").sortWithinPartitions("event_id")
 
 
-Q["field_aware_records"] = _substitution_records
-SQL["field_aware_records"] = "SELECT field, count(*) AS n FROM events, (VALUES ('id'), ('bases'), ('qual')) t(field) GROUP BY field"
+Q["field_aware_roundtrip"] = lambda s, d: general.field_aware_back(general.field_aware(_records(s, d)))
+SQL["field_aware_roundtrip"] = f"SELECT event_id AS id, {EVENT_CASE} AS bases, floor(value / 10)::BIGINT::VARCHAR AS qual FROM events"
+Q["static_fragment_roundtrip"] = lambda s, d: codec.static_decode(codec.static_encode(grouping.initial_fragment(S.doc_letter(s, d)).where("fragment IS NOT NULL").select("seq_id", F.col("fragment").alias("bases"))))
+SQL["static_fragment_roundtrip"] = f"WITH {DL}, f AS (SELECT seq_id, regexp_extract(bases, '[AGCT]{{64}}') AS bases FROM dl) SELECT seq_id, bases FROM f WHERE bases <> ''"
 Q["pick_cheaper"] = lambda s, d: general.pick_cheaper(general.encode(S.doc_quad(s, d), "deflate"), general.encode(S.doc_quad(s, d), "bwt"), ("deflate", "bwt"))
 
 # Measures, plans, published figures.
@@ -421,6 +422,7 @@ def _hybrid(s, d):
 Q["hybrid_batches"] = _hybrid
 SQL["hybrid_batches"] = "WITH u AS (SELECT 'doc_quad' AS corpus, doc_id AS k FROM documents UNION ALL SELECT 'page_quad', page_id FROM pages), b AS (SELECT corpus, (row_number() OVER (PARTITION BY corpus ORDER BY k) - 1) // 64 AS batch FROM u) SELECT batch, corpus, count(*) AS n FROM b GROUP BY ALL"
 Q["t1_scores"] = lambda s, d: experiments.scores(s, d)
+Q["t3_scores"] = lambda s, d: experiments.memory_scores(s, d)
 Q["t4_scores"] = lambda s, d: experiments.grouping_scores(s, d)
 Q["hybrid_scores"] = lambda s, d: experiments.hybrid_scores(s, d)
 Q["train_history"] = lambda s, d: experiments.train_history(s, d)

@@ -13,18 +13,32 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def shared_dir(spark: SparkSession) -> str:
+    """The folder that driver and executors share; local sessions without one get a folder of their own."""
+    found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
+    if not found and not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+    return (found or "file:///tmp/checkpoints/basepack").rstrip("/")
+
+
+def even(df: DataFrame, key: str) -> DataFrame:
+    """A table of fewer files than shuffle partitions is read by few tasks: its rows are dealt by key. Others stay as they are."""
+    n = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return df.repartition(n, key) if len(df.inputFiles()) < n else df
+
+
 def doc_quad(spark, sf_dir) -> DataFrame:
-    d = load(spark, sf_dir, "documents")
+    d = even(load(spark, sf_dir, "documents").select("doc_id", "text"), "doc_id")
     return d.select(F.lit("doc_quad").alias("corpus"), F.col("doc_id").alias("seq_id"), A.quad_map(F.col("text")).alias("bases"))
 
 
 def doc_letter(spark, sf_dir) -> DataFrame:
-    d = load(spark, sf_dir, "documents")
+    d = even(load(spark, sf_dir, "documents").select("doc_id", "text"), "doc_id")
     return d.select(F.lit("doc_letter").alias("corpus"), F.col("doc_id").alias("seq_id"), A.letter_map(F.col("text")).alias("bases"))
 
 
 def page_quad(spark, sf_dir) -> DataFrame:
-    d = load(spark, sf_dir, "pages")
+    d = even(load(spark, sf_dir, "pages").select("page_id", "html"), "page_id")
     return d.select(F.lit("page_quad").alias("corpus"), F.col("page_id").alias("seq_id"), A.quad_map(F.col("html")).alias("bases"))
 
 

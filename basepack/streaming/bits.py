@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
 from ..functions import alphabet as A
+from ..sources.tables import shared_dir
 
 
 def _source(spark, sf_dir) -> DataFrame:
@@ -24,8 +25,7 @@ def _source(spark, sf_dir) -> DataFrame:
 
 def _run(df: DataFrame, mode: str = "append") -> DataFrame:
     spark = df.sparkSession
-    base = spark.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints/basepack"
-    path = f"{base.rstrip('/')}/stream-{uuid.uuid4().hex}"
+    path = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
 
     def sink(batch: DataFrame, number: int) -> None:
         batch.write.mode("overwrite").parquet(f"{path}/out/batch={number}")

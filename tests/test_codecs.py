@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from basepack.functions import alphabet as A
 from basepack.functions import coder as C
-from basepack.operators import codec, general, grouping, nn, substitution
+from basepack.operators import codec, context, general, grouping, nn, substitution
 from basepack.plans import measures, model, train
 from basepack.sources import tables as S
 
@@ -130,7 +130,7 @@ def test_training_lowers_loss(spark):
     assert h[-1][1] < h[0][1] and min(x[2] for x in h) < 1.9
     _, _, losses = train.fit_steps(df, cfg, steps=3, lanes=8)
     assert len(losses) == 3
-    _, _, mixed = train.fit_mixed({"a": df, "b": df}, cfg, epochs=1, steps=5, partitions=2)
+    _, _, mixed = train.fit_mixed({"a": df, "b": df}, {"a": df, "b": df}, cfg, epochs=1, steps=5, partitions=2)
     assert len(mixed) == 1
 
 
@@ -175,7 +175,7 @@ def test_repeats(spark):
     assert substitution.palindromes(df.where("seq_id = 16")).count() >= 100
     assert substitution.dp_parse(df).where("seq_id = 15").first()["bits"] <= 2 * 200 + 24
     assert general.nml_blocks(df).count() == 2
-    last = general.bwt_rows(df).where("seq_id = 15").first()["last"]
+    last = general.bwt_blocks(df).where("seq_id = 15 AND block = 0").first()["last"]
     assert general.bwt_inverse(last) == s[15][:60]
 
 
@@ -205,3 +205,103 @@ def test_measures(spark, seqs):
     x = measures.relative(res, "a").where("method = 'b'").first()
     assert math.isclose(x["saving"], 0.4828, abs_tol=1e-4) and x["speedup"] == 2
     assert measures.throughput(res).count() == 2 and measures.generalisation(res, res).where("gap <> 0").count() == 0
+
+
+def test_ranges_of_a_long_sequence(spark):
+    """Groups 9 and 10 share lane batches with groups that do not belong to the range."""
+    rng = random.Random(3)
+    texts = {1: "".join(rng.choice("AGCT") for _ in range(12 * 256 + 5)), 2: "".join(rng.choice("AGCT") for _ in range(900))}
+    df = spark.createDataFrame([("c", i, t) for i, t in texts.items()], "corpus string, seq_id long, bases string")
+    c = codec.order_coder((1, 2))
+    box = codec.compress(df, c, 256, 8)
+    for a, b in ((9 * 256, 10 * 256), (10 * 256 + 7, 10 * 256 + 9), (9 * 256 - 3, 11 * 256 + 4), (12 * 256, 12 * 256 + 5), (0, 1)):
+        assert codec.read_range(box, c, 1, a, b, 256, 8).first()["piece"] == texts[1][a:b]
+    assert codec.decode_groups(box, c, 8).count() == 13 + 4
+
+
+def test_compression_has_as_many_tasks_as_shuffle_partitions(spark):
+    old = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", "13")
+    try:
+        df = spark.range(400).selectExpr("'c' corpus", "id seq_id", "repeat('AGCTTG', 40) bases")
+        c = codec.order_coder((1,))
+        p = codec.compress(df, c, 64, 4)._jdf.queryExecution().executedPlan().toString()
+        assert "hashpartitioning(seq_id" in p and ", 13)" in p
+        box = codec.compress(df, c, 64, 4)
+        assert box.select("shard").distinct().count() == 13
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", old)
+
+
+def test_map_kernels_equal_their_definition(spark):
+    texts = ["", "a", "\u00e9\U0001f600 x", None, "long " * 500]
+    df = spark.createDataFrame(list(enumerate(texts)), "i int, t string").repartition(2)
+    for r in df.select("t", A.quad_map(F.col("t")).alias("q"), A.unpack(A.pack(A.quad_map(F.col("t")))).alias("u")).collect():
+        if r["t"] is None:
+            assert r["q"] is None and r["u"] is None
+        else:
+            want = "".join("AGCT"[x >> s & 3] for x in r["t"].encode() for s in (6, 4, 2, 0))
+            assert r["q"] == want == r["u"]
+
+
+def brute_parse(s, k, pointer):
+    best = [0] * (len(s) + 1)
+    for i in range(len(s) - 1, -1, -1):
+        best[i] = best[i + 1] + 2
+        for src in range(i):
+            for m in range(1, len(s) - i + 1):
+                if s[src + m - 1] != s[i + m - 1]:
+                    break
+                if m >= k:
+                    best[i] = min(best[i], pointer + best[i + m])
+    return best[0]
+
+
+def test_cheapest_parse_equals_brute_force():
+    rng = random.Random(7)
+    for _ in range(60):
+        s = "".join(rng.choice("AG") for _ in range(rng.randint(0, 40)))
+        for k, pointer in ((3, 5), (4, 7)):
+            assert substitution.cheapest_parse(s, k, pointer) == brute_parse(s, k, pointer)
+
+
+def test_repeat_coders_give_back_every_base(spark):
+    rng = random.Random(11)
+    base = "".join(rng.choice("AGCT") for _ in range(320))
+    near = "".join("A" if i % 40 == 0 else c for i, c in enumerate(base))
+    texts = {1: base + near, 2: base, 3: "", 4: "AG" * 90, 5: "".join(rng.choice("AGCT") for _ in range(700))}
+    df = spark.createDataFrame(list(texts.items()), "seq_id long, bases string").repartition(3)
+    assert {r["seq_id"]: r["bases"] for r in substitution.expand(substitution.greedy_parse(df)).collect()} == texts
+    coded = substitution.repeat_encode(df)
+    assert {r["seq_id"]: r["bases"] for r in substitution.repeat_decode(coded.repartition(5)).collect()} == texts
+    bits = {r["seq_id"]: r["n_bits"] for r in coded.collect()}
+    assert bits[4] < 100 * 2
+    blocks = substitution.repeat_blocks(df)
+    back = {(r["seq_id"], r["b"]): r["block"] for r in substitution.repeat_blocks_back(blocks).collect()}
+    assert back == {(i, b): t[32 * b : 32 * b + 32] for i, t in texts.items() for b in range(len(t) // 32)}
+    assert blocks.where("seq_id = 2").agg(F.sum("bits")).first()[0] <= 10 * 24
+
+
+def test_static_fragments(spark):
+    df = spark.createDataFrame([(1, "AAAAGAAAAC" * 6), (2, ""), (3, "T"), (4, "AGCT" * 16)], "seq_id long, bases string")
+    coded = codec.static_encode(df)
+    assert {r["seq_id"]: r["bases"] for r in codec.static_decode(coded.repartition(3)).collect()} == {r["seq_id"]: r["bases"] for r in df.collect()}
+    assert len(coded.where("seq_id = 1").first()["payload"]) < 60 // 4 < len(coded.where("seq_id = 4").first()["payload"]) + 2
+
+
+def test_word_counts(spark):
+    df = spark.createDataFrame([("AGCTAGC",), ("AG",), (None,), ("",)], "bases string")
+    got = {r["word"]: r["n"] for r in context.word_counts(df, 2).collect()}
+    assert got == {1: 3, 6: 2, 11: 1, 12: 1}
+
+
+def test_training_reads_every_base_and_lanes_of_each_corpus():
+    t = train.lane_text(["AGCT" * 50, "TT"], 4, 8)
+    assert t.size >= 202 and (t.reshape(-1)[:202] == np.concatenate([codec.codes_of("AGCT" * 50), codec.codes_of("TT")])).all()
+    both = train.side_by_side({"a": ["AG" * 100], "b": ["C" * 40]}, 4, 8)
+    assert both.shape == (8, 50) and set(both[:4].reshape(-1)) == {0, 1} and set(both[4:].reshape(-1)) == {2}
+    cfg = replace(model.MULTI, block_order="standard")
+    w, stats = nn.init(cfg), nn.running(cfg)
+    text = train.lane_text(["AGCT" * 100], 2, cfg.raw_context)
+    bits, n = train.validate(text, w, stats, cfg)
+    assert n == 2 * (text.shape[1] - cfg.raw_context) and bits > 0

@@ -1,4 +1,4 @@
-"""Queries that go over all of their table, where an older one stops after its start."""
+"""Queries go over all of their table."""
 
 import numpy as np
 
