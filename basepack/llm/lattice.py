@@ -26,7 +26,8 @@ most whatever the corpus, are broadcast; all others are joined by shuffle, one r
 document. So frequent words are never a shuffle key.
 
 Defined results: null, empty and blank texts are the end token alone; null ids belong to fold 0; repeated
-rows are scored and learned from as they come; an empty table gives an empty result.
+rows are scored and learned from as they come; very long texts are read whole, in blocks; an empty table gives an empty
+result; columns other than doc_id, text and lang are not read.
 """
 
 from __future__ import annotations
@@ -270,7 +271,7 @@ def word_counts(docs: DataFrame, classes: Classes, mod: int, keep_out: int) -> D
                 else:
                     other[k].update(words)
                     other[k].add(END)
-            if sum(map(len, total)) + sum(map(len, other)) > 200_000:  # bounded memory: send on what there is
+            if sum(map(len, total)) + sum(map(len, other)) > 100_000:  # bounded memory: send on what there is
                 yield from rows(total, other)
                 total, other = [Counter() for _ in every], [set() for _ in every]
         yield from rows(total, other)
