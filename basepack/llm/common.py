@@ -62,6 +62,17 @@ def native_size(col) -> F.Column:
     return F.when(text == "", F.lit(0)).otherwise(F.size(F.split(text, SPACES))).cast("long")
 
 
+def packed(docs: DataFrame) -> DataFrame:
+    """(doc_id, text, rest): all other columns in one struct, so that none clashes with the names an operator uses."""
+    others = [F.col(f"`{c}`") for c in docs.columns if c not in ("doc_id", "text")]
+    return docs.select("doc_id", "text", F.struct(F.lit(0).alias("_"), *others).alias("rest"))
+
+
+def unpacked(df: DataFrame, columns: list[str]) -> DataFrame:
+    """The columns that `packed` put away."""
+    return df.select(*[F.col(c) if c in ("doc_id", "text") else F.col("rest").getField(c).alias(c) for c in columns])
+
+
 def byte_column(batch: pa.RecordBatch, name: str) -> list[bytes | None]:
     return batch.column(batch.schema.get_field_index(name)).cast(pa.binary()).to_pylist()
 

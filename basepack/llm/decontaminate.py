@@ -27,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import alnum_words, byte_column, join_uneven, map_rows, materialise
+from .common import alnum_words, byte_column, join_uneven, map_rows, materialise, packed, unpacked
 
 WINDOW = 13
 SHINGLE = 5
@@ -265,5 +265,10 @@ def decontaminate(docs: DataFrame, items: DataFrame, mode: str = "auto", max_win
     return _broadcast_mode(docs, wins.collect())
 
 
+def keep_clean(docs: DataFrame, items: DataFrame) -> DataFrame:
+    """docs that are not contaminated, with the columns they came with."""
+    return unpacked(decontaminate(packed(docs), items).where("NOT contaminated"), docs.columns)
+
+
 def contamination(spark: SparkSession, docs: DataFrame, items: DataFrame) -> DataFrame:
     return decontaminate(docs.select("doc_id", "text"), items).drop("text")

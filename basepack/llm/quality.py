@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import BLOCK_BYTES, blocks, byte_column, fold, map_rows, materialise, words_of
+from .common import BLOCK_BYTES, blocks, byte_column, fold, map_rows, materialise, packed, unpacked, words_of
 
 WORDS = 1 << 16
 BINS = 16
@@ -188,4 +188,5 @@ def quality_report(docs: DataFrame, labels: DataFrame) -> DataFrame:
 
 
 def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    return score(docs, fit(docs, labels)).where(F.col("fm_score") >= THRESHOLD).select(*docs.columns)
+    """docs that reach the threshold, with the columns they came with."""
+    return unpacked(score(packed(docs), fit(docs, labels)).where(F.col("fm_score") >= THRESHOLD), docs.columns)

@@ -15,7 +15,8 @@ members agree in one of the four bytes.
 Classes are found with alternating star contractions over tables in the shared folder.
 
 Defined results: null, empty and blank texts have fingerprint zero and are linked like any other;
-repeated ids and rows are kept; a null id never names a class unless all ids of it are null; an empty table gives an empty result.
+repeated ids and rows are kept; very long texts are read whole; a null id never names a class unless all ids of it are null; an empty
+table gives an empty result; other columns are not read by `cluster` and kept by `keep_one`, whatever their names.
 """
 
 from __future__ import annotations
@@ -26,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import byte_column, map_rows, materialise, words_of
+from .common import byte_column, map_rows, materialise, packed, unpacked, words_of
 
 MAX_BITS = 3
 SEED = 42
@@ -253,7 +254,9 @@ def keep_one(docs: DataFrame) -> DataFrame:
     key = F.struct(F.col("doc_id").isNull().alias("none"), F.coalesce("doc_id", F.lit(0)).alias("head"), F.col("digest").alias("head_digest"))
     nodes = rooted(materialise(fps.groupBy("fp").agg(F.min(key).alias("key")), "simhash-nodes"))
     heads = nodes.groupBy("root").agg(F.min("key").alias("key")).select("key.*")
-    marked = docs.withColumn("__digest", digest)
+    marked = packed(docs).withColumn("row_digest", digest)
     same_id = (F.coalesce(marked["doc_id"].cast("long"), F.lit(0)) == heads["head"]) & (marked["doc_id"].isNull() == heads["none"])
-    kept = marked.join(heads, same_id & (marked["__digest"] == heads["head_digest"]), "left_semi")
-    return kept.dropDuplicates(["doc_id", "__digest"]).drop("__digest")
+    kept = marked.join(heads, same_id & (marked["row_digest"] == heads["head_digest"]), "left_semi")
+    # Rows of one id and text: the least of all, by its other columns as text, so that reruns agree.
+    least = kept.groupBy("doc_id", "row_digest").agg(F.min_by(F.struct("text", "rest"), F.to_json("rest")).alias("x"))
+    return unpacked(least.select("doc_id", "x.text", "x.rest"), docs.columns)
