@@ -3,6 +3,9 @@
 Decisions: documents under the quality threshold go; one document of each SimHash class stays; strings of 200
 bytes that occur elsewhere are cut, and a document cut to nothing goes; contaminated documents go; the mix
 keeps the documents of which it takes words, with how often and how many.
+
+Defined results: null and empty texts are judged like any other and are one SimHash class; null and repeated ids are rows of
+their own; an empty table gives an empty result; extra columns go along whatever their names, and the mix adds its own (mix_...).
 """
 
 from __future__ import annotations
@@ -26,8 +29,7 @@ def substring_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    judged = decontaminate.decontaminate(docs, table(spark, sf_dir, "benchmark"))
-    return judged.where("NOT contaminated").select(*docs.columns)
+    return decontaminate.keep_clean(docs, table(spark, sf_dir, "benchmark"))
 
 
 def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
