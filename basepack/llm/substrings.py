@@ -34,7 +34,7 @@ import hashlib
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import byte_column, join_uneven, map_rows, materialise
@@ -287,7 +287,10 @@ def split_runs(docs: DataFrame, wanted: DataFrame) -> DataFrame:
 
     strings = materialise(map_rows(_wanted_texts(docs, wanted), "h long, c long, a int, x long, y long", one).distinct(), "substr-strings")
     often = materialise(strings.groupBy("x", "y").agg(F.count("*").alias("k")).where("k > 1"), "substr-often")
-    return join_uneven(strings, often, ["x", "y"], "k", strings.count(), "left_semi").select("h", "c", "a", F.lit(1).alias("len"))
+    found = join_uneven(strings, often, ["x", "y"], "k", strings.count(), "left_semi").select("h", "c", "a")
+    # Starts side by side are one run, as sort_groups gives them; a segment has at most LENGTH - GRAM + 1 of them.
+    run = F.col("a") - F.row_number().over(Window.partitionBy("h", "c").orderBy("a"))
+    return found.withColumn("run", run).groupBy("h", "c", "run").agg(F.min("a").alias("a"), F.count("*").cast("int").alias("len")).drop("run")
 
 
 def cut_segments(docs: DataFrame, wanted: DataFrame) -> DataFrame:
