@@ -22,6 +22,16 @@ def test_interval_blocks_give_back_every_base(spark):
     assert whole(K.Q["interval_blocks_decode"](spark, SF).collect(), lambda r: r["bases"]) == want
 
 
+def test_interval_blocks_of_rare_bases_come_back(spark, tmp_path):
+    # 13 rare events side by side among 4000: their interval is narrower than 2^-53.
+    kinds = ["click"] * 3000 + ["purchase"] * 13 + ["error"] * 7 + ["view"] * 980
+    rows = [(i, i, kind) for i, kind in enumerate(kinds)]
+    spark.createDataFrame(rows, "event_id long, t long, event_type string").selectExpr(
+        "event_id", "timestamp_seconds(t) AS ts", "1L AS user_id", "event_type").write.parquet(f"{tmp_path}/events.parquet")
+    want = S.event_seq(spark, str(tmp_path)).first()["bases"]
+    assert whole(K.Q["interval_blocks_decode"](spark, str(tmp_path)).collect(), lambda r: r["bases"]) == {1: want}
+
+
 def test_block_sort_gives_back_every_base(spark):
     want = {r["seq_id"]: r["bases"] for r in S.bench_quad(spark, SF).collect()}
     assert whole(K.Q["bwt_blocks"](spark, SF).collect(), lambda r: general.bwt_inverse(r["last"])) == want
