@@ -285,9 +285,9 @@ def split_runs(docs: DataFrame, wanted: DataFrame) -> DataFrame:
         cols = [pa.array(v, pa.int64()) for v in (h, c)] + [pa.array(a, pa.int32())] + [pa.array(v, pa.int64()) for v in (x, y)]
         yield pa.RecordBatch.from_arrays(cols, ["h", "c", "a", "x", "y"])
 
-    strings = materialise(map_rows(_wanted_texts(docs, wanted), "h long, c long, a int, x long, y long", one).distinct(), "substr-strings")
-    often = materialise(strings.groupBy("x", "y").agg(F.count("*").alias("k")).where("k > 1"), "substr-often")
-    found = join_uneven(strings, often, ["x", "y"], "k", strings.count(), "left_semi").select("h", "c", "a")
+    strings = materialise(map_rows(_wanted_texts(docs, wanted), "h long, c long, a int, x long, y long", one).distinct(), "substr-strings", clean=True)
+    often = materialise(strings.groupBy("x", "y").agg(F.count("*").alias("k")).where("k > 1"), "substr-often", clean=True)
+    found = join_uneven(strings, often, ["x", "y"], "k", strings.count(), "left_semi", "merge").select("h", "c", "a")
     # Starts side by side are one run, as sort_groups gives them; a segment has at most LENGTH - GRAM + 1 of them.
     run = F.col("a") - F.row_number().over(Window.partitionBy("h", "c").orderBy("a"))
     return found.withColumn("run", run).groupBy("h", "c", "run").agg(F.min("a").alias("a"), F.count("*").cast("int").alias("len")).drop("run")
@@ -313,29 +313,30 @@ def keyed(docs: DataFrame) -> DataFrame:
 
 def repeated_runs(docs: DataFrame, group_bytes: int = GROUP_BYTES) -> DataFrame:
     """(tk, doc_id, spans): merged by the caller; docs: doc_id, tk, text as `keyed` gives them."""
-    segs = materialise(scan(docs.select("doc_id", "tk", "text")), "substr-segments")
-    often = materialise(segs.groupBy("h").agg(F.count("*").alias("k")).where("k > 1"), "substr-often")
-    some = materialise(join_uneven(segs, often, ["h"], "k", segs.count(), "left_semi"), "substr-repeated")
+    segs = materialise(scan(docs.select("doc_id", "tk", "text")), "substr-segments", clean=True)
+    often = materialise(segs.groupBy("h").agg(F.count("*").alias("k")).where("k > 1"), "substr-often", clean=True)
+    some = materialise(join_uneven(segs, often, ["h"], "k", segs.count(), "left_semi", "merge"), "substr-repeated", clean=True)
     # Any occurrence stands for equal segments; the four columns come from one row.
     at = [F.first(x).alias(x) for x in ("doc_id", "tk", "lo", "n")]
-    kinds = materialise(some.groupBy("h", "c").agg(F.count("*").alias("k"), *at), "substr-kinds")
+    kinds = materialise(some.groupBy("h", "c").agg(F.count("*").alias("k"), *at), "substr-kinds", clean=True)
     mixed = kinds.groupBy("h").agg(F.count("*").alias("m"), F.sum(F.col("n") + LENGTH - 1).alias("bytes")).where("m > 1")
-    mixed = materialise(mixed, "substr-mixed")
+    mixed = materialise(mixed, "substr-mixed", clean=True)
     texts, fields, n_kinds = docs.select("doc_id", "tk", "text"), ("h", "c", "doc_id", "tk", "lo", "n"), kinds.count()
 
     def members(groups: DataFrame) -> DataFrame:
-        return join_uneven(kinds, groups.select("h", "m"), ["h"], "m", n_kinds, "left_semi").select(*fields)
+        return join_uneven(kinds, groups.select("h", "m"), ["h"], "m", n_kinds, "left_semi", "merge").select(*fields)
 
     found = cut_segments(texts, members(mixed.where(F.col("bytes") <= group_bytes)))
     parts = found.repartition("h").sortWithinPartitions("h", "c").mapInArrow(sort_groups, "h long, c long, a int, len int")
     large = mixed.where(F.col("bytes") > group_bytes)
     if not large.isEmpty():
         parts = parts.unionByName(split_runs(texts, members(large)))
+    parts = materialise(parts, "substr-runs", clean=True)  # few rows, but the shuffled texts behind them are the largest
     # Segments seen once have runs of their own; those seen twice or more repeat whole, wherever they are.
     lo = F.col("lo") + F.col("a")
-    once = parts.join(kinds.where("k = 1").drop("k"), ["h", "c"]).select("tk", "doc_id", lo.alias("from"), (lo + F.col("len") + LENGTH - 1).alias("to"))
+    once = parts.join(kinds.where("k = 1").drop("k").hint("merge"), ["h", "c"]).select("tk", "doc_id", lo.alias("from"), (lo + F.col("len") + LENGTH - 1).alias("to"))
     full = kinds.where("k > 1").select("h", "c", "k")
-    whole = join_uneven(some, full, ["h", "c"], "k", some.count(), "left_semi").select("tk", "doc_id", F.col("lo").alias("from"), (F.col("lo") + F.col("n") + LENGTH - 1).alias("to"))
+    whole = join_uneven(some, full, ["h", "c"], "k", some.count(), "left_semi", "merge").select("tk", "doc_id", F.col("lo").alias("from"), (F.col("lo") + F.col("n") + LENGTH - 1).alias("to"))
     # Repeated rows give the same spans again.
     return whole.unionByName(once).groupBy("tk", "doc_id").agg(F.collect_set(F.struct("from", "to")).alias("spans"))
 
@@ -359,7 +360,7 @@ def split(text: bytes | None, spans) -> tuple[bytes, int, int]:
 
 def _with_spans(docs: DataFrame) -> DataFrame:
     k = keyed(docs.withColumn("given_id", F.col("doc_id")))
-    spans = materialise(repeated_runs(k), "substr-spans")  # written, so that a frequent key of docs can be split at the join
+    spans = materialise(repeated_runs(k), "substr-spans", clean=True)  # written, so that a frequent key of docs can be split at the join
     return k.join(spans.hint("shuffle_hash"), ["tk", "doc_id"], "left")
 
 

@@ -4,6 +4,7 @@ import hashlib
 import math
 import random
 from collections import Counter
+from pathlib import Path
 
 import duckdb
 import numpy as np
@@ -167,6 +168,21 @@ def test_a_large_group_sorts_in_bounded_memory():
     assert peak < 250 << 20
 
 
+def test_substrings_leave_no_shuffles_behind(spark):
+    """But those of counts, a few bytes a task."""
+    def shuffles():
+        files = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles()
+        return {f for f in files.mkString("\n").split("\n") if f.endswith(".data") and "shuffle_" in f}
+
+    rng = random.Random(3)
+    texts = ["".join(rng.choice("abcdefghijklmnopqrstuvwxyz ") for _ in range(4000)) for _ in range(20)]
+    docs = spark.createDataFrame([(i, texts[i // 2] + str(i)) for i in range(40)], "doc_id long, text string")
+    before = shuffles()
+    out = substrings.dedup_report(docs)
+    assert sum(Path(f).stat().st_size for f in shuffles() - before) < 8000
+    assert all(r["n_removed"] in (4000, 4001) for r in out.collect())  # 20 and 21 begin alike
+
+
 def test_pipeline_cut_keeps_columns(docs):
     out = substrings.without_repeats(docs)
     assert out.columns == docs.columns
