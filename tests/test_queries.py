@@ -54,6 +54,13 @@ def test_plans(spark):
     assert "PushedFilters: [IsNotNull(n_chars), GreaterThan(n_chars,1000)]" in p and "text" not in p.split("ReadSchema")[1]
 
 
+@pytest.mark.parametrize("name,table", [("gelu_table", "embeddings")])
+def test_reads_a_given_table(spark, duck, name, table):
+    df = K.Q[name](spark, SF)
+    assert any(f.endswith(f"/{table}.parquet") for f in df.inputFiles())
+    assert df.count() == duck.execute(f"SELECT count(*) FROM ({K.SQL[name]})").fetchone()[0] > 0
+
+
 def test_grouped_is_faster(spark):
     rows = {r["method"]: r for r in K.Q["t4_scores"](spark, SF).collect()}
     assert rows["all"]["seconds"] < rows["none"]["seconds"]
