@@ -54,7 +54,7 @@ def test_plans(spark):
     assert "PushedFilters: [IsNotNull(n_chars), GreaterThan(n_chars,1000)]" in p and "text" not in p.split("ReadSchema")[1]
 
 
-@pytest.mark.parametrize("name,table", [("gelu_table", "embeddings"), ("length_for_budget", "documents"), ("model_cost_table", "documents")])
+@pytest.mark.parametrize("name,table", [("gelu_table", "embeddings"), ("length_for_budget", "documents"), ("model_cost_table", "documents"), ("ngram_vocab", "events")])
 def test_reads_a_given_table(spark, duck, name, table):
     df = K.Q[name](spark, SF)
     assert any(f.endswith(f"/{table}.parquet") for f in df.inputFiles())
