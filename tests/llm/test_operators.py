@@ -347,6 +347,30 @@ def test_toxic_distance_equals_brute_force():
     assert got[:2] == [top[0], sum(top) / 3] and got[2] == math.log1p(sum(v >= toxicity.LEVELS[0] for v in want)) and got[-1] == math.log1p(len(want))
 
 
+def test_only_windows_that_meet_toxic_content_are_compressed(monkeypatch):
+    """Found by plain search, in words of any length, across stretches and across the end of a window; the others are 0."""
+    rng = random.Random(4)
+    ordinary = text(rng, 900).encode() + b" "
+    content = toxicity.aligned(ordinary, b" nasty vile queasy ")
+    assert ordinary[len(content) - 1 : len(content)] == b" " and content.strip() == b"nasty vile queasy"
+    d, n, k = toxicity.Distance(ordinary, content), len(content), toxicity.MATCH
+    body = ordinary[n : -toxicity.FRAME]
+    plain, toxic = (body + x + d.frame for x in (ordinary[:n], content))
+    telling = {toxic[i : i + k] for i in range(len(toxic) - k + 1) if toxic[i : i + k] != plain[i : i + k]}
+    seen, of = [], d.of
+    monkeypatch.setattr(d, "of", lambda w: seen.append(w) or of(w))
+    monkeypatch.setattr(toxicity, "STRETCH", 64)
+    words = [*text(rng, 400).split(), "nasty", "a", *text(rng, 101).split(), "easy", "Queasy"]
+    for x in (" ".join(words), "vile", "a", "é nasty", "nasty " * 9, "  "):
+        ws = toxicity.windows(x.encode())
+        want = [any(f[i : i + k] in telling for i in range(len(f) - k + 1)) for f in (w + d.frame for w in ws)]
+        seen.clear()
+        got = d.distances(x.encode()).tolist()
+        assert seen == [w for w, yes in zip(ws, want, strict=True) if yes]
+        assert got == ([of(w) if yes else 0 for w, yes in zip(ws, want, strict=True)] or [0])
+    assert not seen and sum(want) == 0
+
+
 def test_toxic_words_of_rare_languages_tell(spark):
     """A word of a class with few rows is kept beside very frequent ones; copies of a text count once."""
     rng = random.Random(8)
