@@ -18,7 +18,8 @@ No shuffle puts all rows of a frequent minimiser or segment into one task: keys
 broadcast instead, fewer than 4096 of them whatever the input (`common.join_uneven`).
 
 Texts are read from the tables by each pass; what is shuffled is 28 bytes per segment, the bytes of
-distinct segments that share a minimiser with others, and each text once for every join that needs it.
+distinct segments that share a minimiser with others, and each text once for every join that needs something of it; a filter
+of bits tells most of the others, which stay where they are (`common.with_marks`).
 Copies of a segment are collapsed by map-side aggregation before they are sorted.
 
 Defined results: null and empty texts have 0 bytes; texts under 200 bytes lose nothing; repeated rows
@@ -37,7 +38,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import byte_column, join_uneven, map_rows, materialise
+from .common import byte_column, join_uneven, map_rows, materialise, with_marks
 
 LENGTH = 200
 GRAM = 48
@@ -265,8 +266,9 @@ def sort_groups(batches):
 
 def _wanted_texts(docs: DataFrame, wanted: DataFrame) -> DataFrame:
     """(text, segs): one text looked up for all that is wanted of it; wanted: doc_id, tk, h, c, lo, n."""
-    lists = wanted.groupBy("doc_id", "tk").agg(F.collect_list(F.struct("h", "c", "lo", "n")).alias("segs"))
-    return docs.join(lists.hint("shuffle_hash"), ["tk", "doc_id"]).select("text", "segs")
+    lists = materialise(wanted.groupBy("doc_id", "tk").agg(F.collect_list(F.struct("h", "c", "lo", "n")).alias("segs")), "substr-wanted", clean=True)
+    asked = with_marks(docs, lists, ["tk", "doc_id"]).where("marked").drop("marked")
+    return asked.join(lists.hint("shuffle_hash"), ["tk", "doc_id"]).select("text", "segs")
 
 
 def split_runs(docs: DataFrame, wanted: DataFrame) -> DataFrame:
@@ -361,7 +363,10 @@ def split(text: bytes | None, spans) -> tuple[bytes, int, int]:
 def _with_spans(docs: DataFrame) -> DataFrame:
     k = keyed(docs.withColumn("given_id", F.col("doc_id")))
     spans = materialise(repeated_runs(k), "substr-spans", clean=True)  # written, so that a frequent key of docs can be split at the join
-    return k.join(spans.hint("shuffle_hash"), ["tk", "doc_id"], "left")
+    marked = with_marks(k, spans, ["tk", "doc_id"])
+    found = marked.where("marked").drop("marked").join(spans.hint("shuffle_hash"), ["tk", "doc_id"], "left")
+    alone = marked.where("NOT marked").drop("marked").withColumn("spans", F.lit(None).cast(spans.schema["spans"].dataType))
+    return found.unionByName(alone)
 
 
 def dedup_report(docs: DataFrame) -> DataFrame:

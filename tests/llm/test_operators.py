@@ -183,6 +183,26 @@ def test_substrings_leave_no_shuffles_behind(spark):
     assert all(r["n_removed"] in (4000, 4001) for r in out.collect())  # 20 and 21 begin alike
 
 
+def test_texts_without_repeats_stay_where_they_are(spark):
+    """Of 2000 texts, 40 hold repeats: the join that brings texts to their spans gets those and hardly more."""
+    rng = random.Random(9)
+    shared = text(rng, 60)
+    rows = [(i, text(rng, 60) + (shared if i % 50 == 0 else "")) for i in range(2000)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    k = substrings.keyed(docs)
+    some = common.materialise(k.where("doc_id % 50 = 0").select("tk", "doc_id"), "marks-test")
+    marked = {r["doc_id"] for r in common.with_marks(k, some, ["tk", "doc_id"]).where("marked").collect()}
+    assert marked >= set(range(0, 2000, 50)) and len(marked) < 60
+    none = common.with_marks(k, some.where("false"), ["tk", "doc_id"])
+    assert none.where("marked").count() == 0 and none.count() == 2000
+    joined = substrings._with_spans(docs)
+    joined.collect()
+    plan = joined._jdf.queryExecution().executedPlan().toString()
+    assert "BroadcastHashJoin" in plan and "Union" in plan
+    got = {r["doc_id"] for r in joined.where("spans IS NOT NULL").collect()}
+    assert got == set(range(0, 2000, 50)) and joined.count() == 2000
+
+
 def test_pipeline_cut_keeps_columns(docs):
     out = substrings.without_repeats(docs)
     assert out.columns == docs.columns
