@@ -295,6 +295,24 @@ def test_word_counts(spark):
     assert got == {1: 3, 6: 2, 11: 1, 12: 1}
 
 
+@pytest.mark.parametrize("cfg", [model.TINY, model.BYTE, model.MULTI, model.LSTM, model.BILSTM, *model.memory_grid().values()])
+def test_validation_computes_a_row_once_and_equals_windows(cfg, monkeypatch):
+    """The same bits as window by window, over stretches of any length, and the convolution runs once a stretch."""
+    rng = np.random.default_rng(3)
+    text, w = rng.integers(0, 4, (5, cfg.raw_context + 23)), nn.init(cfg, 3)
+    stats = {"mean": rng.normal(0, 0.1, cfg.d_model), "var": np.full(cfg.d_model, 1.3)}
+    state, bits = None, 0.0
+    for t in range(23):
+        logits, state = nn.step(text[:, t : t + cfg.raw_context], state, w, cfg, stats)
+        bits += float(nn.loss(logits, text[:, t + cfg.raw_context])) * 5
+    monkeypatch.setattr(nn, "features", None)
+    for ahead in (1, 10, 256):
+        monkeypatch.setattr(train, "AHEAD", ahead, raising=False)
+        got, n = train.validate(text, w, stats, cfg)
+        assert n == 115 and abs(got - bits) < 1e-9 * bits
+    assert train.validate(text[:, : cfg.raw_context], w, stats, cfg) == (0.0, 0)
+
+
 def test_training_reads_every_base_and_lanes_of_each_corpus():
     t = train.lane_text(["AGCT" * 50, "TT"], 4, 8)
     assert t.size >= 202 and (t.reshape(-1)[:202] == np.concatenate([codec.codes_of("AGCT" * 50), codec.codes_of("TT")])).all()
