@@ -295,6 +295,40 @@ def test_word_counts(spark):
     assert got == {1: 3, 6: 2, 11: 1, 12: 1}
 
 
+@pytest.mark.parametrize(("orders", "lanes"), [((1, 2, 4, 8), 3), ((1, 2, 3, 4, 6, 8), 1), ((2,), 700), ((8, 1), 1500)])
+def test_context_coder_equals_its_definition(orders, lanes):
+    """Counts of every step, lane by lane, from contexts spelt out; some contexts share slots from 1500 lanes on."""
+    rng, steps = np.random.default_rng(6), 40
+    codes = np.tile(rng.integers(0, 4, (1, steps)), (lanes, 1))
+    codes[::2] = rng.integers(0, 2, (len(codes[::2]), steps))
+    step = codec.OrderStep(orders, lanes, np.zeros((lanes, 0), np.int64))
+    got = [step(codes[:, t - 1] if t else None) for t in range(steps)]
+    assert got[0].shape == (lanes, 4)
+    for lane in {0, lanes // 2, lanes - 1}:
+        seen, score, past, probs = [{} for _ in orders], np.zeros(len(orders)), [0] * 8, None
+        for t in range(steps):
+            if t:
+                c = codes[lane, t - 1]
+                score = 0.98 * score + np.log2(probs[:, c])
+                for table, k in zip(seen, keys, strict=True):
+                    table.setdefault(k, np.zeros(4, np.float32))[c] += 1
+                past = [*past[1:], int(c)]
+            keys = [sum(4**i * past[-1 - i] for i in range(k)) for k in orders]
+            keys = [k if 4**n <= step.slots else (k * 2654435761 >> 7) % step.slots for n, k in zip(orders, keys, strict=True)]
+            probs = np.array([table.get(k, np.zeros(4)) + 1 / 16 for table, k in zip(seen, keys, strict=True)], float)
+            probs /= probs.sum(axis=1, keepdims=True)
+            weight = np.exp2(np.clip(score - score.max(), -40, 0))
+            p = np.rint((probs * weight[:, None]).sum(axis=0) / weight.sum() * 65536) / 65536
+            assert (got[t][lane] == C.quantise((p / p.sum())[None])[0]).all()
+
+
+def test_quantising_columns_equals_rows():
+    """Ties go to the lowest code; for columns as for rows."""
+    p = np.concatenate((np.random.default_rng(2).dirichlet(np.ones(4), 500), np.full((1, 4), 0.25), np.eye(4), [[0.5, 0.5, 0, 0], [0, 0.5, 0.5, 0]]))
+    assert (C.quantise_columns(p.T).T == C.quantise(p)).all()
+    assert (C.cumulate(C.quantise(p))[:, -1] == C.TOTAL).all()
+
+
 @pytest.mark.parametrize("cfg", [model.TINY, model.BYTE, model.MULTI, model.LSTM, model.BILSTM, *model.memory_grid().values()])
 def test_validation_computes_a_row_once_and_equals_windows(cfg, monkeypatch):
     """The same bits as window by window, over stretches of any length, and the convolution runs once a stretch."""
