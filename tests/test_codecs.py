@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from basepack.functions import alphabet as A
 from basepack.functions import coder as C
 from basepack.operators import codec, context, general, grouping, nn, substitution
-from basepack.plans import measures, model, train
+from basepack.plans import experiments, measures, model, train
 from basepack.sources import tables as S
 
 
@@ -357,3 +357,27 @@ def test_training_reads_every_base_and_lanes_of_each_corpus():
     text = train.lane_text(["AGCT" * 100], 2, cfg.raw_context)
     bits, n = train.validate(text, w, stats, cfg)
     assert n == 2 * (text.shape[1] - cfg.raw_context) and bits > 0
+
+
+def test_trainings_side_by_side_equal_trainings_one_by_one(spark, monkeypatch):
+    """Every method on every corpus gets the weights that it would get alone; all trainings are begun before one has ended."""
+    import threading
+    rng = random.Random(1)
+    parts = {}
+    for corpus in ("a", "b"):
+        df = spark.createDataFrame([(i, "".join(rng.choice("AGCT") for _ in range(300))) for i in range(20)], "seq_id long, bases string")
+        parts[corpus] = {"train": df.where("seq_id < 15"), "val": df.where("seq_id >= 15")}
+    monkeypatch.setattr(experiments, "LEARNED", {"carry": model.TINY, "conv_lstm": model.LSTM})
+    fit, together = train.fit, threading.Barrier(4, timeout=60)
+
+    def short(tr, va, cfg, **options):
+        together.wait()
+        return fit(tr, va, cfg, **(options | {"steps": 3, "lanes": 4}))
+
+    monkeypatch.setattr(train, "fit", short)
+    got = experiments._trained(parts)
+    assert len(got) == 4
+    for (corpus, name), (w, stats) in got.items():
+        cfg = replace(experiments.LEARNED[name], block_order="standard")
+        want, running, _ = fit(parts[corpus]["train"], parts[corpus]["val"], cfg, epochs=2, steps=3, lanes=4, rate=3e-3, partitions=2)
+        assert all((w[k] == want[k]).all() for k in want) and all((stats[k] == running[k]).all() for k in running)
