@@ -381,3 +381,37 @@ def test_trainings_side_by_side_equal_trainings_one_by_one(spark, monkeypatch):
         cfg = replace(experiments.LEARNED[name], block_order="standard")
         want, running, _ = fit(parts[corpus]["train"], parts[corpus]["val"], cfg, epochs=2, steps=3, lanes=4, rate=3e-3, partitions=2)
         assert all((w[k] == want[k]).all() for k in want) and all((stats[k] == running[k]).all() for k in running)
+
+
+def test_scores_train_on_every_base_of_the_training_part(spark, monkeypatch):
+    """Each epoch has an update for every base after the first context of a lane, and the trainings of t1_scores ask for that."""
+    cfg = replace(model.TINY, block_order="standard")
+    text, seen = np.random.default_rng(4).integers(0, 4, (3, cfg.raw_context + 130)), []
+    learn = train.gradients
+
+    def watched(w, stats, cfg, window, target, state, rng):
+        seen.append((window.copy(), target.copy(), state is None))
+        return learn(w, stats, cfg, window, target, state, rng)
+
+    monkeypatch.setattr(train, "gradients", watched)
+    train.walk(text, nn.init(cfg), nn.running(cfg), cfg, None, 1e-3, 1, 60)
+    assert (np.stack([t for _, t, _ in seen], axis=1) == text[:, cfg.raw_context :]).all()
+    assert (seen[0][0] == text[:, : cfg.raw_context]).all() and [f for _, _, f in seen] == [True] + [False] * 129
+    asked = []
+    monkeypatch.setattr(train, "fit", lambda tr, va, cfg, **options: asked.append(options["steps"]) or ({}, {}, []))
+    df = spark.createDataFrame([(1, "AGCT")], "seq_id long, bases string")
+    experiments._trained({"a": {"train": df, "val": df}})
+    assert asked == [None] * len(experiments.LEARNED)
+
+
+def test_recurrent_layer_equals_its_definition():
+    rng = np.random.default_rng(5)
+    x, w = rng.normal(size=(3, 7, 5)), {"x_b": rng.normal(size=(5, 16)), "h_b": rng.normal(size=(4, 16)), "g_b": rng.normal(size=16)}
+    s = lambda v: 1 / (1 + np.exp(-v))
+    h, c = np.zeros((3, 4)), np.zeros((3, 4))
+    got = nn.lstm(x, w, "b", reverse=True)
+    for t in reversed(range(7)):
+        i, f, o, g = np.split(x[:, t] @ w["x_b"] + w["g_b"] + h @ w["h_b"], 4, axis=1)
+        c = s(f + 1) * c + s(i) * np.tanh(g)
+        h = s(o) * np.tanh(c)
+        assert np.allclose(got[:, t], h, atol=1e-14)
