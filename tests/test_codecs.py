@@ -415,3 +415,35 @@ def test_recurrent_layer_equals_its_definition():
         c = s(f + 1) * c + s(i) * np.tanh(g)
         h = s(o) * np.tanh(c)
         assert np.allclose(got[:, t], h, atol=1e-14)
+
+
+@pytest.mark.parametrize("cfg", [model.MULTI, replace(model.TINY, block_order="standard"), model.LSTM, replace(model.SMALL, context=40), replace(model.TINY, position="none", memory="none")])
+def test_epochs_are_judged_in_step_and_lanes_are_shared(cfg):
+    """Several models over several shares of the lanes give what each gives alone, window by window."""
+    rng = np.random.default_rng(8)
+    text = rng.integers(0, 4, (6, cfg.raw_context + 19)).astype(np.uint8)
+    models = [(nn.init(cfg, k), {"mean": rng.normal(0, 0.1, cfg.d_model), "var": np.full(cfg.d_model, 1.1 + k)}) for k in range(3)]
+    shared = [train.validate_all(text[k::2], models, cfg) for k in range(2)]
+    assert [n for _, n in shared] == [57, 57]
+    for k, (w, stats) in enumerate(models):
+        state, bits = None, 0.0
+        for t in range(19):
+            logits, state = nn.step(text[:, t : t + cfg.raw_context], state, w, cfg, stats)
+            bits += float(nn.loss(logits, text[:, t + cfg.raw_context])) * 6
+        assert abs(sum(b[k] for b, _ in shared) - bits) < 1e-9 * bits
+
+
+def test_training_has_one_validation_for_all_epochs(spark, monkeypatch):
+    """Its tasks are as many as there are cores, and the history is that of whole partitions."""
+    rng = random.Random(3)
+    df = spark.createDataFrame([(i, "".join(rng.choice("AGCT") for _ in range(400))) for i in range(40)], "seq_id long, bases string")
+    jobs, plain = [], type(df).mapInArrow
+    monkeypatch.setattr(type(df), "mapInArrow", lambda self, fn, schema: jobs.append((schema, self.rdd.getNumPartitions())) or plain(self, fn, schema))
+    cfg = replace(model.MULTI, block_order="standard")
+    w, stats, history = train.fit(df.where("seq_id < 20"), df.where("seq_id >= 20"), cfg, epochs=3, lanes=4, steps=5, rate=3e-3, partitions=2)
+    assert [n for schema, n in jobs if "epoch" in schema] == [2 * (spark.sparkContext.defaultParallelism // 2)]
+    parts: dict = {}
+    for r in df.where("seq_id >= 20").selectExpr("seq_id", "bases", "pmod(hash(seq_id), 2) AS p").orderBy("seq_id").collect():
+        parts.setdefault(r["p"], []).append(r["bases"])
+    found = [train.validate(train.lane_text(x, 4, cfg.raw_context), w, stats, cfg) for x in parts.values()]
+    assert len(history) == 3 and abs(sum(b for b, _ in found) / sum(n for _, n in found) - min(h[2] for h in history)) < 1e-9
