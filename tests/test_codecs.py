@@ -447,3 +447,36 @@ def test_training_has_one_validation_for_all_epochs(spark, monkeypatch):
         parts.setdefault(r["p"], []).append(r["bases"])
     found = [train.validate(train.lane_text(x, 4, cfg.raw_context), w, stats, cfg) for x in parts.values()]
     assert len(history) == 3 and abs(sum(b for b, _ in found) / sum(n for _, n in found) - min(h[2] for h in history)) < 1e-9
+
+
+@pytest.mark.parametrize("orders", [(1, 2, 4, 8), (0, 12)])
+def test_contexts_in_the_jvm_give_the_bytes_of_the_lanes(spark, seqs, orders, monkeypatch):
+    """Payloads, places and groups of both forms are the same, each reads the other's, and no task of Python codes."""
+    known = A.split_unknown(seqs).select("corpus", "seq_id", "bases")
+    rng = np.random.default_rng(9)
+    long = spark.createDataFrame([("x", 99, codec.bases_of(rng.choice(4, 3000, p=[0.001, 0.9, 0.09, 0.009])))], known.schema)
+    known = known.unionByName(long)
+    coder, mine = codec.order_coder(orders), codec.Coder.in_jvm
+
+    def here(on, fn, *args):
+        monkeypatch.setattr(codec.Coder, "in_jvm", mine if on else lambda self, spark: False)
+        return fn(*args)
+
+    for group, lanes in ((128, 16), (1 << 20, 8)):
+        a, b = (here(on, codec.compress, known, coder, group, lanes) for on in (True, False))
+        assert "MapInArrow" not in a._jdf.queryExecution().executedPlan().toString()
+        assert a.dtypes == b.select(*a.columns).dtypes and set(a.columns) == set(b.columns)
+        want = {tuple(r) for r in b.select(*a.columns).collect()}
+        assert {tuple(r) for r in a.collect()} == want and max(r[4] for r in want) == min(group, 3000)
+        bases = {r["seq_id"]: r["bases"] for r in known.where("bases <> ''").collect()}
+        for box, on in ((a, False), (b, True)):
+            assert {r["seq_id"]: r["bases"] for r in here(on, codec.decompress, box, coder, lanes).collect()} == bases
+    with pytest.raises(Exception, match="another configuration"):
+        codec.decompress(codec.compress(known, coder, 128, 16), codec.order_coder((1, 3)), 16).collect()
+
+
+def test_powers_and_logarithms_of_the_context_coder():
+    x = np.concatenate((-np.random.default_rng(1).random(1000) * 40, [0, -0.5, -1, -40]))
+    assert np.allclose(C.exp2_of(x), np.exp2(x), rtol=1e-15, atol=0) and C.exp2_of(np.zeros(1))[0] == 1
+    p = np.concatenate((np.exp2(x), [1 / 3, 0.7071067811865475, 0.7071067811865476]))
+    assert np.allclose(C.log2_of(p), np.log2(p), rtol=4e-16, atol=4e-16)
